@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from roundmm.llm.licences import COVER, PHRASES, SENTENCES, SLACK
+from roundmm.llm.urls import SOFT, STRICT
+
 #: unsigned CRC-32 of column ``text`` as UTF-8, byte by byte over a table built from the polynomial
 CRC_TABLE = "crc_table as (select list(c order by i) as t from (select i, list_reduce(list_prepend(i, range(8)), lambda c, k: case when c & 1 = 1 then xor(c >> 1, 3988292384) else c >> 1 end) as c from range(256) r(i)))"
 CRC = "xor(list_reduce(list_prepend(4294967295::bigint, list_transform(regexp_extract_all(hex(encode(coalesce(text, ''))), '..'), lambda h: ('0x' || h)::bigint)), lambda a, b: xor(a >> 8, crc_table.t[(xor(a, b) & 255) + 1])), 4294967295)"
@@ -31,4 +34,52 @@ select doc_id, source, copy::int as copy, n_copies::int as n_copies, round(rate,
 from (select *, unnest(range(n_copies)) as copy from c)
 """
 
-ORACLES: dict[str, str] = {"op2_stratified_shards": OP2, "op6_poisson_mix": OP6}
+
+
+def _templates() -> str:
+    rows = [
+        f"({i}, '{t.label}', {str(t.exact).lower()}, {len(t.words) - 1}, {p}, '{t.words[p]}', '{t.words[p + 1]}')"
+        for i, t in enumerate(PHRASES + SENTENCES)
+        for p in range(len(t.words) - 1)
+    ]
+    return "(values " + ", ".join(rows) + ") g(template, label, exact, n_grams, t_pos, w0, w1)"
+
+
+OP4 = f"""
+with w as (select doc_id, row_number() over () as rid,
+                  regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') as ws from documents),
+p as (select rid, ws, unnest(range(len(ws) - 1)) as pos from w where len(ws) > 1),
+h as (select rid, template, label, exact, n_grams, pos - t_pos as diag, t_pos from p join {_templates()} on ws[pos + 1] = w0 and ws[pos + 2] = w1),
+o as (select distinct rid, template, diag from h),
+n as (select *, coalesce((diag - lag(diag) over (partition by rid, template order by diag) > {SLACK})::int, 1) as fresh from o),
+r as (select *, sum(fresh) over (partition by rid, template order by diag) as run from n),
+m as (select h.rid, h.template, label, exact, n_grams, case when exact then h.diag else run end as run, min(h.diag) as start, count(distinct t_pos) / n_grams::double as cover
+      from h join r on h.rid = r.rid and h.template = r.template and h.diag = r.diag group by 1, 2, 3, 4, 5, 6),
+s as (select * from m where cover = 1 or (not exact and cover >= {COVER})),
+e as (select rid, count(*) filter (where exact) as n_base, min(start) filter (where exact) as first_word, max(start) filter (where exact) as last_word,
+             string_agg(distinct label, ',' order by label) filter (where exact) as base_labels, string_agg(distinct label, ',' order by label) as labels, max(cover) as score
+      from s group by rid)
+select doc_id, len(ws)::bigint as n_words, coalesce(n_base, 0)::bigint as n_base, first_word::bigint as first_word, last_word::bigint as last_word,
+       coalesce(base_labels, '') as base_labels, coalesce(labels, '') as labels, coalesce(score, 0)::double as score
+from w left join e on w.rid = e.rid
+"""
+
+LOWER_URL = "translate(coalesce(url, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+
+
+def _distinct_terms(terms: tuple[str, ...]) -> str:
+    return " + ".join(f"regexp_matches(u, '(^|[^\\pL\\pN]){t}($|[^\\pL\\pN])')::int" for t in terms)
+
+
+OP9 = f"""
+with p as (select page_id, {LOWER_URL} as u, regexp_extract({LOWER_URL}, '://([^/?#]*)', 1) as host, regexp_extract(coalesce(url, ''), '://[^/?#]*([^?#]*)', 1) as path from pages),
+t as (select *, ({_distinct_terms(STRICT)})::int as strict_terms, ({_distinct_terms(SOFT)})::int as soft_terms from p),
+r as (select *, case when (host = 'example.net' or host like '%.example.net') and path like '/en/%' then 'example.net/en/'
+                     when (host = 'example.com' or host like '%.example.com') and path like '/de/%' then 'example.com/de/'
+                     when (host = 'org' or host like '%.org') and path like '/fr/%' then 'org/fr/'
+                     when (host = 'net' or host like '%.net') and path like '/%' then 'net/' end as rule from t)
+select page_id, host, path, rule, case when rule in ('net/', 'example.com/de/') then 'block' when rule is not null then 'allow'
+       when strict_terms > 0 or soft_terms >= 2 then 'block' else 'allow' end as verdict, strict_terms, soft_terms from r
+"""
+
+ORACLES: dict[str, str] = {"op2_stratified_shards": OP2, "op4_licence_votes": OP4, "op6_poisson_mix": OP6, "op9_url_terms": OP9}

@@ -7,9 +7,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import table
+from roundmm.llm import quality
+from roundmm.llm.common import remainder, table
+from roundmm.llm.licences import licence_report
 from roundmm.llm.mixing import poisson_mixture
 from roundmm.llm.sharding import stratified_shards
+from roundmm.llm.urls import judged
 
 
 def op2_stratified_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -24,7 +27,25 @@ def op6_poisson_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "source", F.col("copy").cast("int").alias("copy"), F.col("n_copies").cast("int").alias("n_copies"), F.round("rate", 9).alias("rate"), "shuffle_key")
 
 
+def op4_licence_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licence_report(table(spark, sf_dir, "documents"))
+
+
+def op8_nbsvm_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    model = quality.train(docs, labels, remainder(5) != 0)
+    scored = quality.scored(docs.select("doc_id", "text"), model)
+    return scored.select("doc_id", (remainder(5) == 0).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
+def op9_url_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return judged(table(spark, sf_dir, "pages"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_stratified_shards": op2_stratified_shards,
+    "op4_licence_votes": op4_licence_votes,
     "op6_poisson_mix": op6_poisson_mix,
+    "op8_nbsvm_quality": op8_nbsvm_quality,
+    "op9_url_terms": op9_url_terms,
 }
