@@ -11,6 +11,7 @@ from roundmm.llm import quality
 from roundmm.llm.common import remainder, table
 from roundmm.llm.licences import licence_report
 from roundmm.llm.mixing import poisson_mixture
+from roundmm.llm.neardup import near_duplicates
 from roundmm.llm.sharding import stratified_shards
 from roundmm.llm.urls import judged
 
@@ -42,10 +43,15 @@ def op9_url_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged(table(spark, sf_dir, "pages"))
 
 
+def op10_chosen_path(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_stratified_shards": op2_stratified_shards,
     "op4_licence_votes": op4_licence_votes,
     "op6_poisson_mix": op6_poisson_mix,
     "op8_nbsvm_quality": op8_nbsvm_quality,
     "op9_url_terms": op9_url_terms,
+    "op10_chosen_path": op10_chosen_path,
 }
