@@ -62,9 +62,11 @@ def poisson_mixture(docs: DataFrame, weights: dict[str | None, float] | None = N
     """
     names = {"copy", "rate", "n_copies", "shuffle_key"}
     steps = small(poisson_steps(repetition_rates(docs, weights, temper, epochs)).select(F.col("source").alias("_source"), F.col("rate").alias("_rate"), F.col("steps").alias("_steps")))
-    base = docs.drop(*(names & set(docs.columns)))
-    text = F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary"))
-    drawn = base.join(steps, F.col("source").cast("string").eqNullSafe(F.col("_source"))).withColumn("n_copies", repeat_count(unit_hash(F.col("doc_id"), text, seed=seed), F.col("_steps")))
+    text = F.col("_text")
+    # the hash and the draw are columns below the join, so the lambda over the steps doesn't compute them again for each step
+    base = docs.drop(*(names & set(docs.columns))).withColumn("_text", F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
+    base = base.withColumn("_u", unit_hash(F.col("doc_id"), text, seed=seed))
+    drawn = base.join(steps, F.col("source").cast("string").eqNullSafe(F.col("_source"))).withColumn("n_copies", repeat_count(F.col("_u"), F.col("_steps")))
     out = drawn.where("n_copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("n_copies") - 1)))
-    out = out.withColumn("shuffle_key", md5_key(F.col("doc_id"), text, F.col("copy"), seed=seed + 1)).withColumnRenamed("_rate", "rate").drop("_source", "_steps")
+    out = out.withColumn("shuffle_key", md5_key(F.col("doc_id"), text, F.col("copy"), seed=seed + 1)).withColumnRenamed("_rate", "rate").drop("_source", "_steps", "_text", "_u")
     return out.repartitionByRange("shuffle_key").sortWithinPartitions("shuffle_key") if shuffle else out
