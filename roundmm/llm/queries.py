@@ -7,8 +7,9 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from roundmm.llm import quality
+from roundmm.llm import quality, toxicity
 from roundmm.llm.common import remainder, table
+from roundmm.llm.decontam import contamination
 from roundmm.llm.licences import licence_report
 from roundmm.llm.mixing import poisson_mixture
 from roundmm.llm.neardup import near_duplicates
@@ -16,6 +17,13 @@ from roundmm.llm.sharding import stratified_shards
 from roundmm.llm.urls import judged
 
 
+def op1_noisy_channel(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    model = toxicity.train(docs, labels, remainder(3) != 1)
+    scored = toxicity.scored(docs.select("doc_id", "text"), model)
+    return scored.select("doc_id", (remainder(3) == 1).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
+
+
 def op2_stratified_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     plan = stratified_shards(table(spark, sf_dir, "documents"), shards=40)
     return plan.select(
@@ -28,6 +36,10 @@ def op6_poisson_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "source", F.col("copy").cast("int").alias("copy"), F.col("n_copies").cast("int").alias("n_copies"), F.round("rate", 9).alias("rate"), "shuffle_key")
 
 
+def op3_qgram_lemma(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op4_licence_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licence_report(table(spark, sf_dir, "documents"))
 
@@ -48,7 +60,9 @@ def op10_chosen_path(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_noisy_channel": op1_noisy_channel,
     "op2_stratified_shards": op2_stratified_shards,
+    "op3_qgram_lemma": op3_qgram_lemma,
     "op4_licence_votes": op4_licence_votes,
     "op6_poisson_mix": op6_poisson_mix,
     "op8_nbsvm_quality": op8_nbsvm_quality,
