@@ -11,6 +11,8 @@ from roundmm.llm import quality, toxicity
 from roundmm.llm.common import remainder, table
 from roundmm.llm.decontam import contamination
 from roundmm.llm.licences import licence_report
+from roundmm.llm.linededup import line_report
+from roundmm.llm.media import media_report
 from roundmm.llm.mixing import poisson_mixture
 from roundmm.llm.neardup import near_duplicates
 from roundmm.llm.sharding import stratified_shards
@@ -44,6 +46,14 @@ def op4_licence_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licence_report(table(spark, sf_dir, "documents"))
 
 
+def op5_segment_edit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_report(table(spark, sf_dir, "documents"))
+
+
+def op7_payload_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media_report(table(spark, sf_dir, "documents"))
+
+
 def op8_nbsvm_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     model = quality.train(docs, labels, remainder(5) != 0)
@@ -64,7 +74,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_stratified_shards": op2_stratified_shards,
     "op3_qgram_lemma": op3_qgram_lemma,
     "op4_licence_votes": op4_licence_votes,
+    "op5_segment_edit": op5_segment_edit,
     "op6_poisson_mix": op6_poisson_mix,
+    "op7_payload_chunks": op7_payload_chunks,
     "op8_nbsvm_quality": op8_nbsvm_quality,
     "op9_url_terms": op9_url_terms,
     "op10_chosen_path": op10_chosen_path,

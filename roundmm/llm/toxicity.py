@@ -32,6 +32,7 @@ MEMO = 100_000
 # What a sign may stand for.
 STANDS_FOR = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "li", "+": "t", "(": "c", "*": "aeiou"}
 APART = ".-_ ,/~'"
+SPLIT = re.compile(f"[{re.escape(APART)}]+")
 EDGES = ".,;:!?\"'()[]{}%&#*~<>=/\\^`-_…«»¿¡“”‘’"
 THRICE = re.compile(r"([^\W\d_])\1\1")
 REPEATED = re.compile(r"([^\W\d_])\1+")
@@ -100,6 +101,7 @@ class Restorer:
 
     def lattice(self, token: str) -> list[list[tuple[str, float]]]:
         out: list[list[tuple[str, float]]] = []
+        letters_apart = max(map(len, SPLIT.split(token))) <= 1
         i = 0
         while i < len(token):
             c, j = token[i], i + 1
@@ -108,10 +110,10 @@ class Restorer:
             if c.isalpha():
                 out.append([(c, 0.0)] if j == i + 1 else [(c, 1.0 if j == i + 2 else 0.5), (c + c, 0.0 if j == i + 2 else 1.0)])
             elif c in STANDS_FOR:
-                own = [(x, 1.0) for x in STANDS_FOR[c]] + [(" ", 4.0)] + ([("", 3.0)] if c in "*!|" else [])
+                own = [(x, 1.0) for x in STANDS_FOR[c]] + [(" ", 6.0)] + ([("", 3.0)] if c in "*!|" else [])
                 out += [own] * (1 if j - i > 2 else j - i)
             elif c in APART:
-                out.append([("", 1.0), (" ", 1.0)])
+                out.append([("", 1.0), (" ", 4.0)] if letters_apart else [("", 2.5), (" ", 0.5)])
             else:
                 out.append([("", 2.0), (" ", 1.0)])
             i = j
