@@ -13,7 +13,8 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark import Broadcast
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from roundmm.llm.common import empty_text
@@ -175,17 +176,19 @@ def contamination(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     return spark.createDataFrame([], schema) if found is None else found
 
 
+def is_clean(text: Column, sent: Broadcast) -> Column:
+    @F.arrow_udf("boolean")
+    def clean(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for part in parts:
+            ok = np.ones(len(part), bool)
+            ok[[h[0] for h in regions(part.cast(pa.binary()).to_pylist(), sent.value)]] = False
+            yield pa.array(ok)
+
+    return clean(text)
+
+
 def decontaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The rows of ``docs`` without such a region, with its columns; a filter in the scan, no join."""
     for index in blocks(benchmark):
-        sent = docs.sparkSession.sparkContext.broadcast(index)
-
-        @F.arrow_udf("boolean")
-        def clean(parts: Iterator[pa.Array], sent=sent) -> Iterator[pa.Array]:
-            for part in parts:
-                ok = np.ones(len(part), bool)
-                ok[[h[0] for h in regions(part.cast(pa.binary()).to_pylist(), sent.value)]] = False
-                yield pa.array(ok)
-
-        docs = docs.where(clean(empty_text()))
+        docs = docs.where(is_clean(empty_text(), docs.sparkSession.sparkContext.broadcast(index)))
     return docs
