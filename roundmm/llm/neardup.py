@@ -1,16 +1,16 @@
 """Near duplicates by a chosen-path similarity join over word-shingle sets.
 
 A set's minwise tokens are the minima of ``TOKENS`` hash functions over its shingles. In each of several independent
-trees a document follows the branches named by (position, token) for a few positions chosen from the path so far;
-documents that share most tokens keep meeting, others part. Level by level:
+trees a document follows the branches named by (position, token), where the positions are chosen by the path so far;
+documents that share most tokens keep meeting, others part. Paths start ``START`` tokens deep. Then, level by level:
 
-* documents with equal sets are one node member (a representative);
-* every tree node compares its members with one pivot, so a group of k copies costs k comparisons, not k*k/2;
-* nodes whose members are linked by now are dropped; of the others small ones are compared exhaustively and
-  large ones branch again; what is still large after the last level is compared exhaustively in blocks.
+* documents with equal sets are one node member (a representative), and nodes with equal members are one node;
+* small nodes are compared exhaustively on the full shingle sets, and send one link for each two groups found linked;
+* large nodes first compare their members with one pivot, so a group of k copies costs k comparisons; those that are one
+  component by then are dropped, the others branch again; what is still large after the last level is
+  compared exhaustively in pairs of blocks.
 
-Token agreement only prefilters candidates; each link is confirmed on the full shingle sets. The number of trees
-follows from the recall asked for, by the survival probability of the branching process at the threshold.
+Every link is confirmed on the full sets. The number of trees follows from the recall asked for at the threshold.
 """
 
 from __future__ import annotations
@@ -21,39 +21,36 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import components, drop_stored, empty_text, free_shuffles, stored
+from roundmm.llm.common import components, empty_text, free_shuffles, stored
 from roundmm.llm.textnum import mix, shingles
 
 TOKENS = 64
 BRANCHES = 2
+START = 3
 
 
 @dataclass(frozen=True)
 class Settings:
     words: int = 5
     percent: int = 75
-    recall: float = 0.9999
-    leaf: int = 24
-    levels: int = 6
-
-    @property
-    def survival(self) -> float:
-        """Chance that a pair at the threshold shares an endless path of one tree."""
-        s = 1.0
-        for _ in range(200):
-            s = 1 - math.exp(-BRANCHES * self.percent / 100 * s)
-        return s
+    recall: float = 0.99999
+    #: Members and bytes of text up to which a node counts as small.
+    leaf: int = 1024
+    leaf_bytes: int = 16 << 20
+    levels: int = 5
 
     @property
     def trees(self) -> int:
-        return min(TOKENS // BRANCHES, math.ceil(math.log(1 - self.recall) / math.log(1 - self.survival)))
+        """Trees whose first paths miss a pair at the threshold with a chance of at most ``1 - recall``."""
+        miss = 1 - (self.percent / 100) ** START
+        return min(TOKENS // BRANCHES, math.ceil(math.log(1 - self.recall) / (BRANCHES * math.log(miss))))
 
     @property
     def agree(self) -> int:
-        """Fewest agreeing tokens of a candidate: 4.6 standard deviations under the threshold."""
+        """Fewest agreeing tokens of a pivot's candidate: 4.6 standard deviations under the threshold."""
         p = self.percent / 100
         return max(1, math.floor(TOKENS * p - 4.6 * math.sqrt(TOKENS * p * (1 - p))))
 
@@ -69,11 +66,11 @@ def minwise(found: np.ndarray) -> np.ndarray:
 
 
 def profiled(docs: DataFrame, words: int = 5) -> DataFrame:
-    """``doc_id, n_shingles, d1, d2, tokens``: set size, a 128-bit digest of the set, its minwise tokens."""
+    """``doc_id, n_shingles, n_bytes, d1, d2, tokens``: set size, text size, a 128-bit digest of the set, its minwise tokens."""
 
     def profile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [x.as_py().encode() for x in batch["text"]]
+            texts = batch["text"].cast(pa.binary()).to_pylist()
             sets = shingles(texts, words)
             once, again = [], []
             for s in sets:
@@ -81,45 +78,50 @@ def profiled(docs: DataFrame, words: int = 5) -> DataFrame:
                 again.append(int(np.bitwise_xor.reduce(mix(s + np.uint64(7))).astype(np.int64)) if len(s) else 0)
             tokens = [minwise(s).tobytes() if len(s) else b"" for s in sets]
             yield pa.RecordBatch.from_arrays(
-                [batch["doc_id"], pa.array([len(s) for s in sets], pa.int64()), pa.array(once, pa.int64()), pa.array(again, pa.int64()), pa.array(tokens, pa.binary())],
-                names=["doc_id", "n_shingles", "d1", "d2", "tokens"],
+                [batch["doc_id"], pa.array([len(s) for s in sets], pa.int64()), pa.array([len(t) for t in texts], pa.int64()), pa.array(once, pa.int64()), pa.array(again, pa.int64()), pa.array(tokens, pa.binary())],
+                names=["doc_id", "n_shingles", "n_bytes", "d1", "d2", "tokens"],
             )
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), empty_text().alias("text")).mapInArrow(profile, "doc_id long, n_shingles long, d1 long, d2 long, tokens binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), empty_text().alias("text")).mapInArrow(profile, "doc_id long, n_shingles long, n_bytes long, d1 long, d2 long, tokens binary")
 
 
 def token_rows(column: pa.Array) -> np.ndarray:
     return np.frombuffer(b"".join(x.as_py() for x in column), "<u4").reshape(-1, TOKENS)
 
 
+def step(node: np.ndarray, tokens: np.ndarray, branch: int) -> np.ndarray:
+    """The children of nodes on one branch: a hash of the node chooses the position, the token there names the child."""
+    place = (mix(node + np.uint64(branch + 1)) % np.uint64(TOKENS)).astype(np.int64)
+    return mix(mix(node ^ np.uint64(branch + 77)) + tokens[np.arange(len(node)), place] * np.uint64(0x9E3779B97F4A7C15))
+
+
 def roots(reps: DataFrame, trees: int) -> DataFrame:
-    """First level: ``node, rep``; tree t branches on its own ``BRANCHES`` positions."""
+    """First nodes: ``node, rep``; tree t branches on its own ``BRANCHES`` positions and goes on to ``START`` tokens."""
 
     def branch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        spots = trees * BRANCHES
-        salt = mix(np.arange(5001, 5001 + spots, dtype=np.uint64))
         for batch in batches:
-            if batch.num_rows:
-                nodes = mix(token_rows(batch["tokens"])[:, :spots].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + salt)
-                ids = np.repeat(batch["rep"].to_numpy(), spots)
-                yield pa.RecordBatch.from_arrays([pa.array(nodes.ravel().view(np.int64)), pa.array(ids)], names=["node", "rep"])
+            if not batch.num_rows:
+                continue
+            tokens, out = token_rows(batch["tokens"]).astype(np.uint64), []
+            for spot in range(trees * BRANCHES):
+                node = mix(tokens[:, spot] * np.uint64(0x9E3779B97F4A7C15) + mix(np.array([5001 + spot], np.uint64)))
+                for _ in range(START - 1):
+                    node = step(node, tokens, 0)
+                out.append(node)
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out).view(np.int64)), pa.array(np.tile(batch["rep"].to_numpy(), len(out)))], names=["node", "rep"])
 
     return reps.mapInArrow(branch, "node long, rep long")
 
 
 def children(members: DataFrame) -> DataFrame:
-    """Next level of ``node, rep, tokens``: positions are chosen by hashes of the node, the same for all members."""
+    """Next level of ``node, rep, tokens``: each node on ``BRANCHES`` branches."""
 
     def branch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            node = batch["node"].to_numpy().view(np.uint64)
-            tokens, out = token_rows(batch["tokens"]).astype(np.uint64), []
-            for k in range(BRANCHES):
-                place = (mix(node + np.uint64(k + 1)) % np.uint64(TOKENS)).astype(np.int64)
-                out.append(mix(mix(node ^ np.uint64(k + 77)) + tokens[np.arange(len(node)), place] * np.uint64(0x9E3779B97F4A7C15)))
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out).view(np.int64)), pa.array(np.tile(batch["rep"].to_numpy(), BRANCHES))], names=["node", "rep"])
+            if batch.num_rows:
+                node, tokens = batch["node"].to_numpy().view(np.uint64), token_rows(batch["tokens"]).astype(np.uint64)
+                out = np.concatenate([step(node, tokens, k) for k in range(BRANCHES)])
+                yield pa.RecordBatch.from_arrays([pa.array(out.view(np.int64)), pa.array(np.tile(batch["rep"].to_numpy(), BRANCHES))], names=["node", "rep"])
 
     return members.mapInArrow(branch, "node long, rep long")
 
@@ -158,66 +160,75 @@ def confirmed(pairs: DataFrame, texts: DataFrame, settings: Settings) -> DataFra
     return pairs.join(right, "b").join(left, "a").mapInArrow(check, "a long, b long")
 
 
-def leaf_pairs(members: DataFrame, least: int) -> DataFrame:
-    """Pairs of different components that agree in enough tokens within each node of ``node, rep, comp, tokens``.
-
-    Rows are sorted by node and streamed; only the rows of one small node are held.
-    """
-
-    def pairs(rows: tuple[np.ndarray, np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-        rep, comp, tokens = rows
-        i, j = np.triu_indices(len(rep), 1)
-        apart = (comp[i] != comp[j]) & ((tokens[i] == tokens[j]).sum(axis=1) >= least)
-        return np.minimum(rep[i], rep[j])[apart], np.maximum(rep[i], rep[j])[apart]
+def linked(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
+    """Links between ``sets`` that join their groups: each set against all before it, by one pass over their shingles;
+    one link for each group that it reaches."""
+    size = np.array([len(x) for x in sets])
+    starts = np.cumsum(size) - size
+    _, number = np.unique(np.concatenate(sets), return_inverse=True)
+    mark = np.zeros(int(number.max()) + 1, bool)
+    group = np.arange(len(sets))
+    out = []
+    for i in range(1, len(sets)):
+        own = number[starts[i] : starts[i] + size[i]]
+        mark[own] = True
+        both = np.add.reduceat(mark[number[: starts[i]]], starts[:i], dtype=np.int64)
+        mark[own] = False
+        near = np.flatnonzero((both > 0) & (100 * both >= percent * (size[:i] + size[i] - both)))
+        if len(near):
+            reached, at = np.unique(group[near], return_index=True)
+            out += [(int(near[k]), i) for k in at]
+            group[np.isin(group, reached)] = i
+            group[i] = i
+    return out
+
+
+def node_links(members: DataFrame, settings: Settings) -> DataFrame:
+    """Links within each small node of ``node, rep, text``. Rows are sorted by node and streamed; one node is held at a time."""
+
+    def found(rows: list[tuple[int, bytes]]) -> list[tuple[int, int]]:
+        rows = list(dict(rows).items())  # a repeated row is one member
+        if len(rows) < 2:
+            return []
+        ids = [r[0] for r in rows]
+        return [(min(ids[i], ids[j]), max(ids[i], ids[j])) for i, j in linked(shingles([r[1] for r in rows], settings.words), settings.percent)]
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: tuple | None = None
+        node: int | None = None
+        held: list[tuple[int, bytes]] = []
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            node, rep, comp, tokens = batch["node"].to_numpy(), batch["rep"].to_numpy(), batch["comp"].to_numpy(), token_rows(batch["tokens"])
-            if held is not None:
-                node, rep, comp, tokens = (np.concatenate(x) for x in zip(held, (node, rep, comp, tokens), strict=True))
-            cut = np.flatnonzero(np.diff(node)) + 1
-            edges = np.concatenate(([0], cut))
-            found = [pairs((rep[s:e], comp[s:e], tokens[s:e])) for s, e in zip(edges[:-1], edges[1:], strict=True)]
-            s = edges[-1]
-            held = (node[s:], rep[s:], comp[s:], tokens[s:])
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([f[k] for f in found])) for k in (0, 1)], names=["a", "b"])
-        if held is not None:
-            a, b = pairs(held[1:])
-            yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
-
-    return members.repartition("node").sortWithinPartitions("node").mapInArrow(stream, "a long, b long")
-
-
-def blocked(members: DataFrame, leaf: int) -> DataFrame:
-    """Large nodes as pairs of blocks, each pair a node of about ``leaf`` rows: every two members meet in one."""
-    blocks = F.greatest(F.ceil(2 * F.col("size") / F.lit(leaf)).cast("int"), F.lit(1))
-    own = members.withColumn("_k", blocks).withColumn("_own", F.pmod(F.xxhash64("rep"), F.col("_k")).cast("int"))
-    met = own.withColumn("_other", F.explode(F.expr("sequence(0, _k - 1)")))
-    return met.select(F.xxhash64("node", F.least("_own", "_other"), F.greatest("_own", "_other")).alias("node"), "rep", "comp")
+            out: list[tuple[int, int]] = []
+            for n, rep, text in zip(batch["node"].to_pylist(), batch["rep"].to_pylist(), batch["text"].cast(pa.binary()).to_pylist(), strict=True):
+                if n != node:
+                    out += found(held)
+                    node, held = n, []
+                held.append((rep, text))
+            yield pairs(out)
+        yield pairs(found(held))
 
+    def pairs(out: list[tuple[int, int]]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([p[k] for p in out], pa.int64()) for k in (0, 1)], names=["a", "b"])
 
-def with_components(members: DataFrame, labels: DataFrame | None) -> DataFrame:
-    """``members`` of nodes that still hold several components, with ``comp`` and the node's ``size``."""
-    if labels is None:
-        held = members.withColumn("comp", F.col("rep"))
-    else:
-        held = members.join(labels, F.col("rep") == F.col("node_id"), "left").select("node", "rep", F.coalesce("component", "rep").alias("comp"))
-    mixed = held.groupBy("node").agg(F.count(F.lit(1)).alias("size"), F.min("comp").alias("_lo"), F.max("comp").alias("_hi")).where("_lo <> _hi").select("node", "size")
-    return held.join(mixed, "node")
+    return members.repartition("node").sortWithinPartitions("node").mapInArrow(stream, "a long, b long").distinct()
 
 
-def met(members: DataFrame) -> DataFrame:
-    """``node, rep, pivot`` of nodes with at least two members; the pivot is the first by a hash of node and member."""
-    stats = members.groupBy("node").agg(F.count(F.lit(1)).alias("_n"), F.min_by("rep", F.xxhash64("node", "rep")).alias("pivot")).where("_n > 1")
-    return members.join(stats.select("node", "pivot"), "node")
+def blocked(members: DataFrame, settings: Settings) -> DataFrame:
+    """Large nodes as pairs of blocks, each pair a small node: every two members meet in one."""
+    rows, weight = F.ceil(2 * F.col("size") / F.lit(settings.leaf)), F.ceil(2 * F.col("bytes") / F.lit(settings.leaf_bytes))
+    own = members.withColumn("_k", F.greatest(rows, weight, F.lit(1)).cast("int")).withColumn("_own", F.pmod(F.xxhash64("rep"), F.col("_k")).cast("int"))
+    met = own.withColumn("_other", F.explode(F.expr("sequence(0, _k - 1)")))
+    return met.select(F.xxhash64("node", F.least("_own", "_other"), F.greatest("_own", "_other")).alias("node"), "rep")
 
 
-def star(members: DataFrame) -> DataFrame:
-    return members.where("rep <> pivot").select(F.least("rep", "pivot").alias("a"), F.greatest("rep", "pivot").alias("b")).distinct()
+def met(members: DataFrame, weights: DataFrame) -> DataFrame:
+    """``node, rep, size, bytes, pivot`` of nodes with at least two members, one node for each set of members."""
+    stats = members.groupBy("node").agg(
+        F.count(F.lit(1)).alias("size"), F.min("rep").alias("pivot"), F.sum(F.xxhash64("rep").bitwiseAND((1 << 40) - 1)).alias("_s"), F.bit_xor(F.xxhash64("rep", F.lit(1))).alias("_x")
+    ).where("size > 1")
+    once = stats.groupBy("size", "pivot", "_s", "_x").agg(F.min("node").alias("node")).select("node", "size", "pivot")
+    rows = members.join(once, "node")
+    heavy = rows.join(weights, "rep").groupBy(F.col("node").alias("_node")).agg(F.sum("n_bytes").alias("bytes"))
+    return rows.join(heavy, F.col("node") == F.col("_node")).select("node", "rep", "size", "bytes", "pivot")
 
 
 def near_duplicates(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
@@ -231,45 +242,43 @@ def near_duplicates(docs: DataFrame, settings: Settings | None = None) -> DataFr
     spark = docs.sparkSession
     held = stored(profiled(docs, s.words), "profile")
     named = held.where("n_shingles > 0 and doc_id is not null")
-    classes = stored(named.groupBy("n_shingles", "d1", "d2").agg(F.min("doc_id").alias("rep"), F.first("tokens").alias("tokens")), "sets")
-    reps = classes.select("rep", "tokens")
-    level = stored(met(roots(reps, s.trees)), "nodes")
-    free_shuffles(spark)
-    involved = level.select("rep").distinct()
-    ids = docs.select(F.col("doc_id").cast("long").alias("rep"), empty_text().alias("text"))
-    texts = stored(ids.join(involved, "rep", "left_semi"), "texts")
-    free_shuffles(spark)
-    pairs = star(level)
-    links, labels = None, None
+    classes = stored(named.groupBy("n_shingles", "d1", "d2").agg(F.min("doc_id").alias("rep"), F.first("tokens").alias("tokens"), F.max("n_bytes").alias("n_bytes")), "sets")
+    reps, weights = classes.select("rep", "tokens"), classes.select("rep", "n_bytes")
+    texts = docs.select(F.col("doc_id").cast("long").alias("rep"), empty_text().alias("text"))
+    members, links, small_nodes = roots(reps, s.trees), [], []
     for depth in range(s.levels):
-        links_now = stored(confirmed(agreeing(pairs, reps, s.agree), texts, s), "links")
-        links = links_now if links is None else links.unionAll(links_now)
-        labels = components(links).withColumnRenamed("node", "node_id")
+        level = stored(met(members, weights), "nodes")
         free_shuffles(spark)
-        rest = stored(with_components(level.select("node", "rep"), labels), "rest")
-        leaves = rest.where(F.col("size") <= s.leaf).select("node", "rep", "comp")
-        large = rest.where(F.col("size") > s.leaf)
-        more = large.limit(1).count() > 0
-        if more and depth == s.levels - 1:
-            leaves = leaves.unionAll(blocked(large, s.leaf))
-        close = leaf_pairs(leaves.join(reps, "rep").select("node", "rep", "comp", "tokens"), s.agree).distinct()
-        links = links.unionAll(stored(confirmed(close, texts, s), "links"))
-        if not more or depth == s.levels - 1:
+        fits = (F.col("size") <= s.leaf) & (F.col("bytes") <= s.leaf_bytes)
+        small_nodes.append(level.where(fits).select("node", "rep"))
+        large = level.where(~fits)
+        if not large.limit(1).count():
             break
-        level = stored(met(children(large.select("node", "rep").join(reps, "rep").select("node", "rep", "tokens")).distinct()), "nodes")
-        known = labels
-        pairs = star(level)
-        side = lambda x: known.select(F.col("node_id").alias(x), F.col("component").alias(f"_c{x}"))
-        pairs = pairs.join(side("a"), "a", "left").join(side("b"), "b", "left").where(F.coalesce("_ca", "a") != F.coalesce("_cb", "b")).select("a", "b")
-    labels = components(links)
-    drop_stored(texts)
+        star = large.where("rep <> pivot").select(F.col("pivot").alias("a"), F.col("rep").alias("b")).distinct()
+        links.append(stored(confirmed(agreeing(star, reps, s.agree), texts, s), "links"))
+        labels = components(union(links)).select(F.col("node").alias("_rep"), "component")
+        labelled = large.join(labels, F.col("rep") == F.col("_rep"), "left").withColumn("_c", F.coalesce("component", "rep"))
+        mixed = labelled.groupBy("node").agg(F.min("_c").alias("_lo"), F.max("_c").alias("_hi")).where("_lo <> _hi").select("node")
+        large = stored(large.join(mixed, "node"), "large")
+        if depth == s.levels - 1:
+            small_nodes.append(blocked(large, s))
+        members = children(large.select("node", "rep").join(reps, "rep").select("node", "rep", "tokens")).distinct()
+    links.append(stored(node_links(union(small_nodes).join(texts, "rep").select("node", "rep", "text"), s), "links"))
     free_shuffles(spark)
+    labels = components(union(links))
     named_class = classes.join(labels, F.col("rep") == F.col("node"), "left").select(F.col("n_shingles").alias("_n"), F.col("d1").alias("_d1"), F.col("d2").alias("_d2"), F.coalesce("component", "rep").alias("_class"))
     found = held.select("doc_id", "n_shingles", "d1", "d2").join(named_class, (F.col("n_shingles") == F.col("_n")) & (F.col("d1") == F.col("_d1")) & (F.col("d2") == F.col("_d2")), "left")
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("_class", "doc_id"))
     return found.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
 
 
+def union(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for f in frames[1:]:
+        out = out.unionAll(f)
+    return out
+
+
 def keep_one(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
     """The rows of ``docs`` whose document is its component's smallest id, with the columns of ``docs``."""
     gone = near_duplicates(docs, settings).where("not kept").select(F.col("doc_id").alias("_gone")).distinct()
