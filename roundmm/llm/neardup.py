@@ -38,7 +38,7 @@ class Settings:
     percent: int = 75
     recall: float = 0.99999
     #: Members and bytes of text up to which a node counts as small.
-    leaf: int = 1024
+    leaf: int = 4096
     leaf_bytes: int = 16 << 20
     levels: int = 5
 
@@ -96,7 +96,7 @@ def step(node: np.ndarray, tokens: np.ndarray, branch: int) -> np.ndarray:
 
 
 def roots(reps: DataFrame, trees: int) -> DataFrame:
-    """First nodes: ``node, rep``; tree t branches on its own ``BRANCHES`` positions and goes on to ``START`` tokens."""
+    """First nodes: ``node, rep, n_bytes``; tree t branches on its own ``BRANCHES`` positions and goes on to ``START`` tokens."""
 
     def branch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -108,22 +108,24 @@ def roots(reps: DataFrame, trees: int) -> DataFrame:
                 for _ in range(START - 1):
                     node = step(node, tokens, 0)
                 out.append(node)
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out).view(np.int64)), pa.array(np.tile(batch["rep"].to_numpy(), len(out)))], names=["node", "rep"])
+            ids, sizes = (pa.array(np.tile(batch[c].to_numpy(), len(out))) for c in ("rep", "n_bytes"))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out).view(np.int64)), ids, sizes], names=["node", "rep", "n_bytes"])
 
-    return reps.mapInArrow(branch, "node long, rep long")
+    return reps.mapInArrow(branch, "node long, rep long, n_bytes long")
 
 
 def children(members: DataFrame) -> DataFrame:
-    """Next level of ``node, rep, tokens``: each node on ``BRANCHES`` branches."""
+    """Next level of ``node, rep, n_bytes, tokens``: each node on ``BRANCHES`` branches."""
 
     def branch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
                 node, tokens = batch["node"].to_numpy().view(np.uint64), token_rows(batch["tokens"]).astype(np.uint64)
                 out = np.concatenate([step(node, tokens, k) for k in range(BRANCHES)])
-                yield pa.RecordBatch.from_arrays([pa.array(out.view(np.int64)), pa.array(np.tile(batch["rep"].to_numpy(), BRANCHES))], names=["node", "rep"])
+                ids, sizes = (pa.array(np.tile(batch[c].to_numpy(), BRANCHES)) for c in ("rep", "n_bytes"))
+                yield pa.RecordBatch.from_arrays([pa.array(out.view(np.int64)), ids, sizes], names=["node", "rep", "n_bytes"])
 
-    return members.mapInArrow(branch, "node long, rep long")
+    return members.mapInArrow(branch, "node long, rep long, n_bytes long")
 
 
 def agreeing(pairs: DataFrame, reps: DataFrame, least: int) -> DataFrame:
@@ -161,25 +163,26 @@ def confirmed(pairs: DataFrame, texts: DataFrame, settings: Settings) -> DataFra
 
 
 def linked(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
-    """Links between ``sets`` that join their groups: each set against all before it, by one pass over their shingles;
-    one link for each group that it reaches."""
+    """Links between ``sets`` that join their groups. All are compared with the first; those it reaches are one group, whose
+    members need no comparison with each other; every other set is compared with all, by one pass over their shingles, and
+    sends one link to each group that it reaches."""
     size = np.array([len(x) for x in sets])
     starts = np.cumsum(size) - size
     _, number = np.unique(np.concatenate(sets), return_inverse=True)
     mark = np.zeros(int(number.max()) + 1, bool)
     group = np.arange(len(sets))
     out = []
-    for i in range(1, len(sets)):
+    for i in range(len(sets)):
+        if i and group[i] == group[0]:
+            continue
         own = number[starts[i] : starts[i] + size[i]]
         mark[own] = True
-        both = np.add.reduceat(mark[number[: starts[i]]], starts[:i], dtype=np.int64)
+        both = np.add.reduceat(mark[number], starts, dtype=np.int64)
         mark[own] = False
-        near = np.flatnonzero((both > 0) & (100 * both >= percent * (size[:i] + size[i] - both)))
-        if len(near):
-            reached, at = np.unique(group[near], return_index=True)
-            out += [(int(near[k]), i) for k in at]
-            group[np.isin(group, reached)] = i
-            group[i] = i
+        near = np.flatnonzero(100 * both >= percent * (size + size[i] - both))
+        reached, at = np.unique(group[near], return_index=True)
+        out += [(i, int(near[k])) for k in at if group[near[k]] != group[i]]
+        group[np.isin(group, reached)] = group[0] if group[0] in reached else i
     return out
 
 
@@ -220,15 +223,13 @@ def blocked(members: DataFrame, settings: Settings) -> DataFrame:
     return met.select(F.xxhash64("node", F.least("_own", "_other"), F.greatest("_own", "_other")).alias("node"), "rep")
 
 
-def met(members: DataFrame, weights: DataFrame) -> DataFrame:
-    """``node, rep, size, bytes, pivot`` of nodes with at least two members, one node for each set of members."""
+def met(members: DataFrame) -> DataFrame:
+    """``node, rep, n_bytes, size, bytes, pivot`` of nodes with at least two members, one node for each set of members."""
     stats = members.groupBy("node").agg(
-        F.count(F.lit(1)).alias("size"), F.min("rep").alias("pivot"), F.sum(F.xxhash64("rep").bitwiseAND((1 << 40) - 1)).alias("_s"), F.bit_xor(F.xxhash64("rep", F.lit(1))).alias("_x")
+        F.count(F.lit(1)).alias("size"), F.sum("n_bytes").alias("bytes"), F.min("rep").alias("pivot"), F.sum(F.xxhash64("rep").bitwiseAND((1 << 40) - 1)).alias("_s"), F.bit_xor(F.xxhash64("rep", F.lit(1))).alias("_x")
     ).where("size > 1")
-    once = stats.groupBy("size", "pivot", "_s", "_x").agg(F.min("node").alias("node")).select("node", "size", "pivot")
-    rows = members.join(once, "node")
-    heavy = rows.join(weights, "rep").groupBy(F.col("node").alias("_node")).agg(F.sum("n_bytes").alias("bytes"))
-    return rows.join(heavy, F.col("node") == F.col("_node")).select("node", "rep", "size", "bytes", "pivot")
+    once = stats.groupBy("size", "bytes", "pivot", "_s", "_x").agg(F.min("node").alias("node")).select("node", "size", "bytes", "pivot")
+    return members.join(once.hint("merge"), "node")
 
 
 def near_duplicates(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
@@ -243,11 +244,11 @@ def near_duplicates(docs: DataFrame, settings: Settings | None = None) -> DataFr
     held = stored(profiled(docs, s.words), "profile")
     named = held.where("n_shingles > 0 and doc_id is not null")
     classes = stored(named.groupBy("n_shingles", "d1", "d2").agg(F.min("doc_id").alias("rep"), F.first("tokens").alias("tokens"), F.max("n_bytes").alias("n_bytes")), "sets")
-    reps, weights = classes.select("rep", "tokens"), classes.select("rep", "n_bytes")
+    reps = classes.select("rep", "n_bytes", "tokens")
     texts = docs.select(F.col("doc_id").cast("long").alias("rep"), empty_text().alias("text"))
     members, links, small_nodes = roots(reps, s.trees), [], []
     for depth in range(s.levels):
-        level = stored(met(members, weights), "nodes")
+        level = stored(met(members), "nodes")
         free_shuffles(spark)
         fits = (F.col("size") <= s.leaf) & (F.col("bytes") <= s.leaf_bytes)
         small_nodes.append(level.where(fits).select("node", "rep"))
@@ -262,8 +263,9 @@ def near_duplicates(docs: DataFrame, settings: Settings | None = None) -> DataFr
         large = stored(large.join(mixed, "node"), "large")
         if depth == s.levels - 1:
             small_nodes.append(blocked(large, s))
-        members = children(large.select("node", "rep").join(reps, "rep").select("node", "rep", "tokens")).distinct()
-    links.append(stored(node_links(union(small_nodes).join(texts, "rep").select("node", "rep", "text"), s), "links"))
+        members = children(large.select("node", "rep").join(reps, "rep").select("node", "rep", "n_bytes", "tokens")).distinct()
+    # the same join at every size: texts are large, and a broadcast of the members would not last
+    links.append(stored(node_links(union(small_nodes).join(texts.hint("merge"), "rep").select("node", "rep", "text"), s), "links"))
     free_shuffles(spark)
     labels = components(union(links))
     named_class = classes.join(labels, F.col("rep") == F.col("node"), "left").select(F.col("n_shingles").alias("_n"), F.col("d1").alias("_d1"), F.col("d2").alias("_d2"), F.coalesce("component", "rep").alias("_class"))
