@@ -27,7 +27,7 @@ def without_benchmarks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def target_mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents repeated by Poisson counts, in a global random order; copies keep their id."""
-    return mixing.poisson_mixture(docs).select(*docs.columns)
+    return mixing.replicated(docs)
 
 
 def shard_plan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

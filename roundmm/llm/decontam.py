@@ -61,22 +61,25 @@ def build(rows: list[tuple[int | None, bytes]], q: int = GRAM) -> Index:
     return Index(tuple(i for i, _ in rows), tuple(t for _, t in rows), edits, grams, np.append(first, len(order)), item[order], place[order], sieve)
 
 
-def aligned(item: bytes, window: bytes) -> tuple[int, int]:
-    """Fewest edits of ``item`` against any part of ``window``, and where the first such part ends.
+def aligned(item: bytes, window: bytes, e: int, anchored: bool = False) -> tuple[int, int]:
+    """Fewest edits of ``item`` against a part of ``window``, right where that is at most ``e``, and where the first such part ends.
+    The part begins anywhere, or, ``anchored``, where the window begins.
 
-    Row by row over the band of diagonals that the window leaves open; insertions by a running minimum.
+    Row by row over a band of diagonals: those that the window leaves open, and ``e`` more on either side, where bytes that
+    match nothing stand; insertions by a running minimum.
     """
-    p, w = np.frombuffer(item, np.uint8), np.frombuffer(window, np.uint8)
+    p = np.frombuffer(item, np.uint8)
+    w = np.frombuffer(bytes(e) + window + bytes(e), np.uint8)
     spread = max(len(w) - len(p), 0) + 1
     w = np.append(w, np.zeros(max(0, len(p) + spread - 1 - len(w)), np.uint8))
     steps = np.arange(spread)
-    cost = np.zeros(spread, np.int64)
+    cost = np.where(steps >= e, steps - e, len(item) + len(window)) if anchored else np.zeros(spread, np.int64)
     for i in range(len(p)):
         now = cost + (w[i : i + spread] != p[i])
         np.minimum(now[:-1], cost[1:] + 1, out=now[:-1])
         cost = np.minimum.accumulate(now - steps) + steps
     best = int(cost.argmin())
-    return int(cost[best]), len(p) + best
+    return int(cost[best]), min(max(len(p) + best - e, 0), len(window))
 
 
 def regions(texts: list[bytes], index: Index, q: int = GRAM) -> list[tuple[int, int, int, int, int]]:
@@ -121,12 +124,11 @@ def regions(texts: list[bytes], index: Index, q: int = GRAM) -> list[tuple[int,
                 e, m = int(index.edits[i]), int(sizes[i])
                 low = int(keys[own[0]] % span) * (e + 1) - m
                 high = int(keys[own[-1]] % span + 2) * (e + 1) - m
-                begin, end = max(0, low), min(len(part[t]), high + m + e)
-                edits, stop = aligned(index.items[i], part[t][begin:end])
+                begin, end = max(0, low - e), min(len(part[t]), high + m + e)
+                edits, stop = aligned(index.items[i], part[t][begin:end], e)
                 if edits <= e:
-                    stop = min(stop, end - begin)
-                    _, back = aligned(index.items[i][::-1], part[t][begin : begin + stop][::-1])
-                    out.append((lo + t, i, begin + stop - min(back, stop), begin + stop, edits))
+                    _, back = aligned(index.items[i][::-1], part[t][begin : begin + stop][::-1], e, anchored=True)
+                    out.append((lo + t, i, begin + stop - back, begin + stop, edits))
     return out
 
 

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -52,21 +50,25 @@ def repeat_count(u: Column, steps: Column) -> Column:
     return F.size(F.filter(steps, lambda s: s <= u))
 
 
-def poisson_mixture(docs: DataFrame, weights: dict[str | None, float] | None = None, temper: float = TEMPER, epochs: float = 1.0, seed: int = 23, shuffle: bool = True) -> DataFrame:
-    """``docs`` repeated by source, with ``copy`` (0, 1, ...), ``rate``, ``n_copies`` and ``shuffle_key`` added.
+def replicated(docs: DataFrame, weights: dict[str | None, float] | None = None, temper: float = TEMPER, epochs: float = 1.0, seed: int = 23, shuffle: bool = True, report: bool = False) -> DataFrame:
+    """``docs`` repeated by source, in a global random order, with exactly the columns of ``docs``; with ``report`` the columns
+    ``doc_id, source, copy, n_copies, rate, shuffle_key`` instead.
 
-    All columns of ``docs`` stay (clashing names are replaced). The count depends on seed, id and text, so it is the
-    same on any partitioning and after any retry. ``shuffle`` range-partitions rows by the key, a global random order
-    without one sorted task; rows equal in id and text draw the same count. Null ids and texts hash as empty.
-    An empty table gives no rows.
+    The count depends on seed, id and text, so it is the same on any partitioning and after any retry. ``shuffle``
+    range-partitions rows by a hash key of the copy: a global random order without one sorted task. Rows equal in id and text
+    draw the same count. Null ids and texts hash as empty; a null source is one source. An empty table gives no rows.
+    Columns of ``docs`` may have any names: they are held under others meanwhile.
     """
-    names = {"copy", "rate", "n_copies", "shuffle_key"}
     steps = small(poisson_steps(repetition_rates(docs, weights, temper, epochs)).select(F.col("source").alias("_source"), F.col("rate").alias("_rate"), F.col("steps").alias("_steps")))
-    text = F.col("_text")
+    own = [F.col(f"`{c}`").alias(f"_own{k}") for k, c in enumerate(docs.columns)]
     # the hash and the draw are columns below the join, so the lambda over the steps doesn't compute them again for each step
-    base = docs.drop(*(names & set(docs.columns))).withColumn("_text", F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
-    base = base.withColumn("_u", unit_hash(F.col("doc_id"), text, seed=seed))
-    drawn = base.join(steps, F.col("source").cast("string").eqNullSafe(F.col("_source"))).withColumn("n_copies", repeat_count(F.col("_u"), F.col("_steps")))
-    out = drawn.where("n_copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("n_copies") - 1)))
-    out = out.withColumn("shuffle_key", md5_key(F.col("doc_id"), text, F.col("copy"), seed=seed + 1)).withColumnRenamed("_rate", "rate").drop("_source", "_steps", "_text", "_u")
-    return out.repartitionByRange("shuffle_key").sortWithinPartitions("shuffle_key") if shuffle else out
+    base = docs.select(*own, F.col("doc_id").alias("_id"), F.col("source").cast("string").alias("_name"), F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("_text"))
+    base = base.withColumn("_u", unit_hash(F.col("_id"), F.col("_text"), seed=seed))
+    drawn = base.join(steps, F.col("_name").eqNullSafe(F.col("_source"))).withColumn("_n", repeat_count(F.col("_u"), F.col("_steps")))
+    out = drawn.where("_n > 0").withColumn("_copy", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)))
+    out = out.withColumn("_key", md5_key(F.col("_id"), F.col("_text"), F.col("_copy"), seed=seed + 1))
+    if shuffle:
+        out = out.repartitionByRange("_key").sortWithinPartitions("_key")
+    if report:
+        return out.select(F.col("_id").alias("doc_id"), F.col("_name").alias("source"), F.col("_copy").alias("copy"), F.col("_n").alias("n_copies"), F.col("_rate").alias("rate"), F.col("_key").alias("shuffle_key"))
+    return out.select(*[F.col(f"_own{k}").alias(c) for k, c in enumerate(docs.columns)])

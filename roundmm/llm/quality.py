@@ -12,7 +12,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from roundmm.llm.common import empty_text, md5_key
@@ -156,20 +156,24 @@ def train(docs: DataFrame, labels: DataFrame, usable: Column, limit: int = TRAIN
     return fitted([np.frombuffer(r["found"], "<i4").astype(np.int64) for r in rows], np.array([1.0 if r["label"] else -1.0 for r in rows]))
 
 
-def scored(docs: DataFrame, model: Model) -> DataFrame:
-    """``docs`` with ``score`` in [0, 1] added (a column of that name is replaced). Null texts score as empty ones."""
-    sent = docs.sparkSession.sparkContext.broadcast(model)  # fixed size: 2**BITS weights
+def score_of(text: Column, model: Model, spark: SparkSession) -> Column:
+    sent = spark.sparkContext.broadcast(model)  # fixed size: 2**BITS weights
 
     @F.arrow_udf("double")
     def score(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         model = sent.value
         for part in parts:
-            yield pa.array([model.score(f) for f in features([x.as_py().encode() for x in part])], pa.float64())
+            yield pa.array([model.score(f) for f in features(part.cast(pa.binary()).to_pylist())], pa.float64())
+
+    return score(text)
 
-    return docs.withColumn("score", score(empty_text()))
+
+def scored(docs: DataFrame, model: Model) -> DataFrame:
+    """``docs`` with ``score`` in [0, 1] added (a column of that name is replaced). Null texts score as empty ones."""
+    return docs.withColumn("score", score_of(empty_text(), model, docs.sparkSession))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, usable: Column, threshold: float = 0.3) -> DataFrame:
-    """The rows of ``docs`` that score at least ``threshold``, with the columns of ``docs``."""
-    names = docs.columns
-    return scored(docs.drop("score"), train(docs, labels, usable)).where(F.col("score") >= threshold).select(*[c for c in names if c != "score"])
+    """The rows of ``docs`` that score at least ``threshold``, with the columns of ``docs``; a filter in the scan."""
+    model = train(docs, labels, usable)
+    return docs.where(score_of(empty_text(), model, docs.sparkSession) >= threshold)

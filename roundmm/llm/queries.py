@@ -13,7 +13,7 @@ from roundmm.llm.decontam import contamination
 from roundmm.llm.licences import licence_report
 from roundmm.llm.linededup import line_report
 from roundmm.llm.media import media_report
-from roundmm.llm.mixing import poisson_mixture
+from roundmm.llm.mixing import replicated
 from roundmm.llm.neardup import near_duplicates
 from roundmm.llm.sharding import stratified_shards
 from roundmm.llm.urls import judged
@@ -34,7 +34,7 @@ def op2_stratified_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_poisson_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    mixed = poisson_mixture(table(spark, sf_dir, "documents").select("doc_id", "source", "text"))
+    mixed = replicated(table(spark, sf_dir, "documents").select("doc_id", "source", "text"), report=True)
     return mixed.select("doc_id", "source", F.col("copy").cast("int").alias("copy"), F.col("n_copies").cast("int").alias("n_copies"), F.round("rate", 9).alias("rate"), "shuffle_key")
 
 
