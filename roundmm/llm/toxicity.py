@@ -110,7 +110,7 @@ class Restorer:
             if c.isalpha():
                 out.append([(c, 0.0)] if j == i + 1 else [(c, 1.0 if j == i + 2 else 0.5), (c + c, 0.0 if j == i + 2 else 1.0)])
             elif c in STANDS_FOR:
-                own = [(x, 1.0) for x in STANDS_FOR[c]] + [(" ", 6.0)] + ([("", 3.0)] if c in "*!|" else [])
+                own = [(x, 1.0) for x in STANDS_FOR[c]] + [(" ", 9.0)] + ([("", 3.0)] if c in "*!|" else [])
                 out += [own] * (1 if j - i > 2 else j - i)
             elif c in APART:
                 out.append([("", 1.0), (" ", 4.0)] if letters_apart else [("", 2.5), (" ", 0.5)])

@@ -63,7 +63,7 @@ def toxic(spark, documents):
     plain = "the way of the river goes on and the trees in the valley stand as they did in the year before so we went on to the town".split()
     rng = np.random.default_rng(1)
     rows, labels = [], []
-    for i in range(300):
+    for i in range(600):
         words = [plain[k] for k in rng.integers(0, len(plain), 40)] + [f"w{chr(97 + i % 26)}{chr(97 + i // 26)}"]
         if i % 4 == 0:
             words[int(rng.integers(0, 40))] = ["idiot", "moron", "scum", "worthless"][i // 4 % 4]
@@ -76,7 +76,7 @@ def test_toxicity_on_held_out_and_disguised_rows(documents, toxic):
     docs, labels = toxic
     model = toxicity.train(docs, labels, remainder(3) != 1)
     held = toxicity.scored(docs, model).where(remainder(3) == 1).collect()
-    assert len(held) > 60 and all((r.score >= 0.7) == (r.doc_id % 4 == 0) for r in held)
+    assert len(held) > 120 and all((r.score >= 0.7) == (r.doc_id % 4 == 0) for r in held)
     hidden = ["you 1d10t of the river", "the m0r0n went on", "so i d i o t we went", "the w.o.r.t.h.l.e.s.s town", "an idiooooot of the town", "the sc*m of the valley"]
     clean = ["the year 2023 of the river", "we went to a b and on", "the 3rd tree", "a-b-c of the town"]
     got = {r.doc_id: r.score for r in toxicity.scored(documents(list(enumerate(hidden + clean))), model).collect()}
