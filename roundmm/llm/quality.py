@@ -86,16 +86,17 @@ def log_count_ratio(rows: list[np.ndarray], y: np.ndarray, size: int, alpha: flo
 def hinge_descent(rows: list[np.ndarray], y: np.ndarray, ratio: np.ndarray, c: float = 1.0, rounds: int = 12, seed: int = 3) -> tuple[np.ndarray, float]:
     """Dual coordinate descent for the L1 hinge loss with a bias feature; returns weights over the raw indicators."""
     w, b, alpha = np.zeros_like(ratio), 0.0, np.zeros(len(rows))
-    scaled = [ratio[r] / max(len(r), 1) ** 0.5 for r in rows]
-    square = np.array([float(x @ x) + 1.0 for x in scaled])
+    norm = [1 / max(len(r), 1) ** 0.5 for r in rows]
+    square = np.array([float(ratio[r] @ ratio[r]) * k * k + 1.0 for r, k in zip(rows, norm, strict=True)])
     rng = np.random.default_rng(seed)
     for _ in range(rounds):
         for i in rng.permutation(len(rows)):
-            slope = y[i] * (float(w[rows[i]] @ scaled[i]) + b) - 1.0
+            scaled = ratio[rows[i]] * norm[i]  # made anew: held for all rows it would fill the driver's memory
+            slope = y[i] * (float(w[rows[i]] @ scaled) + b) - 1.0
             new = min(max(alpha[i] - slope / square[i], 0.0), c)
             step = (new - alpha[i]) * y[i]
             if step:
-                w[rows[i]] += step * scaled[i]
+                w[rows[i]] += step * scaled
                 b += step
                 alpha[i] = new
     return w * ratio, b
@@ -153,7 +154,7 @@ def train(docs: DataFrame, labels: DataFrame, usable: Column, limit: int = TRAIN
 
     rows = sample_for_training(docs, labels, label, usable, limit).mapInArrow(hashed, "doc_id long, label int, found binary").collect()
     rows.sort(key=lambda r: (r["doc_id"] * 2654435761 % 4294967296, r["found"]))
-    return fitted([np.frombuffer(r["found"], "<i4").astype(np.int64) for r in rows], np.array([1.0 if r["label"] else -1.0 for r in rows]))
+    return fitted([np.frombuffer(r["found"], "<i4") for r in rows], np.array([1.0 if r["label"] else -1.0 for r in rows]))
 
 
 def score_of(text: Column, model: Model, spark: SparkSession) -> Column:
