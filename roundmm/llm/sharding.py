@@ -13,8 +13,9 @@ from pyspark.sql import functions as F
 
 from roundmm.llm.common import empty_text, md5_key, small
 
-#: Rows that one key range should hold on average.
-RANGE_ROWS = 20_000
+#: Rows that one key range holds on average, up to MOST_RANGES ranges; beyond that ranges grow with the table.
+RANGE_ROWS = 2_000
+MOST_RANGES = 1_000_000
 ROW_BYTES = 16
 
 
@@ -48,7 +49,7 @@ def stratified_shards(docs: DataFrame, shards: int = 40, seed: int = 11, source:
     place = F.conv(F.substring("_key", 1, 12), 16, 10).cast("double") / F.lit(float(16**12))
     sizes = docs.groupBy(F.col(source).cast("string").alias("_source")).agg(F.count(F.lit(1)).alias("_of"))
     total = docs.count()
-    ranges = max(1, -(-total // range_rows))
+    ranges = min(MOST_RANGES, max(1, -(-total // range_rows)))
     order = [F.col("_key"), F.col("doc_id"), F.col("text_crc32"), F.col("size")]
     inner = ranked(rows, ["source"], order, place, "_rank", ranges)
     inner = inner.join(small(sizes), F.col("source").eqNullSafe(F.col("_source"))).withColumn("_part", (F.col("_rank") + 0.5) / F.col("_of"))
