@@ -198,6 +198,7 @@ def chunk_store(docs: DataFrame) -> DataFrame:
     texts = docs.select("doc_id", empty_text().alias("text")).withColumn("key", payload_key(F.col("text")))
     listed = stored(chunk_list(texts.select("key", "text")), "chunk-list")
     owners = listed.groupBy("digest").agg(F.min(F.struct("key", "seq")).alias("own"), F.max(F.struct("key", "seq")).alias("far")).where("own <> far").select("digest", "own")
+    owners = small(stored(owners, "owners"))
     foreign = listed.join(owners, "digest").where(F.struct("key", "seq") != F.col("own"))
     recipes = stored(
         foreign.groupBy("key").agg(F.collect_set(F.struct("seq", F.col("own.key").alias("key"), F.col("own.seq").alias("at"))).alias("foreign")).withColumnRenamed("key", "_key"), "recipes"
