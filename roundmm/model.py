@@ -98,9 +98,9 @@ def unpack(cells: bytes, rows: int, cols: int) -> np.ndarray:
     return np.frombuffer(cells, "<f8").reshape(rows, cols)
 
 
-def to_blocks(m: MatrixFrame, block_rows: int, block_cols: int) -> BlockFrame:
+def to_blocks(m: MatrixFrame, block_rows: int, block_cols: int, full: bool = False) -> BlockFrame:
     """One shuffle by block; a block's cells are gathered (at most ``block_rows * block_cols`` of them) and packed.
-    Blocks without cells get no row."""
+    Blocks without cells get no row, or with ``full`` one of zeros, as a dense matrix has."""
     br, bc, zero = block_rows, block_cols, m.semiring.zero
     if br < 1 or bc < 1:
         raise ValueError("a block has at least one row and one column")
@@ -110,14 +110,20 @@ def to_blocks(m: MatrixFrame, block_rows: int, block_cols: int) -> BlockFrame:
     )
     nr = F.least(F.lit(br), F.lit(m.n_rows) - F.col("bi") * br).cast("int")
     nc = F.least(F.lit(bc), F.lit(m.n_cols) - F.col("bj") * bc).cast("int")
-    lists = at.groupBy("bi", "bj").agg(F.collect_list("e").alias("e")).select("bi", "bj", nr.alias("nr"), nc.alias("nc"), F.col("e.r").alias("r"), F.col("e.c").alias("c"), F.col("e.v").alias("v"))
+    lists = at.groupBy("bi", "bj").agg(F.collect_list("e").alias("e"))
+    if full:
+        rows, cols = ceil_div(m.n_rows, br), ceil_div(m.n_cols, bc)
+        every = m.df.sparkSession.range(rows * cols).select(F.floor(F.col("id") / cols).cast("int").alias("bi"), F.pmod("id", F.lit(cols)).cast("int").alias("bj"))
+        lists = every.join(lists, ["bi", "bj"], "left")
+    lists = lists.select("bi", "bj", nr.alias("nr"), nc.alias("nc"), F.col("e.r").alias("r"), F.col("e.c").alias("c"), F.col("e.v").alias("v"))
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out = []
             for k in range(batch.num_rows):
                 cells = np.full((batch["nr"][k].as_py(), batch["nc"][k].as_py()), zero)
-                cells[batch["r"][k].values.to_numpy(), batch["c"][k].values.to_numpy()] = batch["v"][k].values.to_numpy()
+                if batch["r"][k].is_valid:
+                    cells[batch["r"][k].values.to_numpy(), batch["c"][k].values.to_numpy()] = batch["v"][k].values.to_numpy()
                 out.append(pack(cells))
             yield pa.RecordBatch.from_arrays([batch[c] for c in ("bi", "bj", "nr", "nc")] + [pa.array(out, pa.binary())], names=["bi", "bj", "nr", "nc", "cells"])
 

@@ -38,7 +38,7 @@ def multiply_broadcast(a: MatrixFrame, b: MatrixFrame, max_rows: int = 2_000_000
 
 def multiply_outer(a: MatrixFrame, b: MatrixFrame, block: int, rho: int | str = "max", store: RoundStore | None = None) -> MatrixFrame:
     """Columns of A times rows of B: the 3D schedule on a ``1 x q x 1`` grid."""
-    return to_coordinates(multiply_3d(to_blocks(a, a.n_rows, block), to_blocks(b, block, b.n_cols), rho, store=store))
+    return to_coordinates(multiply_3d(to_blocks(a, a.n_rows, block, full=True), to_blocks(b, block, b.n_cols, full=True), rho, store=store))
 
 
 def multiply_local(a: MatrixFrame, b: MatrixFrame, max_cells: int = 4_000_000) -> MatrixFrame:
@@ -72,5 +72,5 @@ def multiply_mllib(a: MatrixFrame, b: MatrixFrame, block: int) -> MatrixFrame:
 
 
 def pipeline_blocks(a: MatrixFrame, b: MatrixFrame, side: int) -> tuple[BlockFrame, BlockFrame]:
-    """Square blocks of both, stored once, as every round reads them."""
-    return to_blocks(a, side, side).stored(), to_blocks(b, side, side).stored()
+    """All square blocks of both, stored once, as every round reads them."""
+    return to_blocks(a, side, side, full=True).stored(), to_blocks(b, side, side, full=True).stored()

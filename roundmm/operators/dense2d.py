@@ -18,7 +18,7 @@ def strips(a: MatrixFrame, b: MatrixFrame, m: int) -> tuple[BlockFrame, BlockFra
     """Strips of at most ``m`` cells: ``m / n_cols`` rows of A, ``m / n_rows`` columns of B."""
     if m < a.n_cols or m < b.n_rows:
         raise ValueError(f"a strip needs a whole row or column: m >= {max(a.n_cols, b.n_rows)}")
-    return to_blocks(a, m // a.n_cols, a.n_cols), to_blocks(b, b.n_rows, m // b.n_rows)
+    return to_blocks(a, m // a.n_cols, a.n_cols, full=True), to_blocks(b, b.n_rows, m // b.n_rows, full=True)
 
 
 def multiply_2d(a: BlockFrame, b: BlockFrame, rho: int | str = "max", schedule: str = "balanced", store: RoundStore | None = None, tasks: int | None = None, resume: bool = True, stop_after: int | None = None) -> BlockFrame:

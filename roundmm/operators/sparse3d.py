@@ -49,7 +49,9 @@ def long_round(a: MatrixFrame, b: MatrixFrame, before: DataFrame | None, grid: G
         return df.withColumn("z", z).withColumn("task", even_task(F.col("z"), grid.qi * grid.qj * grid.rho, tasks)).repartitionById(tasks, F.col("task"))
 
     met = placed(left).join(placed(right).select("task", "z", "k", "col", "y").hint("merge"), ["task", "z", "k"])
-    new = met.groupBy("task", "z", "row", "col").agg(F.first("i").alias("i"), F.first("j").alias("j"), F.first("slot").alias("slot"), sr.plus(sr.times(F.col("x"), F.col("y"))).alias("val"))
+    new = met.groupBy("task", "z", "row", "col").agg(sr.plus(sr.times(F.col("x"), F.col("y"))).alias("val"))
+    # the rank gives back row, column and slot
+    new = new.select("*", F.expr(f"cast(z div {grid.qj * grid.rho} as int)").alias("i"), F.expr(f"cast((z div {grid.rho}) % {grid.qj} as int)").alias("j"), F.expr(f"cast(z % {grid.rho} as int)").alias("slot"))
     if before is None:
         return new.select("i", "j", "slot", "row", "col", "val")
     live = placed(before.where(F.col("slot") < grid.slots(r))).select("task", "z", "row", "col", *[F.col(c).alias(f"_{c}") for c in ("i", "j", "slot", "val")])

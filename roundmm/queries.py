@@ -358,7 +358,7 @@ QUERIES["axis_index_events"] = lambda spark, d: ew.axis_index(load(spark, d, "ev
 
 @query("op_block_roundtrip")
 def op_block_roundtrip(spark: SparkSession, d: str) -> DataFrame:
-    return to_coordinates(to_blocks(fold_a(spark, d, 60), 16, 7)).df
+    return to_coordinates(to_blocks(fold_a(spark, d, 60), 16, 7, full=True)).df
 
 
 @query("op_band_join")
