@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from roundmm.model import BlockFrame, MatrixFrame, to_blocks, to_coordinates
+from roundmm.model import BLOCK_SCHEMA, BlockFrame, MatrixFrame, pack, to_blocks, to_coordinates, unpack
 from roundmm.operators.dense3d import multiply_3d
 from roundmm.plans.rounds import RoundStore
 
@@ -58,6 +61,29 @@ def multiply_local(a: MatrixFrame, b: MatrixFrame, max_cells: int = 4_000_000) -
     return MatrixFrame(rows, a.n_rows, b.n_cols, a.semiring)
 
 
+def multiply_cogroup(a: BlockFrame, b: BlockFrame) -> BlockFrame:
+    """One round of all block products by ``cogroup``: blocks of a row of A and a column of B meet for each block of C, and are
+    added there. A task holds a whole block row and column, so this is for grids whose rows fit."""
+    qi, qj, sr = a.q_rows, b.q_cols, a.semiring
+    left = a.df.withColumn("j", F.explode(F.sequence(F.lit(0), F.lit(qj - 1))))
+    right = b.df.withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(qi - 1))))
+
+    def fold(key: tuple, x: pa.Table, y: pa.Table) -> pa.Table:
+        rows = {r["bj"]: r for r in x.to_pylist()}
+        out, shape = None, (0, 0)
+        for c in y.to_pylist():
+            r = rows.get(c["bi"])
+            if r is not None:
+                p = sr.product(unpack(r["cells"], r["nr"], r["nc"]), unpack(c["cells"], c["nr"], c["nc"]))
+                out, shape = (p if out is None else sr.merge(out, p)), (r["nr"], c["nc"])
+        found = [] if out is None else [(key[0].as_py(), key[1].as_py(), *shape, pack(out))]
+        kinds = (pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
+        return pa.Table.from_arrays([pa.array([f[k] for f in found], t) for k, t in enumerate(kinds)], names=["bi", "bj", "nr", "nc", "cells"])
+
+    met = left.groupBy(F.col("bi").alias("gi"), F.col("j").alias("gj")).cogroup(right.groupBy(F.col("i").alias("gi"), F.col("bj").alias("gj")))
+    return replace(b, df=met.applyInArrow(fold, BLOCK_SCHEMA), n_rows=a.n_rows, block_rows=a.block_rows, semiring=sr)
+
+
 def multiply_mllib(a: MatrixFrame, b: MatrixFrame, block: int) -> MatrixFrame:
     """MLlib's ``BlockMatrix.multiply`` (over RDDs), a check by other code."""
     from pyspark.mllib.linalg.distributed import CoordinateMatrix, MatrixEntry

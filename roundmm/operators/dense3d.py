@@ -7,7 +7,7 @@ from dataclasses import replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from roundmm.functions.placement import even_task, polynomial_task, rank_3d
@@ -60,18 +60,26 @@ def keyed(df: DataFrame, grid: Grid3D, tasks: int, placement: str) -> DataFrame:
     return df.withColumn("z", z).withColumn("task", task)
 
 
-def product_round(a: DataFrame, b: DataFrame, before: DataFrame | None, grid: Grid3D, r: int, tasks: int, semiring: Semiring, placement: str, by_id: bool = True) -> DataFrame:
+def product_round(a: DataFrame, b: DataFrame, before: DataFrame | None, grid: Grid3D, r: int, tasks: int, semiring: Semiring, placement: str, by_id: bool = True, watch: dict[str, Observation] | None = None) -> DataFrame:
     """Round ``r``: copies of A and B meet by rank, each pair is one reducer; partial sums of its slot join it there.
 
     ``z`` names row, column and slot, and so within a round the inner index too. Both sides are placed by the same
-    task ids, so joins on (task, z) need no other exchange.
+    task ids, so joins on (task, z) need no other exchange. ``watch`` gets, by side, observations of the pairs and words that
+    enter the shuffle, filled in by the round's own run.
     """
+
+    def seen(df: DataFrame, side: str, words) -> DataFrame:
+        if watch is None:
+            return df
+        watch[side] = Observation(f"round {r} side {side}")
+        return df.observe(watch[side], F.count(F.lit(1)).alias("pairs"), F.coalesce(F.sum(words), F.lit(0)).cast("long").alias("words"))
+
     left = grid.copies_of_a(a.select(F.col("bi").alias("i"), F.col("bj").alias("h"), "nr", F.col("nc").alias("nk"), F.col("cells").alias("ca")), r)
     right = grid.copies_of_b(b.select(F.col("bi").alias("h"), F.col("bj").alias("j"), F.col("nc").alias("nc"), F.col("cells").alias("cb")), r)
     place = (lambda df: df.repartitionById(tasks, F.col("task"))) if by_id else (lambda df: df.repartition(tasks, "z"))
     keys = ["task", "z"] if by_id else ["z"]
-    left = place(keyed(left, grid, tasks, placement))
-    right = place(keyed(right, grid, tasks, placement).select(*keys, "nc", "cb"))
+    left = place(seen(keyed(left, grid, tasks, placement), "A", F.col("nr").cast("long") * F.col("nk")))
+    right = place(seen(keyed(right, grid, tasks, placement).select(*keys, "nc", "cb"), "B", F.octet_length("cb") / 8))
     # merge: payloads spill, and neither side may be broadcast, however small it looks
     both = left.join(right.hint("merge"), keys).select(*keys, "i", "j", "slot", "nr", "nk", "nc", "ca", "cb")
     if before is None:
@@ -79,7 +87,7 @@ def product_round(a: DataFrame, b: DataFrame, before: DataFrame | None, grid: Gr
     live = before.where(F.col("slot") < grid.slots(r))
     h = F.pmod(F.col("i") + F.col("j") + F.col("slot") + r * grid.rho, F.lit(grid.qh)).cast("int")
     held = keyed(live.withColumn("h", h), grid, tasks, placement).select(*keys, *[F.col(c).alias(f"_{c}") for c in ("i", "j", "slot", "nr", "nc")], F.col("cells").alias("cc"))
-    held = place(held) if by_id else held
+    held = place(seen(held, "C", F.octet_length("cc") / 8)) if by_id else held
     met = both.join(held.hint("merge"), keys, "full").select(*[F.coalesce(c, f"_{c}").alias(c) for c in ("i", "j", "slot", "nr", "nc")], "nk", "ca", "cb", "cc")
     return fused(met, semiring).unionAll(before.where(F.col("slot") >= grid.slots(r)).select("i", "j", "slot", "nr", "nc", "cells"))
 
@@ -122,12 +130,14 @@ def multiply_3d(
     resume: bool = True,
     stop_after: int | None = None,
     elide_identity: bool = False,
+    watch: dict[int, dict[str, Observation]] | None = None,
 ) -> BlockFrame:
     """``A B`` in ``ceil(q / rho) + 1`` rounds; ``rho="max"`` is the monolithic product in two.
 
     ``carry``: ``accumulate`` reads, adds to and rewrites the slots each round; ``append`` writes fresh partial products and
     folds them all at the end; ``stationary`` keeps the slots in tables bucketed by rank, so only A and B move.
     ``elide_identity`` leaves out the last round where there is one slot, whose sum is itself.
+    ``watch`` gets, by product round, the observations of :func:`product_round`.
     """
     if carry not in CARRIES:
         raise ValueError(f"carry must be one of {CARRIES}")
@@ -152,7 +162,7 @@ def multiply_3d(
                 out.withColumn("z", z).write.mode("overwrite").bucketBy(tasks, "z").saveAsTable(name)
                 tables.append(name)
                 return spark.table(name).select("i", "j", "slot", "nr", "nc", "cells")
-            return product_round(a.df, b.df, before, grid, r, tasks, sr, placement)
+            return product_round(a.df, b.df, before, grid, r, tasks, sr, placement, watch=None if watch is None else watch.setdefault(r, {}))
         partials = before
         if carry == "append":
             partials = outs[0]

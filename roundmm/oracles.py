@@ -64,7 +64,7 @@ ORACLES["mm3d_sparse_dense_out"] = product(SUPP_PART, flip(SUPP_PART))
 ORACLES["mm3d_sparse_unknown"] = product(CUST_ORDER, ORDER_PART)
 for _key in ("join", "broadcast"):
     ORACLES[f"mm_{_key}"] = product(fold_a(), fold_b())
-for _key in ("outer", "local", "count"):
+for _key in ("outer", "local", "count", "cogroup"):
     ORACLES[f"mm_{_key}"] = dense()
 ORACLES["mm_rect_gram"] = product(GRAM, flip(GRAM))
 ORACLES["mm_gram_cols"] = product(flip(GRAM), GRAM)
@@ -132,6 +132,7 @@ select a.r::bigint as "row", b.c::bigint as col, min(a.v + b.v)::double as val f
 """
 ORACLES["mm_masked"] = f'with m as ({scatter(8192)}), p as ({product(scatter(8192), scatter(8192))}) select p."row", p.col, p.val from p join m on m.r = p."row" and m.c = p.col'
 ORACLES["mm_topk"] = f'select "row", col, val, rank from (select *, row_number() over (partition by "row" order by val desc, col) as rank from ({product(fold_a(), fold_b())})) where rank <= 3'
+ORACLES["mm_topk_lateral"] = f'select "row", col, val from ({ORACLES["mm_topk"]})'
 ORACLES["mm_sliced_chain"] = f'select "row", col, 2 * val as val from ({product(fold_a(), fold_b())}) where "row" < 10 and col >= 3 and col < 5'
 
 _grids = "(values " + ", ".join(f"({q}, {rho})" for q in (1, 2, 3, 4, 6, 8) for rho in range(1, q + 1)) + ") g(q, rho)"
@@ -159,6 +160,7 @@ l as (select rho, r, 'A' as side, count(*) as pairs from o group by 1, 2 union a
       union all select rho, r, 'C', count(*) from o where r > 0 group by 1, 2
       union all select rho, max(r) + 1, 'C', 16 * least(rho, 4) from o group by rho)"""
 ORACLES["cost3d_rounds"] = LEDGER + " select '3d' as method, rho, r::int as round, side, pairs::bigint as pairs, (pairs * 256)::bigint as words from l"
+ORACLES["mm3d_observed_words"] = LEDGER + " select r::int as round, side, pairs::bigint as pairs, (pairs * 256)::bigint as words from l where rho = 2 and r < 2"
 ORACLES["cost3d_total"] = LEDGER + " select rho, sum(pairs)::bigint as pairs, (sum(pairs) * 256)::bigint as words from l group by rho"
 ORACLES["cost2d_rounds"] = """
 with p as (select rho, i.x as i, j.x as j, ((j.x - i.x) % 16 + 16) % 16 // rho as r from (values (1), (2), (4), (8), (16)) g(rho), range(16) i(x), range(16) j(x))
@@ -202,6 +204,7 @@ with {_KEYS}, n as (select (961 * i + 31 * h + j) % 32 as task, count(*) as n fr
 select max(keys)::bigint as greatest, avg(keys)::double as mean, median(keys)::double as median, count(*) filter (where keys = 0)::bigint as idle from e
 """
 
+ORACLES["lower_bound_ratio"] = "select side::int as side, b::int as block, 2.0::double as ratio from (values (64), (128)) s(side), (values (8), (16)) t(b)"
 ORACLES["density_flops"] = f"""
 with m as ({scatter(8192)}), c as (select c as k, count(*) as x from m group by 1), r as (select r as k, count(*) as y from m group by 1),
 s as ({SUPP_PART}), t as (select c as k, count(*) as x from s group by 1)
@@ -268,3 +271,5 @@ ORACLES["stream_user_type"] = "select user_id, event_type, count(*)::bigint as n
 ORACLES["stream_incremental_product"] = f"""
 with {TRANSITIONS} select e.user_id as "row", t.c::bigint as col, sum(t.v)::double as val from events e join x on x.event_type = e.event_type join t on t.r = x.idx group by 1, 2
 """
+ORACLES["stream_batch_rounds"] = ORACLES["stream_incremental_product"]
+ORACLES["stream_deduplicated"] = "select event_id, user_id from events"

@@ -137,6 +137,12 @@ def _loads(spark: SparkSession, keys: DataFrame, tasks: int) -> DataFrame:
     return every.join(n, "task", "left").select("task", F.coalesce("n", F.lit(0)).alias("keys"))
 
 
+def two_round_ratio(side: int, block: int) -> float:
+    """Greatest shuffle of the monolithic product over the least that two rounds need, of the order of ``n q`` words."""
+    n, q = side * side, ceil_div(side, block)
+    return max(2 * q * n, q * n) / (n * q)
+
+
 def rounds_3d(side: int, block: int, rho: int) -> int:
     return ceil_div(ceil_div(side, block), rho) + 1
 

@@ -9,6 +9,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 from functools import cached_property
 
+from roundmm.functions.schedule import ceil_div
 from roundmm.model import MatrixFrame, to_blocks, to_coordinates
 from roundmm.operators import elementwise as ew
 from roundmm.operators.baselines import multiply_join
@@ -57,6 +58,27 @@ class Expr:
     def plan(self) -> str:
         return describe(optimize(self))
 
+    def explain_rounds(self, block: int, rho: int) -> str:
+        """Each product of the optimised tree with its rounds, and the words that it shuffles at most."""
+        lines: list[str] = []
+
+        def walk(e: Expr) -> None:
+            if isinstance(e, Product):
+                walk(e.a)
+                walk(e.b)
+                (n, k), m = e.a.shape, e.b.shape[1]
+                qi, qh, qj = (ceil_div(x, block) for x in (n, k, m))
+                r = min(rho, qh)
+                each = r * (qj * min(block, n) * min(block, k) * qi + qi * min(block, k) * min(block, m) * qj + n * m)
+                lines.append(f"{describe(e)}: grid {qi}x{qh}x{qj}, {ceil_div(qh, r) + 1} rounds, at most {each} words a round")
+            elif not isinstance(e, Leaf):
+                walk(e.a)
+                if isinstance(e, Sum):
+                    walk(e.b)
+
+        walk(optimize(self))
+        return "\n".join(lines)
+
 
 @dataclass(frozen=True)
 class Leaf(Expr):

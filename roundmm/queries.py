@@ -156,6 +156,7 @@ QUERIES["mm_join"] = lambda spark, d: base.multiply_join(fold_a(spark, d, N), fo
 QUERIES["mm_broadcast"] = lambda spark, d: base.multiply_broadcast(fold_a(spark, d, N), fold_b(spark, d, N)).df
 QUERIES["mm_outer"] = lambda spark, d: base.multiply_outer(fold_a(spark, d, N), fold_b(spark, d, N), 16, 2).df
 QUERIES["mm_local"] = lambda spark, d: base.multiply_local(fold_a(spark, d, N), fold_b(spark, d, N)).df
+QUERIES["mm_cogroup"] = lambda spark, d: to_coordinates(base.multiply_cogroup(*base.pipeline_blocks(fold_a(spark, d, N), fold_b(spark, d, N), 16))).df
 QUERIES["mm_mllib"] = lambda spark, d: base.multiply_mllib(fold_a(spark, d, N), fold_b(spark, d, N), 16).df
 
 
@@ -203,6 +204,25 @@ def mm_topk(spark: SparkSession, d: str) -> DataFrame:
     return ew.top_per_row(m, 3).select("row", "col", "val", F.col("rank").cast("long").alias("rank"))
 
 
+@query("mm_topk_lateral")
+def mm_topk_lateral(spark: SparkSession, d: str) -> DataFrame:
+    """The same by a lateral join: each row asks for its three greatest cells."""
+    m = stored(base.multiply_join(fold_a(spark, d, N), fold_b(spark, d, N)).df, "product")
+    rows = m.select(F.col("row").alias("r")).distinct()
+    top = m.where(F.col("row") == F.col("r").outer()).orderBy(F.desc("val"), "col").limit(3)
+    return rows.lateralJoin(top).select("row", "col", "val")
+
+
+@query("mm3d_observed_words")
+def mm3d_observed_words(spark: SparkSession, d: str) -> DataFrame:
+    """Pairs and words that entered each product round's shuffle, as observed while it ran."""
+    a, b = base.pipeline_blocks(fold_a(spark, d, N), fold_b(spark, d, N), 16)
+    watch: dict = {}
+    multiply_3d(a, b, 2, watch=watch)
+    rows = [(r, side, o.get["pairs"], o.get["words"]) for r, sides in watch.items() for side, o in sides.items()]
+    return spark.createDataFrame(rows, "round int, side string, pairs long, words long")
+
+
 @query("mm_sliced_chain")
 def mm_sliced_chain(spark: SparkSession, d: str) -> DataFrame:
     """A slice of a scaled product: the slice reaches the scans, the factor is pulled out."""
@@ -308,6 +328,9 @@ def plan_choice(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "side int, mem long, budget_groups int, block int, q int, rho int, rounds int, total_words double")
 
 
+QUERIES["lower_bound_ratio"] = lambda spark, d: spark.createDataFrame([(side, block, costs.two_round_ratio(side, block)) for side in (64, 128) for block in (8, 16)], "side int, block int, ratio double")
+
+
 @query("component_times")
 def component_times(spark: SparkSession, d: str) -> DataFrame:
     a, b = base.pipeline_blocks(fold_a(spark, d, N), fold_b(spark, d, N), 16)
@@ -514,6 +537,22 @@ def stream_incremental_product(spark: SparkSession, d: str) -> DataFrame:
     return stream.run_to_table(stream.incremental_product(stream.event_stream(spark, stream.split_events(spark, d)), b))
 
 
+@query("stream_batch_rounds")
+def stream_batch_rounds(spark: SparkSession, d: str) -> DataFrame:
+    """The same product, each micro-batch a committed round."""
+    axis = ew.axis_index(load(spark, d, "events"), "event_type")
+    b = apps.transitions(spark, d).df.join(F.broadcast(axis.select("event_type", F.col("idx").alias("row"))), "row").select("event_type", "col", F.col("val").alias("weight"))  # five types
+    return stream.product_by_batches(stream.event_stream(spark, stream.split_events(spark, d)), stored(b, "transitions"), RoundStore(spark))
+
+
+@query("stream_deduplicated")
+def stream_deduplicated(spark: SparkSession, d: str) -> DataFrame:
+    """Events replayed once more, counted once."""
+    path = stream.split_events(spark, d)
+    load(spark, d, "events").repartitionByRange(2, "ts").write.mode("append").parquet(path)
+    return stream.run_to_table(stream.once(stream.event_stream(spark, path, 10)).select("event_id", "user_id"), "append")
+
+
 @query("stream_daily_windows")
 def stream_daily_windows(spark: SparkSession, d: str) -> DataFrame:
     """Closed daily windows; rows only, as the last ones stay open."""

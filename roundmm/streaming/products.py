@@ -7,6 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from roundmm.plans.rounds import RoundStore, plan_hash
 from roundmm.scratch import fresh_path
 from roundmm.sources.tables import load
 
@@ -69,3 +70,27 @@ def close_pairs(events: DataFrame, seconds: int = 3600) -> DataFrame:
     b = ev.select("user_id", F.col("ts").alias("t2"), F.col("event_id").alias("e2")).withWatermark("t2", "2 days")
     near = (F.col("t2") >= F.col("t1")) & (F.col("t2") <= F.col("t1") + F.expr(f"interval {seconds} seconds")) & (F.col("e1") != F.col("e2"))
     return a.join(b, (F.col("u") == F.col("user_id")) & near).select("u", "e1", "e2")
+
+
+def product_by_batches(events: DataFrame, b: DataFrame, store: RoundStore) -> DataFrame:
+    """The same product, each micro-batch a committed round of ``store``: its own share ``dA B`` under its number. A batch that
+    was committed before a crash is not run again. The result folds the committed shares."""
+    out = events.sparkSession
+    digest = plan_hash(kind="stream product", columns=b.columns)
+
+    def commit(batch: DataFrame, number: int) -> None:
+        if number not in store.committed(digest):
+            store.commit("stream", digest, number, 1, incremental_product(batch, b))
+
+    q = events.writeStream.foreachBatch(commit).trigger(availableNow=True).option("checkpointLocation", fresh_path(out, "stream-state")).start()
+    q.awaitTermination()
+    shares = [out.read.parquet(p) for p in store.committed(digest).values()]
+    total = shares[0]
+    for s in shares[1:]:
+        total = total.unionAll(s)
+    return total.groupBy("row", "col").agg(F.sum("val").alias("val"))
+
+
+def once(events: DataFrame, late: str = "2 days") -> DataFrame:
+    """Events without replays, their ids remembered as long as the watermark allows."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])

@@ -1,5 +1,6 @@
 """The experiment sweeps: block side, replication, components, 2D against 3D, size doubling, sparse products, partitioner,
-restarts. Each gives a DataFrame of measured rows; ``python -m roundmm.workloads NAME... [--sf DIR]`` prints them.
+restarts. Each gives a DataFrame of measured rows; ``python -m roundmm.workloads NAME... [--sf DIR] [--cores N]`` prints them; for speed-up over workers run
+``replications`` with several ``--cores``.
 
 Times of small matrices are nearly all fixed cost of a round, so the sweeps of times use generated matrices of some
 thousand rows; the given tables are used where counts are measured.
@@ -154,8 +155,9 @@ WORKLOADS = {
 
 def main(args: list[str]) -> None:
     sf_dir = args[args.index("--sf") + 1] if "--sf" in args else "/root/testdata/sf0.1"
+    cores = args[args.index("--cores") + 1] if "--cores" in args else "8"
     names = [a for a in args if a in WORKLOADS] or list(WORKLOADS)
-    spark = SparkSession.builder.master("local[8]").config("spark.driver.memory", "12g").config("spark.sql.shuffle.partitions", "16").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").getOrCreate()
+    spark = SparkSession.builder.master(f"local[{cores}]").config("spark.driver.memory", "12g").config("spark.sql.shuffle.partitions", "16").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
     multiply_3d(*pipeline_blocks(signed(spark, 64), signed(spark, 64), 16), 2)  # warm-up
     for name in names:

@@ -347,6 +347,15 @@ def test_algebra(spark):
     assert describe(optimize((x.T @ y.T).T)) == "(10x10 @ 10x10)" and (a @ b).lower().df.count() == 100
 
 
+def test_observed_words_and_round_texts(spark, blocks):
+    watch = {}
+    multiply_3d(*blocks, 2, watch=watch)
+    assert {r: {k: o.get["words"] for k, o in sides.items()} for r, sides in watch.items()} == {0: {"A": 200, "B": 200}, 1: {"A": 200, "B": 200, "C": 200}}
+    x = leaf(of_array(spark, X))
+    assert (x @ x).explain_rounds(4, 1) == "(10x10 @ 10x10): grid 3x3x3, 4 rounds, at most 388 words a round"
+    assert np.array_equal(array(to_coordinates(base.multiply_cogroup(*blocks))), X @ Y)
+
+
 def test_chain_order(spark):
     wide, tall = of_array(spark, ints(1, 2, 40)), of_array(spark, ints(2, 40, 2))
     e = leaf(tall) @ leaf(wide) @ leaf(tall)
