@@ -25,10 +25,9 @@ def block_axis(spark: SparkSession, side: int, block: int, name: str) -> DataFra
 
 def block_pairs(spark: SparkSession, rows: tuple[int, int], cols: tuple[int, int], names: tuple[str, str]) -> DataFrame:
     """Descriptions of all blocks of a dense matrix, a row a block, and their words."""
-    r, c = block_axis(spark, *rows, names[0]), block_axis(spark, *cols, names[1])
-    q, (b, n) = ceil_div(cols[0], cols[1]), (cols[1], cols[0])
-    del c
-    each = r.withColumn(names[1], F.explode(F.sequence(F.lit(0), F.lit(q - 1))))
+    n, b = cols
+    q = ceil_div(n, b)
+    each = block_axis(spark, *rows, names[0]).withColumn(names[1], F.explode(F.sequence(F.lit(0), F.lit(q - 1))))
     return each.select(*names, (F.col(f"n_{names[0]}") * F.least(F.lit(b), F.lit(n) - F.col(names[1]) * b)).cast("long").alias("words"))
 
 

@@ -133,10 +133,8 @@ def mm3d_sparse_dense_out(spark: SparkSession, d: str) -> DataFrame:
 
 @query("mm3d_sparse_unknown")
 def mm3d_sparse_unknown(spark: SparkSession, d: str) -> DataFrame:
-    o = load(spark, d, "orders")
     a, b = apps.customer_order(spark, d), apps.order_part(spark, d)
     n = max(a.n_cols, b.n_rows)
-    del o
     a, b = MatrixFrame(a.df, a.n_rows, n, COUNT), MatrixFrame(b.df, n, b.n_cols, COUNT)
     return multiply_3d_sparse(a, b, 15_000, 2, density="input_only").df
 

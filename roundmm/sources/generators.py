@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
@@ -28,16 +28,20 @@ def dense_random(spark: SparkSession, rows: int, cols: int, seed: int = 1) -> Ma
 
 
 def er_random(spark: SparkSession, n: int, delta: float, seed: int = 1) -> MatrixFrame:
-    """Each cell is 1 with chance ``delta``, independently. Gaps between cells are drawn row by row (so work follows
-    the entries, not the cells): each row draws a geometric gap for each expected entry and a margin."""
+    """Each cell is 1 with chance ``delta``, independently. Every row draws geometric gaps between its entries, as many as it
+    may need, so work follows the entries and not the cells. For few entries a row, as sparse matrices have."""
     most = int(n * delta + 8 * (n * delta) ** 0.5 + 8)
-    gap = F.floor(F.log((F.pmod(F.xxhash64("row", "k", F.lit(seed)), F.lit(1 << 40)) + 1) / F.lit(float((1 << 40) + 1))) / F.log1p(F.lit(-min(delta, 1 - 1e-12)))) + 1
-    rows = spark.range(n).select(F.col("id").alias("row"))
-    gaps = F.transform(F.sequence(F.lit(1), F.lit(most)), lambda k: F.floor(F.log((F.pmod(F.xxhash64(F.col("row"), k, F.lit(seed)), F.lit(1 << 40)) + 1) / F.lit(float((1 << 40) + 1))) / F.log1p(F.lit(-min(delta, 1 - 1e-12)))).cast("long") + 1)
-    del gap
+    rate = F.log1p(F.lit(-min(delta, 1 - 1e-12)))
+
+    def gap(k: Column) -> Column:
+        u = (F.pmod(F.xxhash64(F.col("row"), k, F.lit(seed)), F.lit(1 << 40)) + 1) / F.lit(float((1 << 40) + 1))
+        return F.floor(F.log(u) / rate).cast("long") + 1
+
+    gaps = F.transform(F.sequence(F.lit(1), F.lit(most)), gap)
     ends = F.aggregate(gaps, F.array(F.lit(0).cast("long")), lambda acc, g: F.concat(acc, F.array(F.element_at(acc, -1) + g)))
-    cells = rows.select("row", F.explode(F.slice(ends, 2, most)).alias("_c")).where(F.col("_c") <= n).select("row", (F.col("_c") - 1).alias("col"), F.lit(1.0).alias("val"))
-    return MatrixFrame(cells, n, n)
+    rows = spark.range(n).select(F.col("id").alias("row"))
+    cells = rows.select("row", F.explode(F.slice(ends, 2, most)).alias("_end")).where(F.col("_end") <= n)
+    return MatrixFrame(cells.select("row", (F.col("_end") - 1).alias("col"), F.lit(1.0).alias("val")), n, n)
 
 
 def identity(spark: SparkSession, n: int, semiring: Semiring = PLUS_TIMES) -> MatrixFrame:
