@@ -88,8 +88,6 @@ def test_trigram_counts_match_brute_force(documents):
     texts = ["Ab ab", "b", "", None]
     got = {r.gram: r.n for r in toxicity.trigram_counts(documents(list(enumerate(texts)))).collect()}
     table, want = toxicity.symbol_table(), {}
-    for t in ["", *[x or "" for x in texts], ""]:
-        del t
     s = [int(table[ord(c)]) for c in "  ".join(["", *[x or "" for x in texts], ""]).lower()]
     n = toxicity.SYMBOLS
     total = sum(got.values())
