@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import empty_text, md5_key
+from roundmm.llm.common import empty_text, md5_key, sliced
 from roundmm.llm.textnum import joined, mix, powers, slices, words
 
 #: Most labelled rows that a model is fitted on.
@@ -146,7 +146,7 @@ def train(docs: DataFrame, labels: DataFrame, usable: Column, limit: int = TRAIN
     """Fit on the sample; only hashed features (not texts) reach the driver."""
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches):
             found = features([x.as_py().encode() if x.is_valid else b"" for x in batch["text"]])
             yield pa.RecordBatch.from_arrays(
                 [batch["doc_id"], batch["label"], pa.array([f.astype("<i4").tobytes() for f in found], pa.binary())], names=["doc_id", "label", "found"]
@@ -164,7 +164,9 @@ def score_of(text: Column, model: Model, spark: SparkSession) -> Column:
     def score(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         model = sent.value
         for part in parts:
-            yield pa.array([model.score(f) for f in features(part.cast(pa.binary()).to_pylist())], pa.float64())
+            # in slices: the features of a whole batch would be several times its size
+            pieces = (part.slice(at, 256).cast(pa.binary()).to_pylist() for at in range(0, len(part), 256))
+            yield pa.array([model.score(f) for texts in pieces for f in features(texts)], pa.float64())
 
     return score(text)
 
