@@ -17,7 +17,7 @@ from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import empty_text
+from roundmm.llm.common import empty_text, sliced
 from roundmm.llm.textnum import joined, rolling, slices
 
 GRAM = 10
@@ -160,7 +160,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
         def scan(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
             index = sent.value
-            for batch in batches:
+            for batch in sliced(batches):
                 hit = regions(batch["text"].cast(pa.binary()).to_pylist(), index)
                 yield pa.RecordBatch.from_arrays(
                     [

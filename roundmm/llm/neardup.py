@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import components, empty_text, free_shuffles, stored
+from roundmm.llm.common import components, empty_text, free_shuffles, sliced, stored
 from roundmm.llm.textnum import mix, shingles
 
 TOKENS = 64
@@ -69,7 +69,7 @@ def profiled(docs: DataFrame, words: int = 5) -> DataFrame:
     """``doc_id, n_shingles, n_bytes, d1, d2, tokens``: set size, text size, a 128-bit digest of the set, its minwise tokens."""
 
     def profile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches):
             texts = batch["text"].cast(pa.binary()).to_pylist()
             sets = shingles(texts, words)
             once, again = [], []
