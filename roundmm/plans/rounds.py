@@ -12,7 +12,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from roundmm.scratch import fresh_path, path_exists, remove
+from roundmm.scratch import fresh_path, path_exists, read_texts, remove, write_text
 
 MANIFEST = (
     "job string, plan_hash string, round int, slots int, status string, seconds double, path string"
@@ -61,18 +61,22 @@ class RoundStore:
             self.path = fresh_path(self.spark, "rounds")
 
     def committed(self, digest: str) -> dict[int, str]:
-        """Paths of committed rounds. A manifest of another plan raises: its rounds must not be mixed with these."""
-        if self.mode != "parquet" or not path_exists(self.spark, f"{self.path}/manifest"):
+        """Paths of committed rounds, of stores that outlive the driver. A manifest of another plan raises: its rounds must not be mixed with these."""
+        if self.mode != "parquet":
             return {}
-        rows = self.spark.read.schema(MANIFEST).json(f"{self.path}/manifest").where("status = 'committed'").collect()  # a row a round
+        rows = [r for r in self._rows() if r["status"] == "committed"]
         if any(r["plan_hash"] != digest for r in rows):
             raise ValueError("the store holds rounds of another plan")
         return {r["round"]: r["path"] for r in rows}
 
+    def _rows(self) -> list[dict]:
+        """Manifest rows, one small file each; no Spark job."""
+        if self.mode != "parquet":
+            return self.ledger
+        return sorted((json.loads(t) for t in read_texts(self.spark, f"{self.path}/manifest", ".json")), key=lambda r: r["round"])
+
     def manifest(self) -> DataFrame:
-        if self.mode == "parquet" and path_exists(self.spark, f"{self.path}/manifest"):
-            return self.spark.read.schema(MANIFEST).json(f"{self.path}/manifest")
-        return self.spark.createDataFrame([tuple(x[c.split()[0]] for c in MANIFEST.split(", ")) for x in self.ledger], MANIFEST)
+        return self.spark.createDataFrame([tuple(x[c.split()[0]] for c in MANIFEST.split(", ")) for x in self._rows()], MANIFEST)
 
     def commit(self, job: str, digest: str, r: int, slots: int, df: DataFrame) -> DataFrame:
         began = time.time()
@@ -95,8 +99,7 @@ class RoundStore:
         row = {"job": job, "plan_hash": digest, "round": r, "slots": slots, "status": "committed", "seconds": time.time() - began, "path": where}
         self.ledger.append(row)
         if self.mode == "parquet":
-            one = self.spark.createDataFrame([tuple(row.values())], MANIFEST)
-            one.coalesce(1).write.mode("append").json(f"{self.path}/manifest")
+            write_text(self.spark, f"{self.path}/manifest/round-{r}.json", json.dumps(row))
         return out
 
 
