@@ -14,11 +14,12 @@ from roundmm.operators import baselines as base
 from roundmm.operators import elementwise as ew
 from roundmm.operators.dense2d import multiply_2d, strips
 from roundmm.operators.dense3d import multiply_3d, product_round, grid_of
-from roundmm.operators.sparse3d import coo_product, multiply_3d_sparse, sparse_grid
+from roundmm.operators.sparse3d import coo_product, long_round, multiply_3d_sparse, sparse_grid
 from roundmm.plans import costs, density
 from roundmm.plans.planner import plan, plan_3d
 from roundmm.plans.rewrite import describe, leaf, optimize
 from roundmm.plans.rounds import RoundStore, Stopped
+from roundmm.scratch import stored
 from roundmm.sources import generators as gen
 
 
@@ -211,6 +212,16 @@ def test_sparse_3d(spark, encoding, rho):
     assert np.array_equal(array(got), x @ y)
 
 
+def test_sparse_rounds_reuse_the_placement(spark):
+    a = of_array(spark, ints(12, 20, 20, 0.2), sparse=True)
+    g = sparse_grid(a, a, 5, 2)
+    first = long_round(a, a, None, g, 5, 0, 4)
+    held = stored(first, "held")
+    for df, exchanges in ((first, 2), (long_round(a, a, held, g, 5, 1, 4), 3)):
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert plan.count("Exchange shufflepartitionidpassthrough") == exchanges and "hashpartitioning" not in plan
+
+
 def test_sparse_sizes(spark):
     a = gen.er_random(spark, 300, 0.02, 3)
     assert abs(a.df.count() / 90_000 - 0.02) < 0.003
