@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from roundmm.llm import decontam, mixing, neardup, quality, sharding
 from roundmm.llm.common import remainder, stored, table
+from roundmm.ship import shipped
 
 SHARDS = 40
 
@@ -36,11 +37,11 @@ def shard_plan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 STAGES = [
-    ("quality classifier", good_documents),
-    ("minhash near-dedup", one_of_each_group),
-    ("benchmark decontamination", without_benchmarks),
-    ("mixing sources to target weights", target_mixture),
-    ("sharding", shard_plan),
+    ("quality classifier", shipped(good_documents)),
+    ("minhash near-dedup", shipped(one_of_each_group)),
+    ("benchmark decontamination", shipped(without_benchmarks)),
+    ("mixing sources to target weights", shipped(target_mixture)),
+    ("sharding", shipped(shard_plan)),
 ]
 
 #: A fitted classifier isn't SQL; the pipeline is tested against its operators' brute-force versions.
