@@ -230,7 +230,8 @@ def media_report(docs: DataFrame) -> DataFrame:
     store = chunk_store(docs)
     free_shuffles(docs.sparkSession)
     # a payload stored by several equal rows is described as often: once is enough
-    found = read_features(store).groupBy("key").agg(*[F.first(c).alias(c) for c in NAMES[1:]])
+    # and stored, so that the join has an exchange on either side and Spark may split a payload with many copies
+    found = stored(read_features(store).groupBy("key").agg(*[F.first(c).alias(c) for c in NAMES[1:]]), "features")
     raw = empty_text().cast("binary")
     rows = docs.select("doc_id", F.octet_length(raw).cast("long").alias("n_bytes"), payload_key(empty_text()).alias("key"))
     return rows.join(found, "key").select("doc_id", "n_bytes", *NAMES[1:])
