@@ -124,6 +124,26 @@ def test_line_links_match_brute_force(documents):
     assert {(r.a, r.b) for r in linededup.links(docs.select("text"), linededup.Settings()).collect()} == want and want
 
 
+def test_links_with_edits_by_length(documents):
+    rng = random.Random(8)
+    lines = ["".join(rng.choice("abcdé ") for _ in range(rng.randrange(7, 26))) for _ in range(60)]
+    lines += [edited(rng, rng.choice(lines), rng.randrange(1, 4), "abcdé ") for _ in range(140)]
+    docs = documents([(k, "\n".join(lines[k * 4 : k * 4 + 4])) for k in range(50)])
+    budget = lambda a, b: (n := min(len(a), len(b))) >= 20 and 2 or int(n >= 10)
+    near = [(a, b) for a, b in combinations(sorted({x.strip() for x in lines}), 2) if 0 < distance(a, b) <= budget(a, b)]
+    assert {tuple(sorted(map(len, p))) for p in near} >= {(19, 20)} and any(len(a) < 19 for a, _ in near)
+    want = {tuple(sorted((linededup.line_id(a), linededup.line_id(b)))) for a, b in near}
+    assert {(r.a, r.b) for r in linededup.links(docs.select("text"), linededup.BY_LENGTH).collect()} == want
+
+
+def test_short_lines_join_as_equals(documents):
+    docs = documents([(1, "Les.\n\nalone"), (2, " Les. \n\nLet."), (3, "And ornd. And\nLes."), (4, "And ornd, And")])
+    got = {r.doc_id: (r.n_lines, r.n_kept, r.n_short, r.n_short_kept, r.n_links) for r in linededup.line_report(docs).collect()}
+    assert got == {1: (0, 0, 2, 2, 0), 2: (0, 0, 2, 1, 0), 3: (0, 0, 2, 1, 1), 4: (0, 0, 1, 0, 1)}
+    texts = {r.doc_id: r.text for r in linededup.without_repeats(docs).collect()}
+    assert texts == {1: "Les.\n\nalone", 2: "\nLet.", 3: "And ornd. And", 4: ""}
+
+
 def test_line_report(documents):
     one, near, other = "this line is long enough to count", "this line is long enough to counts", "a line that stands all alone here"
     got = {r.doc_id: r for r in linededup.line_report(documents([(2, f"{one}\nshort\n{other}"), (1, near), (3, f"{one}\n{one}")])).collect()}
