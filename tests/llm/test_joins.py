@@ -144,6 +144,17 @@ def test_short_lines_join_as_equals(documents):
     assert texts == {1: "Les.\n\nalone", 2: "\nLet.", 3: "And ornd. And", 4: ""}
 
 
+def test_document_classes_are_components(documents):
+    rng = random.Random(11)
+    lines = [f"{k:03d} " + "".join(rng.choice("abcdefgh ") for _ in range(30)) + "." for k in range(60)]
+    rows = [(k, [rng.choice(lines) for _ in range(rng.randrange(0, 4))] + [f"{k} alone"]) for k in range(100, 60, -1)]
+    rows += [(10, ["L" * 30, "own of ten"]), (20, ["L" * 30, "M" * 8]), (3, ["M" * 8]), (None, [lines[0], lines[1]]), (300, ["only the null document"]), (None, ["only the null document"])]
+    want = smallest([d for d, _ in rows if d], [(a, b) for (a, x), (b, y) in combinations([r for r in rows if r[0]], 2) if set(x) & set(y)] + [(a, b) for a, b in combinations([d for d, x in rows if d and set(x) & {lines[0], lines[1], "only the null document"}], 2)])
+    got = {r.doc_id: r.class_id for r in linededup.line_report(documents([(d, "\n".join(x)) for d, x in rows])).collect()}
+    assert got.pop(None) == want[300] and got == want
+    assert got[10] == got[20] == got[3] == 3
+
+
 def test_line_report(documents):
     one, near, other = "this line is long enough to count", "this line is long enough to counts", "a line that stands all alone here"
     got = {r.doc_id: r for r in linededup.line_report(documents([(2, f"{one}\nshort\n{other}"), (1, near), (3, f"{one}\n{one}")])).collect()}
