@@ -20,6 +20,13 @@ def order_part(spark: SparkSession, d: str) -> MatrixFrame:
     return incidence(li, "l_orderkey", "l_partkey", side(li, "l_orderkey"), side(li, "l_partkey"))
 
 
+def rows_without_top(cells: DataFrame) -> DataFrame:
+    """``row, col``: the rows of ``cells(row, col)`` without the column that most cells have (ties: the smallest)."""
+    top = cells.groupBy("col").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "col").limit(1).select("col")
+    rows = cells.select("row").distinct()
+    return rows.crossJoin(F.broadcast(top)).join(cells.select("row", "col"), ["row", "col"], "left_anti").select("row", "col")  # one column
+
+
 def copurchase(spark: SparkSession, d: str, q: int = 4, rho: int = 2) -> MatrixFrame:
     """Parts by parts: orders that hold both."""
     x = order_part(spark, d)

@@ -68,6 +68,15 @@ def masked_product(a: MatrixFrame, b: MatrixFrame, pattern: MatrixFrame) -> Matr
     return MatrixFrame(met.groupBy("row", "col").agg(sr.plus(sr.times(F.col("x"), F.col("y"))).alias("val")), a.n_rows, b.n_cols, sr)
 
 
+def band_product(a: MatrixFrame, b: MatrixFrame, width: int) -> MatrixFrame:
+    """Products of the cells of A and B whose inner coordinates differ by at most ``width``, summed by cell: each cell of A
+    goes to the coordinates of its band, which makes it an equi-join."""
+    sr = a.semiring
+    left = a.df.select("row", F.explode(F.sequence(F.col("col") - width, F.col("col") + width)).alias("k"), F.col("val").alias("x"))
+    met = left.join(b.df.select(F.col("row").alias("k"), "col", F.col("val").alias("y")), "k")
+    return MatrixFrame(met.groupBy("row", "col").agg(sr.plus(sr.times(F.col("x"), F.col("y"))).alias("val")), a.n_rows, b.n_cols, sr)
+
+
 def top_per_row(m: MatrixFrame, k: int) -> DataFrame:
     w = Window.partitionBy("row").orderBy(F.desc("val"), "col")
     return m.df.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)

@@ -391,6 +391,12 @@ def op_band_join(spark: SparkSession, d: str) -> DataFrame:
     return a.join(b, F.col("at") == F.col("row")).select(F.col("col").alias("a_col"), F.col("row").alias("b_row"), (F.col("x") * F.col("y")).alias("val"))
 
 
+@query("op_band_product")
+def op_band_product(spark: SparkSession, d: str) -> DataFrame:
+    """The product of A and B over all pairs of inner coordinates that differ by at most one."""
+    return ew.band_product(fold_a(spark, d, N), fold_b(spark, d, N), 1).df
+
+
 @query("op_asof_value")
 def op_asof_value(spark: SparkSession, d: str) -> DataFrame:
     """Each user's latest value at every sixth hour mark: marks and events in one order by user, the last value carried on."""
@@ -424,6 +430,12 @@ def op_missing_cells(spark: SparkSession, d: str) -> DataFrame:
     return orders.crossJoin(F.broadcast(top)).join(x.select("row", "col"), ["row", "col"], "left_anti").select("row", "col")  # one part
 
 
+@query("op_missing_all")
+def op_missing_all(spark: SparkSession, d: str) -> DataFrame:
+    """Every order without the most frequent part."""
+    return apps.rows_without_top(apps.order_part(spark, d).df)
+
+
 @query("op_words_by_side")
 def op_words_by_side(spark: SparkSession, d: str) -> DataFrame:
     x = ledger(spark)
@@ -484,6 +496,9 @@ QUERIES["op_top_cells"] = lambda spark, d: fold_a(spark, d, N).df.orderBy(F.desc
 QUERIES["op_pattern"] = lambda spark, d: density.pattern(scatter(spark, d, 8192).rows(0, 200), scatter(spark, d, 8192))
 
 
+QUERIES["op_pattern_all"] = lambda spark, d: density.pattern(scatter(spark, d, 8192), scatter(spark, d, 8192))
+
+
 def _halves(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     m = scatter(spark, d, 1024).df.select("row", "col")
     other = scatter(spark, d, 1024).df.select(F.col("col").alias("row"), F.col("row").alias("col"))

@@ -52,3 +52,15 @@ def test_measures_without_sql(spark, sf_dir):
     b = {(r[0], r[1]): r[2] for r in QUERIES["mm_join"](spark, sf_dir).collect()}
     assert {k: v for k, v in a.items() if v} == {k: v for k, v in b.items() if v}
     assert QUERIES["plan_choice"](spark, sf_dir).count() == 18
+
+
+@pytest.mark.parametrize("name", ["op_missing_all", "op_band_product", "op_pattern_all"])
+def test_whole_tables_equal_sql(spark, duck, sf_dir, name):
+    test_query_equals_sql(spark, duck, sf_dir, name)
+
+
+def test_no_row_is_left_out(spark, sf_dir):
+    orders = QUERIES["op_missing_all"](spark, sf_dir)
+    assert orders.where("row >= 100").count() > 0
+    assert QUERIES["op_pattern_all"](spark, sf_dir).where("row >= 200").count() > 0
+    assert QUERIES["op_band_product"](spark, sf_dir).where("row <> 5 and col <> 7").count() > 0
