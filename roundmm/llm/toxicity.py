@@ -34,8 +34,11 @@ STANDS_FOR = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8":
 APART = ".-_ ,/~'"
 SPLIT = re.compile(f"[{re.escape(APART)}]+")
 EDGES = ".,;:!?\"'()[]{}%&#*~<>=/\\^`-_…«»¿¡“”‘’"
+#: Signs that are punctuation at a token's ends, or letters; both readings are taken.
+SIGNS = "".join(c for c in STANDS_FOR if c in EDGES)
+PLAIN_EDGES = "".join(c for c in EDGES if c not in STANDS_FOR)
 THRICE = re.compile(r"([^\W\d_])\1\1")
-REPEATED = re.compile(r"([^\W\d_])\1+")
+REPEATED = re.compile(r"([^\W\d_])\1")
 
 
 def symbol_table() -> np.ndarray:
@@ -110,7 +113,9 @@ class Restorer:
             if c.isalpha():
                 out.append([(c, 0.0)] if j == i + 1 else [(c, 1.0 if j == i + 2 else 0.5), (c + c, 0.0 if j == i + 2 else 1.0)])
             elif c in STANDS_FOR:
-                own = [(x, 1.0) for x in STANDS_FOR[c]] + [(" ", 9.0)] + ([("", 3.0)] if c in "*!|" else [])
+                own = [(x, 1.0) for x in STANDS_FOR[c]]
+                if c not in SIGNS or (i and j < len(token)):  # at an end the reading without the sign is taken beside
+                    own += [(" ", 9.0)] + ([("", 3.0)] if c in "*!|" else [])
                 out += [own] * (1 if j - i > 2 else j - i)
             elif c in APART:
                 out.append([("", 1.0), (" ", 4.0)] if letters_apart else [("", 2.5), (" ", 0.5)])
@@ -154,13 +159,16 @@ class Restorer:
         out: list[str] = []
         singles: list[str] = []
         text = text.lower()
-        stretched = THRICE.search(text) is not None
 
         def end_of_singles() -> None:
-            if len(singles) >= 3:
-                out.extend(self.decode(" ".join(singles)).split())
+            for run in readings("".join(singles), "".join(singles).strip(SIGNS)):
+                if len(run) >= 3:
+                    out.extend(self.decode(" ".join(run)).split())
+            core = "".join(singles).strip(SIGNS)
+            if len(core) >= 3:
+                out.extend(self.decode(" ".join(core)).split())
             else:
-                out.extend(singles)
+                out.extend(c for c in core if c not in SIGNS)
             singles.clear()
 
         for token in text.split():
@@ -168,14 +176,20 @@ class Restorer:
             if len(core) == 1:
                 singles.append(core)
                 continue
+            if not core:  # a sign by itself may be a letter of a run; separators leave a run open
+                if token in STANDS_FOR:
+                    singles.append(token)
+                continue
             if singles:
                 end_of_singles()
-            if not core:
-                continue
+            if core is not token and any(map(str.isalpha, core)):
+                for x in readings(token.strip(PLAIN_EDGES), core):
+                    out.extend(self.decode(x).split())
             if core.isalpha():
-                if stretched and THRICE.search(core):
-                    out.extend(self.decode(core).split())
-                else:
+                twice = REPEATED.search(core)
+                if twice:
+                    out.extend(x for x in self.decode(core).split() if x != core)
+                if not twice or not THRICE.search(core):
                     out.append(core)
                 continue
             if core[-1] == core[-3:-2] and core[-1] in "$@+|":  # a run of signs behind a word is decoration
@@ -186,6 +200,15 @@ class Restorer:
         return out
 
 
+def readings(whole: str, core: str) -> list[str]:
+    """``core`` with the signs around it in ``whole`` as letters: at either end none, the nearest one, or all of them."""
+    if not core:
+        return []
+    before, _, after = whole.partition(core)
+    left, right = ("".join(c for c in x if c in SIGNS) for x in (before, after))
+    return list(dict.fromkeys(x + core + y for x in ("", left[-1:], left) for y in ("", right[:1], right) if x or y))
+
+
 def marks(words: list[str]) -> set[str]:
     """What may mark a text: whole words and word beginnings, a blank for a word's border."""
     out = set()

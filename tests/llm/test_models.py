@@ -84,6 +84,19 @@ def test_toxicity_on_held_out_and_disguised_rows(documents, toxic):
     assert all(got[i] < 0.7 for i in range(len(hidden), len(got))), got
 
 
+def test_doubled_letters_edge_signs_and_spaced_signs(documents, toxic):
+    docs, labels = toxic
+    restorer = toxicity.Restorer(toxicity.language_model(docs))
+    for text, word in (("!diot", "idiot"), ('"(!diot)".', "idiot"), ("iidiiot", "idiot"), ("sscuumm", "scum"), ("i d ! o t", "idiot"), ("m - o - r - o - n", "moron"), ("! d i o t", "idiot")):
+        assert word in restorer.words(f"the {text} town"), (text, restorer.words(f"the {text} town"))
+    assert {"town", "and", "trees"} <= set(restorer.words("a town! (and) trees"))
+    model = toxicity.train(docs, labels, remainder(3) != 1)
+    hidden = ["you !diot of the river", "the sscuumm went on", "so i d ! o t we went", "the m - o - r - o - n of the town"]
+    clean = ["the town! (and the trees) of the valley*", "see a - b - c of the town", "* a b * the river !"]
+    got = {r.doc_id: r.score for r in toxicity.scored(documents(list(enumerate(hidden + clean))), model).collect()}
+    assert all((got[i] >= 0.7) == (i < len(hidden)) for i in got), got
+
+
 def test_trigram_counts_match_brute_force(documents):
     texts = ["Ab ab", "b", "", None]
     got = {r.gram: r.n for r in toxicity.trigram_counts(documents(list(enumerate(texts)))).collect()}
