@@ -120,6 +120,34 @@ def tokens(df: DataFrame, key: str, text: str = "text") -> DataFrame:
     return df.select(key, F.explode(F.expr(f"regexp_extract_all(lower({text}), '[a-z]+', 0)")).alias("token"))
 
 
+def token_overlap(df: DataFrame, row: str, other: DataFrame, col: str) -> DataFrame:
+    """``row, col, val``: products of the token counts of ``df(row, token)`` and ``other(col, token)``, over every token.
+    The inner index is the token itself, so it needs no dictionary."""
+    a = df.groupBy(F.col(row).alias("row"), "token").agg(F.count(F.lit(1)).cast("double").alias("x"))
+    b = other.groupBy(F.col(col).alias("col"), "token").agg(F.count(F.lit(1)).cast("double").alias("y"))
+    return a.join(b, "token").groupBy("row", "col").agg(F.sum(F.col("x") * F.col("y")).alias("val"))
+
+
+def source_overlap(spark: SparkSession, d: str) -> DataFrame:
+    t = tokens(load(spark, d, "documents"), "source")
+    return token_overlap(t, "source", t, "source")
+
+
+def role_item_overlap(spark: SparkSession, d: str) -> DataFrame:
+    return token_overlap(tokens(load(spark, d, "conversations"), "role"), "role", tokens(load(spark, d, "benchmark"), "item_id"), "item_id")
+
+
+def item_document_overlap(spark: SparkSession, d: str) -> DataFrame:
+    """Benchmark items by documents."""
+    return token_overlap(tokens(load(spark, d, "benchmark"), "item_id"), "item_id", tokens(load(spark, d, "documents"), "doc_id"), "doc_id")
+
+
+def quality_by_token(spark: SparkSession, d: str) -> DataFrame:
+    """Quality class by every token: ``row, col, val``, ``col`` the token."""
+    held = tokens(load(spark, d, "documents"), "doc_id").groupBy("doc_id", "token").agg(F.count(F.lit(1)).cast("double").alias("n"))
+    return held.join(load(spark, d, "labels").select("doc_id", F.col("quality").cast("long").alias("row")), "doc_id").groupBy("row", F.col("token").alias("col")).agg(F.sum("n").alias("val"))
+
+
 def vocabulary(df: DataFrame, size: int) -> DataFrame:
     """``token, idx``: the most frequent tokens, ties by name."""
     n = df.groupBy("token").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "token").limit(size)

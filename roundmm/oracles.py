@@ -125,6 +125,23 @@ ORACLES["mm_quality_tokens"] = f"""
 with t as (select doc_id, {TOKENS} as token from documents), {_vocabulary("t")}
 select quality::bigint as "row", idx::bigint as col, count(*)::double as val from t join v using (token) join labels using (doc_id) group by 1, 2
 """
+
+
+def _overlap(first: str, row: str, second: str, col: str) -> str:
+    return f"""
+with s as (select {row} as r, {TOKENS} as token from {first}), t as (select {col} as c, {TOKENS} as token from {second}),
+a as (select r, token, count(*)::double as x from s group by 1, 2), b as (select c, token, count(*)::double as y from t group by 1, 2)
+select r as "row", c as col, sum(x * y)::double as val from a join b using (token) group by 1, 2
+"""
+
+
+ORACLES["mm_sources_all"] = _overlap("documents", "source", "documents", "source")
+ORACLES["mm_roles_all"] = _overlap("conversations", "role", "benchmark", "item_id")
+ORACLES["mm_items_documents"] = _overlap("benchmark", "item_id", "documents", "doc_id")
+ORACLES["mm_quality_tokens_all"] = f"""
+with t as (select doc_id, {TOKENS} as token from documents)
+select quality::bigint as "row", token as col, count(*)::double as val from t join labels using (doc_id) group by 1, 2
+"""
 ORACLES["mm_price_hops"] = """
 with p as (select c_nationkey as r, s_nationkey as c, min(round(l_extendedprice * 100)) as v
 from lineitem join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey join supplier on l_suppkey = s_suppkey group by 1, 2)

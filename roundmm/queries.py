@@ -391,6 +391,12 @@ def op_band_join(spark: SparkSession, d: str) -> DataFrame:
     return a.join(b, F.col("at") == F.col("row")).select(F.col("col").alias("a_col"), F.col("row").alias("b_row"), (F.col("x") * F.col("y")).alias("val"))
 
 
+QUERIES["mm_sources_all"] = apps.source_overlap
+QUERIES["mm_roles_all"] = apps.role_item_overlap
+QUERIES["mm_items_documents"] = apps.item_document_overlap
+QUERIES["mm_quality_tokens_all"] = apps.quality_by_token
+
+
 @query("op_band_product")
 def op_band_product(spark: SparkSession, d: str) -> DataFrame:
     """The product of A and B over all pairs of inner coordinates that differ by at most one."""

@@ -64,3 +64,12 @@ def test_no_row_is_left_out(spark, sf_dir):
     assert orders.where("row >= 100").count() > 0
     assert QUERIES["op_pattern_all"](spark, sf_dir).where("row >= 200").count() > 0
     assert QUERIES["op_band_product"](spark, sf_dir).where("row <> 5 and col <> 7").count() > 0
+
+
+@pytest.mark.parametrize("name", ["mm_sources_all", "mm_roles_all", "mm_items_documents", "mm_quality_tokens_all"])
+def test_every_token_counts(spark, duck, sf_dir, name):
+    test_query_equals_sql(spark, duck, sf_dir, name)
+
+
+def test_tokens_beyond_the_fifty_most_frequent(spark, sf_dir):
+    assert QUERIES["mm_quality_tokens_all"](spark, sf_dir).select("col").distinct().count() > 50
