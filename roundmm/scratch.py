@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -9,12 +10,15 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``; a local folder only where none is set, as in tests."""
+    """``spark.checkpoint.dir``. Where it is unset: a local folder if driver and executors are one process, as in tests; otherwise this raises, as
+    executors would each write to their own disk."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root
     scala = spark.sparkContext._jsc.sc().getCheckpointDir()
     if scala.isEmpty():
+        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="roundmm-"))
         scala = spark.sparkContext._jsc.sc().getCheckpointDir()
     return scala.get()
@@ -24,10 +28,10 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def stored(df: DataFrame, name: str) -> DataFrame:
+def stored(df: DataFrame, name: str, compression: str = "zstd") -> DataFrame:
     """``df`` as Parquet in the shared folder, read back: lineage is cut and survives lost executors."""
     path = fresh_path(df.sparkSession, name)
-    df.write.parquet(path)
+    df.write.option("compression", compression).parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
