@@ -1,51 +1,31 @@
-"""Shared plumbing: table access, shared scratch space, size-checked broadcasts, components."""
+"""Shared plumbing: table access, size-checked broadcasts, components. Intermediates are stored by :mod:`roundmm.scratch`."""
 
 from __future__ import annotations
 
 import gc
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BinaryType, MapType, StringType, StructType
 
-#: Rows up to which a side of a join may be broadcast; beyond it the join shuffles.
+from roundmm.scratch import remove, stored
+
+#: Rows and bytes up to which a side of a join may be broadcast; beyond it the join shuffles.
 BROADCAST_ROWS = 200_000
+BROADCAST_BYTES = 64 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def scratch_root(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``; a local one only where none is set."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return root
-    scala = spark.sparkContext._jsc.sc().getCheckpointDir()
-    if scala.isEmpty():
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="roundmm-"))
-        scala = spark.sparkContext._jsc.sc().getCheckpointDir()
-    return scala.get()
-
-
-def stored(df: DataFrame, name: str, compression: str = "zstd") -> DataFrame:
-    """Write ``df`` as Parquet to the shared scratch folder and read it back: cuts lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", compression).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def drop_stored(df: DataFrame) -> None:
-    """Delete the files behind a frame made by :func:`stored`; it must not be read again."""
-    spark = df.sparkSession
-    jvm = spark._jvm
-    for parent in {f.rpartition("/")[0] for f in df.inputFiles()}:
-        path = jvm.org.apache.hadoop.fs.Path(parent)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+def drop_stored(*frames: DataFrame) -> None:
+    """Delete the files behind frames made by :func:`stored`; they must not be read again."""
+    for df in frames:
+        for parent in {f.rpartition("/")[0] for f in df.inputFiles()}:
+            remove(df.sparkSession, parent)
 
 
 def free_shuffles(spark: SparkSession) -> None:
@@ -54,9 +34,25 @@ def free_shuffles(spark: SparkSession) -> None:
     spark._jvm.System.gc()
 
 
-def small(df: DataFrame, max_rows: int = BROADCAST_ROWS) -> DataFrame:
-    """``df`` with a broadcast hint if it has at most ``max_rows`` rows, else unchanged (the join then shuffles)."""
-    return F.broadcast(df) if df.limit(max_rows + 1).count() <= max_rows else df
+def row_bytes(df: DataFrame) -> Column:
+    """About what a row holds in memory: texts and binaries by their length, nested values by that of their JSON."""
+    total = F.lit(16)
+    for f in df.schema:
+        c = F.col(f"`{f.name}`")
+        if isinstance(f.dataType, (StringType, BinaryType)):
+            total = total + F.coalesce(F.octet_length(c), F.lit(0)) + 16
+        elif isinstance(f.dataType, (ArrayType, MapType, StructType)):
+            total = total + F.coalesce(F.octet_length(F.to_json(F.struct(c))), F.lit(0))
+        else:
+            total = total + 16
+    return total.cast("long")
+
+
+def small(df: DataFrame, max_rows: int = BROADCAST_ROWS, max_bytes: int = BROADCAST_BYTES) -> DataFrame:
+    """``df``, which should be a stored frame, with a broadcast hint if it has at most ``max_rows`` rows and ``max_bytes`` bytes, else
+    unchanged (the join then shuffles)."""
+    seen = df.limit(max_rows + 1).agg(F.count(F.lit(1)), F.coalesce(F.sum(row_bytes(df)), F.lit(0))).first()
+    return F.broadcast(df) if seen[0] <= max_rows and seen[1] <= max_bytes else df
 
 
 def sliced(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[pa.RecordBatch]:

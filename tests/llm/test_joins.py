@@ -1,5 +1,6 @@
 import random
 import re
+from dataclasses import replace
 from itertools import combinations
 
 import numpy as np
@@ -114,17 +115,30 @@ def test_banded_distance():
             assert linededup.within(a, b, limit) == (distance(a, b) <= limit), (a, b, limit)
 
 
-def test_line_links_match_brute_force(documents):
+def line_classes(rows):
+    """Least name of each linked line's class, from link rows."""
+    pairs = [(r.a, r.b) for r in rows]
+    return smallest({bytes(x) for p in pairs for x in p}, [(bytes(a), bytes(b)) for a, b in pairs])
+
+
+SMALL_NODES = [{}, {"leaf": 3, "hold": 5}, {"leaf": 6, "hold": 10_000}]
+
+
+@pytest.mark.parametrize("nodes", SMALL_NODES)
+def test_line_classes_match_brute_force(documents, nodes):
     rng = random.Random(7)
     lines = ["".join(rng.choice("abcdé ") for _ in range(rng.randrange(18, 60))) for _ in range(40)]
     lines += [edited(rng, rng.choice(lines), rng.randrange(1, 4), "abcdé ") for _ in range(120)]
     docs = documents([(k, "\n".join(lines[k * 4 : k * 4 + 4])) for k in range(40)])
     held = sorted({x.strip() for x in lines if len(x.strip()) >= 20})
-    want = {tuple(sorted((linededup.line_id(a), linededup.line_id(b)))) for a, b in combinations(held, 2) if distance(a, b) <= 2}
-    assert {(r.a, r.b) for r in linededup.links(docs.select("text"), linededup.Settings()).collect()} == want and want
+    near = [(linededup.line_name(a), linededup.line_name(b)) for a, b in combinations(held, 2) if distance(a, b) <= 2]
+    found = linededup.links(docs.select("text"), linededup.Settings(**nodes)).collect()
+    assert line_classes(found) == smallest({x for p in near for x in p}, near) and near
+    assert {(bytes(r.a), bytes(r.b)) for r in found} <= {tuple(sorted(p)) for p in near}
 
 
-def test_links_with_edits_by_length(documents):
+@pytest.mark.parametrize("nodes", SMALL_NODES)
+def test_classes_with_edits_by_length(documents, nodes):
     rng = random.Random(8)
     lines = ["".join(rng.choice("abcdé ") for _ in range(rng.randrange(7, 26))) for _ in range(60)]
     lines += [edited(rng, rng.choice(lines), rng.randrange(1, 4), "abcdé ") for _ in range(140)]
@@ -132,8 +146,35 @@ def test_links_with_edits_by_length(documents):
     budget = lambda a, b: (n := min(len(a), len(b))) >= 20 and 2 or int(n >= 10)
     near = [(a, b) for a, b in combinations(sorted({x.strip() for x in lines}), 2) if 0 < distance(a, b) <= budget(a, b)]
     assert {tuple(sorted(map(len, p))) for p in near} >= {(19, 20)} and any(len(a) < 19 for a, _ in near)
-    want = {tuple(sorted((linededup.line_id(a), linededup.line_id(b)))) for a, b in near}
-    assert {(r.a, r.b) for r in linededup.links(docs.select("text"), linededup.BY_LENGTH).collect()} == want
+    want = [(linededup.line_name(a), linededup.line_name(b)) for a, b in near]
+    found = linededup.links(docs.select("text"), replace(linededup.BY_LENGTH, **nodes)).collect()
+    assert line_classes(found) == smallest({x for p in want for x in p}, want)
+
+
+def test_a_group_of_near_copies_sends_few_links(documents):
+    """2000 lines within two edits of one: the links found are of the order of the lines, and the class is whole."""
+    rng = random.Random(4)
+    base = "".join(rng.choice("abcdefgh ") for _ in range(50)).strip() + " end"
+    lines = sorted({edited(rng, base, rng.randrange(1, 3), "abcdefghxyz").strip() for _ in range(3200)} - {base})
+    lines = [x for x in lines if distance(base, x) <= 2][:2000]
+    assert len(lines) == 2000
+    for held, settings in ((lines, linededup.Settings()), (lines[::10], linededup.Settings(leaf=50, hold=100))):
+        found = linededup.links(documents([(k, "\n".join([base, *held[k::20]])) for k in range(20)]).select("text"), settings).collect()
+        assert len(set(line_classes(found).values())) == 1 and len(line_classes(found)) == len(held) + 1
+        assert len(found) < 30 * len(held)
+    got = linededup.line_report(documents([(k, "\n".join([base, *lines[k::200]])) for k in range(20)])).where("doc_id = 3").first()
+    assert (got.n_links, got.class_id, got.n_kept) == (11 * 200, 0, 0)
+
+
+def test_rows_that_share_an_id_lose_their_own_lines(documents):
+    shared, own = "this line stands in several of the texts", "only the second text of the id holds this one"
+    docs = documents([(1, shared), (1, f"{own}\n{shared}"), (2, shared), (2, shared)])
+    got = sorted(r.text for r in linededup.without_repeats(docs).collect())
+    assert sum(own in x for x in got) == 1 and sum(shared in x for x in got) == 1
+
+
+def test_line_names_take_any_text():
+    assert linededup.line_name("\ud800 alone") and linededup.parities(["\ud800 alone"]).shape == (1,)
 
 
 def test_short_lines_join_as_equals(documents):
