@@ -99,35 +99,47 @@ def unpack(cells: bytes, rows: int, cols: int) -> np.ndarray:
 
 
 def to_blocks(m: MatrixFrame, block_rows: int, block_cols: int, full: bool = False) -> BlockFrame:
-    """One shuffle by block; a block's cells are gathered (at most ``block_rows * block_cols`` of them) and packed.
+    """One shuffle by block; rows are sorted by block and streamed into one array at a time, so a block is never a list of rows.
     Blocks without cells get no row, or with ``full`` one of zeros, as a dense matrix has."""
     br, bc, zero = block_rows, block_cols, m.semiring.zero
     if br < 1 or bc < 1:
         raise ValueError("a block has at least one row and one column")
     at = m.df.select(
         F.floor(F.col("row") / br).cast("int").alias("bi"), F.floor(F.col("col") / bc).cast("int").alias("bj"),
-        F.struct((F.pmod("row", F.lit(br)) * 1).cast("int").alias("r"), F.pmod("col", F.lit(bc)).cast("int").alias("c"), F.col("val").cast("double").alias("v")).alias("e"),
+        F.pmod("row", F.lit(br)).cast("int").alias("r"), F.pmod("col", F.lit(bc)).cast("int").alias("c"), F.col("val").cast("double").alias("v"),
     )
-    nr = F.least(F.lit(br), F.lit(m.n_rows) - F.col("bi") * br).cast("int")
-    nc = F.least(F.lit(bc), F.lit(m.n_cols) - F.col("bj") * bc).cast("int")
-    lists = at.groupBy("bi", "bj").agg(F.collect_list("e").alias("e"))
     if full:
         rows, cols = ceil_div(m.n_rows, br), ceil_div(m.n_cols, bc)
-        every = m.df.sparkSession.range(rows * cols).select(F.floor(F.col("id") / cols).cast("int").alias("bi"), F.pmod("id", F.lit(cols)).cast("int").alias("bj"))
-        lists = every.join(lists, ["bi", "bj"], "left")
-    lists = lists.select("bi", "bj", nr.alias("nr"), nc.alias("nc"), F.col("e.r").alias("r"), F.col("e.c").alias("c"), F.col("e.v").alias("v"))
+        none = [F.lit(None).cast(t).alias(c) for c, t in (("r", "int"), ("c", "int"), ("v", "double"))]
+        at = at.unionAll(m.df.sparkSession.range(rows * cols).select(F.floor(F.col("id") / cols).cast("int").alias("bi"), F.pmod("id", F.lit(cols)).cast("int").alias("bj"), *none))
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            out = []
-            for k in range(batch.num_rows):
-                cells = np.full((batch["nr"][k].as_py(), batch["nc"][k].as_py()), zero)
-                if batch["r"][k].is_valid:
-                    cells[batch["r"][k].values.to_numpy(), batch["c"][k].values.to_numpy()] = batch["v"][k].values.to_numpy()
-                out.append(pack(cells))
-            yield pa.RecordBatch.from_arrays([batch[c] for c in ("bi", "bj", "nr", "nc")] + [pa.array(out, pa.binary())], names=["bi", "bj", "nr", "nc", "cells"])
+        at: tuple[int, int] | None = None
+        cells: np.ndarray | None = None
 
-    return BlockFrame(lists.mapInArrow(packed, BLOCK_SCHEMA), m.n_rows, m.n_cols, br, bc, m.semiring)
+        def done() -> pa.RecordBatch:
+            values = (*at, *cells.shape)
+            return pa.RecordBatch.from_arrays([*(pa.array([x], pa.int32()) for x in values), pa.array([pack(cells)], pa.binary())], names=["bi", "bj", "nr", "nc", "cells"])
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            i, j = batch["bi"].to_numpy(), batch["bj"].to_numpy()
+            cut = [0, *(np.flatnonzero((i[1:] != i[:-1]) | (j[1:] != j[:-1])) + 1), batch.num_rows]
+            for lo, hi in zip(cut, cut[1:], strict=False):
+                if at != (i[lo], j[lo]):
+                    if at is not None:
+                        yield done()
+                    at = (int(i[lo]), int(j[lo]))
+                    cells = np.full((min(br, m_rows - at[0] * br), min(bc, m_cols - at[1] * bc)), zero)
+                part = batch.slice(lo, hi - lo)
+                part = part.filter(part["r"].is_valid())
+                cells[part["r"].to_numpy(), part["c"].to_numpy()] = part["v"].to_numpy(zero_copy_only=False)
+        if at is not None:
+            yield done()
+
+    m_rows, m_cols = m.n_rows, m.n_cols
+    return BlockFrame(at.repartition("bi", "bj").sortWithinPartitions("bi", "bj").mapInArrow(packed, BLOCK_SCHEMA), m.n_rows, m.n_cols, br, bc, m.semiring)
 
 
 def to_coordinates(b: BlockFrame) -> MatrixFrame:

@@ -11,7 +11,7 @@ from roundmm.functions.placement import even_task, rank_2d
 from roundmm.functions.schedule import Grid2D
 from roundmm.model import BlockFrame, MatrixFrame, to_blocks
 from roundmm.operators.dense3d import fused, tasks_of
-from roundmm.plans.rounds import RoundDriver, RoundStore, plan_hash
+from roundmm.plans.rounds import RoundDriver, RoundStore, fingerprint, plan_hash
 
 
 def strips(a: MatrixFrame, b: MatrixFrame, m: int) -> tuple[BlockFrame, BlockFrame]:
@@ -29,8 +29,9 @@ def multiply_2d(a: BlockFrame, b: BlockFrame, rho: int | str = "max", schedule:
     spark, sr = a.df.sparkSession, a.semiring
     grid = Grid2D(a.q_rows, b.q_cols, b.q_cols if rho == "max" else int(rho), schedule == "row_major")
     tasks = tasks_of(a.df, grid.si * grid.rho, tasks)
+    inputs = [fingerprint(x.df) for x in (a, b)] if store is not None and store.mode == "parquet" else []
     store = store or RoundStore(spark)
-    digest = plan_hash(grid=grid, semiring=sr.name, a=(a.n_rows, a.n_cols, a.block_rows), b=(b.n_cols, b.block_cols))
+    digest = plan_hash(grid=grid, semiring=sr.name, a=(a.n_rows, a.n_cols, a.block_rows), b=(b.n_cols, b.block_cols), inputs=inputs)
 
     def step(r: int, before: DataFrame | None) -> DataFrame:
         left = grid.copies_of_a(a.df.select(F.col("bi").alias("i"), "nr", F.col("nc").alias("nk"), F.col("cells").alias("ca")), r)

@@ -13,7 +13,7 @@ from roundmm.functions.placement import even_task, polynomial_task, rank_3d
 from roundmm.functions.schedule import Grid3D
 from roundmm.functions.semiring import Semiring
 from roundmm.model import BlockFrame, pack, unpack
-from roundmm.plans.rounds import RoundDriver, RoundStore, plan_hash
+from roundmm.plans.rounds import RoundDriver, RoundStore, fingerprint, plan_hash
 
 PARTIAL = "i int, j int, slot int, nr int, nc int, cells binary"
 CARRIES = ("accumulate", "append", "stationary")
@@ -134,7 +134,8 @@ def multiply_3d(
     """``A B`` in ``ceil(q / rho) + 1`` rounds; ``rho="max"`` is the monolithic product in two.
 
     ``carry``: ``accumulate`` reads, adds to and rewrites the slots each round; ``append`` writes fresh partial products and
-    folds them all at the end; ``stationary`` keeps the slots in tables bucketed by rank, so only A and B move.
+    folds them all at the end; ``stationary`` keeps the slots in files bucketed by rank, so only A and B move (it needs a ``parquet`` store). All three
+    go on from the last committed round; a store that holds rounds of other inputs raises, by fingerprints of A and B, taken where a ``store`` is given.
     ``elide_identity`` leaves out the last round where there is one slot, whose sum is itself.
     ``watch`` gets, by product round, the observations of :func:`product_round`.
     """
@@ -142,8 +143,11 @@ def multiply_3d(
         raise ValueError(f"carry must be one of {CARRIES}")
     grid, spark, sr = grid_of(a, b, rho), a.df.sparkSession, a.semiring
     tasks = tasks_of(a.df, grid.qi * grid.qj * grid.rho, tasks)
+    inputs = [fingerprint(x.df) for x in (a, b)] if store is not None and store.mode == "parquet" else []
     store = store or RoundStore(spark)
-    digest = plan_hash(grid=grid, carry=carry, semiring=sr.name, placement=placement, a=(a.n_rows, a.n_cols, a.block_rows, a.block_cols), b=(b.n_rows, b.n_cols, b.block_cols))
+    if carry == "stationary" and store.mode != "parquet":
+        raise ValueError("carry='stationary' needs a parquet store")
+    digest = plan_hash(grid=grid, carry=carry, semiring=sr.name, placement=placement, tasks=tasks if carry == "stationary" else 0, a=(a.n_rows, a.n_cols, a.block_rows, a.block_cols), b=(b.n_rows, b.n_cols, b.block_cols), inputs=inputs)
     block = 8 * max(a.block_rows * a.block_cols, b.block_rows * b.block_cols, a.block_rows * b.block_cols)
     driver = RoundDriver(store, "3d", digest, block)
     tables: list[str] = []
@@ -154,13 +158,8 @@ def multiply_3d(
                 fresh = product_round(a.df, b.df, None, grid, r, tasks, sr, placement)
                 return fresh.withColumn("slot", F.col("slot") + r * grid.rho)
             if carry == "stationary":
-                held = spark.table(tables[-1]) if tables else None
-                out = product_round(a.df, b.df, held, grid, r, tasks, sr, placement, by_id=False)
-                name = f"roundmm_slots_{store.path.rpartition('-')[2] if store.path else id(store)}_{r}"
-                z = rank_3d(F.col("i"), F.col("j"), F.col("slot"), grid.qj, grid.rho)
-                out.withColumn("z", z).write.mode("overwrite").bucketBy(tasks, "z").saveAsTable(name)
-                tables.append(name)
-                return spark.table(name).select("i", "j", "slot", "nr", "nc", "cells")
+                held = slots_table(r - 1, f"{store.path}/round={r - 1}", before) if r else None
+                return product_round(a.df, b.df, held, grid, r, tasks, sr, placement, by_id=False)
             return product_round(a.df, b.df, before, grid, r, tasks, sr, placement, watch=None if watch is None else watch.setdefault(r, {}))
         partials = before
         if carry == "append":
@@ -169,21 +168,43 @@ def multiply_3d(
                 partials = partials.unionAll(more)
         return fold_slots(partials, sr, grid.qj, tasks)
 
+    def slots_name(r: int) -> str:
+        return f"roundmm_slots_{plan_hash(path=store.path)}_{r}"
+
+    def slots_table(r: int, where: str, rows: DataFrame) -> DataFrame:
+        """The committed slots of a round as a bucketed table over its files: the join with them needs no exchange of them."""
+        tables.append(slots_name(r))
+        spark.sql(f"DROP TABLE IF EXISTS {tables[-1]}")
+        columns = ", ".join(f"{c.name} {c.dataType.simpleString()}" for c in rows.schema)
+        spark.sql(f"CREATE TABLE {tables[-1]} ({columns}) USING parquet CLUSTERED BY (z) INTO {tasks} BUCKETS LOCATION '{where}'")
+        return spark.table(tables[-1])
+
+    def save_slots(r: int, rows: DataFrame, where: str) -> None:
+        if r >= grid.product_rounds:
+            rows.write.parquet(where)
+            return
+        spark.sql(f"DROP TABLE IF EXISTS {slots_name(r)}")
+        rows.write.bucketBy(tasks, "z").option("path", where).saveAsTable(slots_name(r))
+        tables.append(slots_name(r))
+
+    def ranked(rows: DataFrame) -> DataFrame:
+        return rows.withColumn("z", rank_3d(F.col("i"), F.col("j"), F.col("slot"), grid.qj, grid.rho))
+
     outs: list[DataFrame] = []
 
     def step_kept(r: int, before: DataFrame | None) -> DataFrame:
         if before is not None and len(outs) < r:
             outs.append(before)
-        return step(r, before)
+        out = step(r, before)
+        return ranked(out) if carry == "stationary" and r < grid.product_rounds else out
 
     if carry == "append" and resume:
         outs = [spark.read.parquet(p) for _, p in sorted(store.committed(digest).items())][: grid.product_rounds]
         outs = outs[:-1] if outs else outs
     rounds = grid.product_rounds if elide_identity and grid.rho == 1 and carry != "append" else grid.rounds
-    last = driver.run(rounds, lambda r: grid.slots(r) if r < grid.product_rounds else grid.rho, step_kept, resume and carry != "stationary", stop_after)[-1]
+    last = driver.run(rounds, lambda r: grid.slots(r) if r < grid.product_rounds else grid.rho, step_kept, resume, stop_after, save_slots if carry == "stationary" else None)[-1]
     for name in tables:
-        if store.mode == "parquet":
-            spark.sql(f"DROP TABLE IF EXISTS {name}")
+        spark.sql(f"DROP TABLE IF EXISTS {name}")  # its files stay
     if "slot" in last.columns:
         last = last.select(F.col("i").alias("bi"), F.col("j").alias("bj"), "nr", "nc", "cells")
     return replace(b, df=last, n_rows=a.n_rows, block_rows=a.block_rows, semiring=sr)

@@ -9,7 +9,7 @@ from dataclasses import replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from roundmm.functions.placement import even_task, rank_3d
@@ -17,7 +17,7 @@ from roundmm.functions.schedule import Grid3D, ceil_div
 from roundmm.functions.semiring import Semiring
 from roundmm.model import MatrixFrame
 from roundmm.operators.dense3d import tasks_of
-from roundmm.plans.rounds import RoundDriver, RoundStore, plan_hash
+from roundmm.plans.rounds import RoundDriver, RoundStore, fingerprint, plan_hash
 from roundmm.scratch import stored
 
 
@@ -37,10 +37,17 @@ def _index(c: str, side: int) -> Column:
     return F.floor(F.col(c) / side).cast("int")
 
 
-def long_round(a: MatrixFrame, b: MatrixFrame, before: DataFrame | None, grid: Grid3D, side: int, r: int, tasks: int) -> DataFrame:
+def long_round(a: MatrixFrame, b: MatrixFrame, before: DataFrame | None, grid: Grid3D, side: int, r: int, tasks: int, watch: dict[str, Observation] | None = None) -> DataFrame:
     """Round ``r`` on single entries: ``i, j, slot, row, col, val``. Entries meet on (task, rank, inner index); products and
-    partial sums are added where they meet, without another exchange."""
+    partial sums are added where they meet, without another exchange. ``watch`` gets, by side, observations of the entries that enter the shuffle."""
     sr = a.semiring
+
+    def seen(df: DataFrame, name: str) -> DataFrame:
+        if watch is None:
+            return df
+        watch[name] = Observation(f"round {r} entries {name}")
+        return df.observe(watch[name], F.count(F.lit(1)).alias("words"))
+
     left = grid.copies_of_a(a.df.select(_index("row", side).alias("i"), _index("col", side).alias("h"), "row", F.col("col").alias("k"), F.col("val").alias("x")), r)
     right = grid.copies_of_b(b.df.select(_index("row", side).alias("h"), _index("col", side).alias("j"), F.col("row").alias("k"), "col", F.col("val").alias("y")), r)
 
@@ -48,21 +55,21 @@ def long_round(a: MatrixFrame, b: MatrixFrame, before: DataFrame | None, grid: G
         z = rank_3d(F.col("i"), F.col("j"), F.col("slot"), grid.qj, grid.rho)
         return df.withColumn("z", z).withColumn("task", even_task(F.col("z"), grid.qi * grid.qj * grid.rho, tasks)).repartitionById(tasks, F.col("task"))
 
-    met = placed(left).join(placed(right).select("task", "z", "k", "col", "y").hint("merge"), ["task", "z", "k"])
+    met = placed(seen(left, "A")).join(placed(seen(right, "B")).select("task", "z", "k", "col", "y").hint("merge"), ["task", "z", "k"])
     new = met.groupBy("task", "z", "row", "col").agg(sr.plus(sr.times(F.col("x"), F.col("y"))).alias("val"))
     # the rank gives back row, column and slot
     new = new.select("*", F.expr(f"cast(z div {grid.qj * grid.rho} as int)").alias("i"), F.expr(f"cast((z div {grid.rho}) % {grid.qj} as int)").alias("j"), F.expr(f"cast(z % {grid.rho} as int)").alias("slot"))
     if before is None:
         return new.select("i", "j", "slot", "row", "col", "val")
-    live = placed(before.where(F.col("slot") < grid.slots(r))).select("task", "z", "row", "col", *[F.col(c).alias(f"_{c}") for c in ("i", "j", "slot", "val")])
+    live = placed(seen(before.where(F.col("slot") < grid.slots(r)), "C")).select("task", "z", "row", "col", *[F.col(c).alias(f"_{c}") for c in ("i", "j", "slot", "val")])
     both = new.join(live.hint("merge"), ["task", "z", "row", "col"], "full")
     val = F.when(F.col("val").isNull(), F.col("_val")).when(F.col("_val").isNull(), F.col("val")).otherwise(sr.combine(F.col("val"), F.col("_val")))
     out = both.select(*[F.coalesce(c, f"_{c}").alias(c) for c in ("i", "j", "slot")], "row", "col", val.alias("val"))
     return out.unionAll(before.where(F.col("slot") >= grid.slots(r)).select("i", "j", "slot", "row", "col", "val"))
 
 
-def coo_product(a: tuple, b: tuple, semiring: Semiring) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Sparse block product of coordinate triples: B sorted by row, each entry of A meets its run; equal cells are merged."""
+def coo_product(a: tuple, b: tuple, semiring: Semiring, area: int, extra: tuple | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sparse block product of coordinate triples, and ``extra`` cells added: B sorted by row, each entry of A meets its run; equal cells are merged."""
     ar, ac, av = a
     br, bc, bv = b
     order = np.argsort(br, kind="stable")
@@ -71,16 +78,31 @@ def coo_product(a: tuple, b: tuple, semiring: Semiring) -> tuple[np.ndarray, np.
     many = hi - lo
     own = np.repeat(np.arange(len(ac)), many)
     at = np.arange(int(many.sum())) - np.repeat(np.cumsum(many) - many, many) + np.repeat(lo, many)
-    return merged(ar[own], bc[at], semiring.pair(av[own], bv[at]), semiring)
+    new = ar[own], bc[at], semiring.pair(av[own], bv[at])
+    if extra is not None:
+        new = tuple(np.concatenate(x) for x in zip(new, extra, strict=True))
+    return merged(*new, semiring, area)
 
 
-def merged(r: np.ndarray, c: np.ndarray, v: np.ndarray, semiring: Semiring) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def merged(r: np.ndarray, c: np.ndarray, v: np.ndarray, semiring: Semiring, area: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """One entry a cell. Where the block's ``area`` isn't many times the entries they are added in an array of it, else sorted."""
     if not len(r):
         return r, c, v
-    order = np.lexsort((c, r))
-    r, c, v = r[order], c[order], v[order]
-    first = np.flatnonzero(np.concatenate(([True], (np.diff(r) != 0) | (np.diff(c) != 0))))
-    return r[first], c[first], semiring.merge.reduceat(v, first)
+    top, left = int(r.min()), int(c.min())
+    width, height = int(c.max()) - left + 1, int(r.max()) - top + 1
+    key = (r - top) * width + (c - left)
+    if height * width <= min(8 * len(r), area):
+        held = np.full(height * width, semiring.zero)
+        semiring.merge.at(held, key, v)
+        hit = np.zeros(height * width, bool)
+        hit[key] = True
+        cell = np.flatnonzero(hit)
+        return cell // width + top, cell % width + left, held[cell]
+    order = np.argsort(key, kind="stable")
+    key, v = key[order], v[order]
+    first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
+    cell = key[first]
+    return cell // width + top, cell % width + left, semiring.merge.reduceat(v, first)
 
 
 ENTRIES = "array<long>"
@@ -88,13 +110,64 @@ PACKED = f"i int, j int, slot int, rows {ENTRIES}, cols {ENTRIES}, vals array<do
 
 
 def packed_blocks(m: MatrixFrame, side: int) -> DataFrame:
-    """``bi, bj, rows, cols, vals``: the entries of each block; empty blocks get no row."""
-    e = F.struct(F.col("row").cast("long").alias("r"), F.col("col").cast("long").alias("c"), F.col("val").cast("double").alias("v"))
-    held = m.df.groupBy(_index("row", side).alias("bi"), _index("col", side).alias("bj")).agg(F.collect_list(e).alias("e"))
-    return held.select("bi", "bj", F.col("e.r").alias("rows"), F.col("e.c").alias("cols"), F.col("e.v").alias("vals"))
+    """``bi, bj, rows, cols, vals``: the entries of each block, packed from rows sorted by block and streamed; empty blocks get no row."""
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at: tuple[int, int] | None = None
+        held: list[pa.RecordBatch] = []
+
+        def done() -> pa.RecordBatch:
+            whole = [np.concatenate([x[c].to_numpy() for x in held]) for c in ("r", "c", "v")]
+            kinds = (pa.int64(), pa.int64(), pa.float64())
+            return pa.RecordBatch.from_arrays([*(pa.array([x], pa.int32()) for x in at), *(pa.array([x], pa.list_(t)) for x, t in zip(whole, kinds, strict=True))], names=["bi", "bj", "rows", "cols", "vals"])
 
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            i, j = batch["bi"].to_numpy(), batch["bj"].to_numpy()
+            cut = [0, *(np.flatnonzero((i[1:] != i[:-1]) | (j[1:] != j[:-1])) + 1), batch.num_rows]
+            for lo, hi in zip(cut, cut[1:], strict=False):
+                if at != (i[lo], j[lo]):
+                    if at is not None:
+                        yield done()
+                    at, held = (int(i[lo]), int(j[lo])), []
+                held.append(batch.slice(lo, hi - lo))
+        if at is not None:
+            yield done()
+
+    rows = m.df.select(_index("row", side).alias("bi"), _index("col", side).alias("bj"), F.col("row").cast("long").alias("r"), F.col("col").cast("long").alias("c"), F.col("val").cast("double").alias("v"))
+    return rows.repartition("bi", "bj").sortWithinPartitions("bi", "bj").mapInArrow(pack, f"bi int, bj int, rows {ENTRIES}, cols {ENTRIES}, vals array<double>")
+
+
+def fold_packed(partials: DataFrame, grid: Grid3D, tasks: int, semiring: Semiring, area: int) -> DataFrame:
+    """The slots of each block added where they meet: ``row, col, val``. Streamed in the order of blocks."""
+
+    def fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at: tuple[int, int] | None = None
+        held: list[tuple] = []
+
+        def done() -> Iterator[pa.RecordBatch]:
+            cells = held[0] if len(held) == 1 else merged(*(np.concatenate(x) for x in zip(*held, strict=True)), semiring, area)
+            for lo in range(0, len(cells[0]), 1 << 16):
+                yield pa.RecordBatch.from_arrays([pa.array(x[lo : lo + (1 << 16)]) for x in cells], names=["row", "col", "val"])
+
+        for batch in batches:
+            for k in range(batch.num_rows):
+                block = (batch["i"][k].as_py(), batch["j"][k].as_py())
+                if at is not None and block != at:
+                    yield from done()
+                    held = []
+                at = block
+                held.append(tuple(batch[c][k].values.to_numpy() for c in ("rows", "cols", "vals")))
+        if held:
+            yield from done()
 
-def packed_round(a: DataFrame, b: DataFrame, before: DataFrame | None, grid: Grid3D, r: int, tasks: int, semiring: Semiring) -> DataFrame:
+    block = (F.col("i") * grid.qj + F.col("j")).cast("long")
+    placed = partials.repartitionById(tasks, even_task(block, grid.qi * grid.qj, tasks))
+    return placed.sortWithinPartitions("i", "j", "slot").select("i", "j", "rows", "cols", "vals").mapInArrow(fold, "row long, col long, val double")
+
+
+def packed_round(a: DataFrame, b: DataFrame, before: DataFrame | None, grid: Grid3D, r: int, tasks: int, semiring: Semiring, area: int) -> DataFrame:
     left = grid.copies_of_a(a.select(F.col("bi").alias("i"), F.col("bj").alias("h"), *[F.col(c).alias(f"a_{c}") for c in ("rows", "cols", "vals")]), r)
     right = grid.copies_of_b(b.select(F.col("bi").alias("h"), F.col("bj").alias("j"), *[F.col(c).alias(f"b_{c}") for c in ("rows", "cols", "vals")]), r)
 
@@ -120,10 +193,7 @@ def packed_round(a: DataFrame, b: DataFrame, before: DataFrame | None, grid: Gri
             out = []
             for k in range(batch.num_rows):
                 a, b, c = (triple(batch, x, k) for x in "abc")
-                new = coo_product(a, b, semiring) if a is not None else c
-                if a is not None and c is not None:
-                    new = merged(*(np.concatenate(x) for x in zip(new, c, strict=True)), semiring)
-                out.append(new)
+                out.append(coo_product(a, b, semiring, area, c) if a is not None else c)
             cells = [pa.array([x[n] for x in out], pa.list_(t)) for n, t in enumerate((pa.int64(), pa.int64(), pa.float64()))]
             yield pa.RecordBatch.from_arrays([batch[c] for c in ("i", "j", "slot")] + cells, names=["i", "j", "slot", "rows", "cols", "vals"])
 
@@ -139,23 +209,38 @@ def multiply_3d_sparse(
     rho: int | str = "max",
     density: str | float = "er",
     side: int | None = None,
-    encoding: str = "long",
+    encoding: str = "packed",
+    carry: str = "accumulate",
+    permuted: bool = False,
     store: RoundStore | None = None,
     tasks: int | None = None,
     resume: bool = True,
     stop_after: int | None = None,
+    watch: dict[int, dict[str, Observation]] | None = None,
 ) -> MatrixFrame:
     """``A B`` of sparse matrices; the result has the cells that at least one elementary product reaches.
 
     ``density`` sets the block area ``m / density``: a number, an estimator of :mod:`roundmm.plans.density` (the greatest of input
     densities and the estimate counts), ``er`` for random inputs (the estimate counts), or ``input_only`` where nothing is known of the
-    output; that promises no bound on a reducer, and says so. ``side`` overrides the block side. ``encoding`` is ``long`` (entries as rows,
-    all in Catalyst) or ``packed`` (entries of a block as arrays, NumPy kernel).
+    output; that promises no bound on a reducer, and says so. ``side`` overrides the block side. ``encoding`` is ``packed`` (entries
+    of a block as arrays, NumPy kernel) or ``long`` (entries as rows, all in Catalyst).
+
+    ``carry``: ``accumulate`` reads, adds to and rewrites the slots each round; ``append`` writes fresh partial sums, which meet in the fold only, so no
+    entry of C moves twice. With one slot the fold of ``accumulate`` is an identity and left out. ``permuted`` renames rows,
+    inner axis and columns at random for balance, and names the result back. ``watch`` gets, by round, observations of the entries shuffled (``long``).
     """
+    from roundmm.operators.elementwise import Permutation, permute
     from roundmm.plans.density import profile
 
     if encoding not in ("long", "packed"):
         raise ValueError("encoding must be 'long' or 'packed'")
+    if carry not in ("accumulate", "append"):
+        raise ValueError("carry must be 'accumulate' or 'append'")
+    if permuted:
+        rows, inner, cols = (Permutation(n, "feistel", 42 + k) for k, n in enumerate((a.n_rows, a.n_cols, b.n_cols)))
+        c = multiply_3d_sparse(permute(a, rows, inner), permute(b, inner, cols), m, rho, density, side, encoding, carry, False, store, tasks, resume, stop_after, watch)
+        return permute(c, rows, cols, back=True)
+    a, b = (replace(x, df=stored(x.df, "entries")) for x in (a, b))
     if side is None:
         if isinstance(density, str):
             p = profile(a, b, "er" if density == "input_only" else density)
@@ -168,20 +253,42 @@ def multiply_3d_sparse(
         side = block_side(m, density, a.n_rows, a.n_cols, b.n_cols)
     grid, spark, sr = sparse_grid(a, b, side, rho), a.df.sparkSession, a.semiring
     tasks = tasks_of(a.df, grid.qi * grid.qj * grid.rho, tasks)
-    a, b = (replace(x, df=stored(x.df, "entries")) for x in (a, b))
+    inputs = [fingerprint(x.df) for x in (a, b)] if store is not None and store.mode == "parquet" else []
     packs = [stored(packed_blocks(x, side), "packed") for x in (a, b)] if encoding == "packed" else []
-    digest = plan_hash(grid=grid, side=side, encoding=encoding, semiring=sr.name, a=(a.n_rows, a.n_cols), b=b.n_cols)
+    most = max([0, *(x.agg(F.max(F.size("rows"))).first()[0] or 0 for x in packs)])  # one number each
+    digest = plan_hash(grid=grid, side=side, encoding=encoding, carry=carry, semiring=sr.name, a=(a.n_rows, a.n_cols), b=b.n_cols, inputs=inputs)
+    area = side * side
+    outs: list[DataFrame] = []
+
+    def one_round(r: int, before: DataFrame | None) -> DataFrame:
+        if encoding == "long":
+            return long_round(a, b, before, grid, side, r, tasks, None if watch is None else watch.setdefault(r, {}))
+        return packed_round(*packs, before, grid, r, tasks, sr, area)
 
     def step(r: int, before: DataFrame | None) -> DataFrame:
+        if before is not None and len(outs) < r:
+            outs.append(before)
         if r < grid.product_rounds:
-            if encoding == "long":
-                return long_round(a, b, before, grid, side, r, tasks)
-            return packed_round(*packs, before, grid, r, tasks, sr)
-        cells = before
+            return one_round(r, None if carry == "append" else before)
+        partials = before
+        if carry == "append":
+            partials = outs[0]
+            for more in outs[1:]:
+                partials = partials.unionAll(more)
         if encoding == "packed":
-            cells = before.select(F.inline(F.arrays_zip(F.col("rows").alias("row"), F.col("cols").alias("col"), F.col("vals").alias("val"))))
-        return cells.groupBy("row", "col").agg(sr.plus("val").alias("val"))
-
-    driver = RoundDriver(store or RoundStore(spark), "sparse", digest, 24 * m)
-    last = driver.run(grid.rounds, lambda r: grid.slots(r) if r < grid.product_rounds else grid.rho, step, resume, stop_after)[-1]
+            return fold_packed(partials, grid, tasks, sr, area)
+        block = even_task((F.col("i") * grid.qj + F.col("j")).cast("long"), grid.qi * grid.qj, tasks)
+        placed = partials.select(block.alias("task"), "row", "col", "val").repartitionById(tasks, F.col("task"))
+        return placed.groupBy("task", "row", "col").agg(sr.plus("val").alias("val")).select("row", "col", "val")
+
+    last_store = store or RoundStore(spark)
+    if carry == "append" and resume:
+        outs += [spark.read.parquet(p) for _, p in sorted(last_store.committed(digest).items())][: grid.product_rounds][:-1]
+    # the kernel holds a block each of A, B and C: the Arrow limit follows the largest one
+    driver = RoundDriver(last_store, "sparse", digest, 24 * max(m, most))
+    identity = grid.rho == 1 and carry == "accumulate"
+    rounds = grid.product_rounds if identity else grid.rounds
+    last = driver.run(rounds, lambda r: grid.slots(r) if r < grid.product_rounds else grid.rho, step, resume, stop_after)[-1]
+    if identity:
+        last = last.select("row", "col", "val") if encoding == "long" else last.select(F.inline(F.arrays_zip(F.col("rows").alias("row"), F.col("cols").alias("col"), F.col("vals").alias("val"))))
     return MatrixFrame(last, a.n_rows, b.n_cols, sr)

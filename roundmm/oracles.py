@@ -57,8 +57,12 @@ for _key in ("dense_rho1", "dense_rho2", "dense_rho3", "dense_rho4", "dense_mono
 ORACLES["mm3d_dense_ragged"] = dense(60)
 for _key in ("dense_rho1", "dense_rho2", "rho3", "dense_rho4", "dense_rho8", "dense_rho16", "naive_schedule"):
     ORACLES[f"mm2d_{_key}"] = dense()
-for _key in ("er_rho1", "er_rho2", "er_rho4", "q16", "packed", "er_sized"):
+for _key in ("er_rho1", "er_rho2", "er_rho4", "q16", "packed", "er_sized", "append", "packed_append", "q8_rho8", "q16_rho8", "q16_rho16"):
     ORACLES[f"mm3d_sparse_{_key}"] = product(scatter(8192), scatter(8192))
+for _side, _grids in ((1024, ("q4_rho1", "q8_rho4", "q16_rho16")), (65536, ("q4_rho2", "q8_rho8", "q16_rho4"))):
+    for _grid in _grids:
+        ORACLES[f"mm3d_sparse_n{_side}_{_grid}"] = product(scatter(_side), scatter(_side))
+ORACLES["mm_sparse_join"] = product(scatter(8192), scatter(8192))
 ORACLES["mm3d_sparse_general"] = ORACLES["mm3d_sparse_permuted"] = product(USER_HOUR, flip(USER_HOUR))
 ORACLES["mm3d_sparse_dense_out"] = product(SUPP_PART, flip(SUPP_PART))
 ORACLES["mm3d_sparse_unknown"] = product(CUST_ORDER, ORDER_PART)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 import hashlib
 import json
 import time
@@ -25,9 +26,19 @@ class Stopped(RuntimeError):
 
 
 def plan_hash(**parts: object) -> str:
+    """A digest of what a product's rounds depend on: shapes, options, and the fingerprints of its inputs."""
     return hashlib.sha256(json.dumps(parts, sort_keys=True, default=str).encode()).hexdigest()[:16]
 
 
+def fingerprint(df: DataFrame) -> str:
+    """Names the rows of a frame, in any order and from any files: their number, and two order-free sums over 64-bit hashes of whole rows. One scan."""
+    row = F.xxhash64(*[F.col(f"`{c}`") for c in df.columns])
+    again = F.xxhash64(row, F.lit(41))
+    low = lambda h: F.sum(h.bitwiseAND((1 << 32) - 1))
+    n, a, b, x = df.agg(F.count(F.lit(1)), low(row), low(again), F.bit_xor(again)).first()
+    return plan_hash(n=n, a=a, b=b, x=x)
+
+
 @contextmanager
 def small_batches(spark: SparkSession, block_bytes: int, limit: int = 64 << 20) -> Iterator[None]:
     """Arrow batches of so few rows that three blocks a row stay within ``limit`` bytes."""
@@ -61,12 +72,12 @@ class RoundStore:
             self.path = fresh_path(self.spark, "rounds")
 
     def committed(self, digest: str) -> dict[int, str]:
-        """Paths of committed rounds, of stores that outlive the driver. A manifest of another plan raises: its rounds must not be mixed with these."""
+        """Paths of committed rounds, of stores that outlive the driver. A manifest of another plan, or of the same plan on other data, raises."""
         if self.mode != "parquet":
             return {}
         rows = [r for r in self._rows() if r["status"] == "committed"]
         if any(r["plan_hash"] != digest for r in rows):
-            raise ValueError("the store holds rounds of another plan")
+            raise ValueError("the store holds rounds of another plan or of other data")
         return {r["round"]: r["path"] for r in rows}
 
     def _rows(self) -> list[dict]:
@@ -78,14 +89,18 @@ class RoundStore:
     def manifest(self) -> DataFrame:
         return self.spark.createDataFrame([tuple(x[c.split()[0]] for c in MANIFEST.split(", ")) for x in self._rows()], MANIFEST)
 
-    def commit(self, job: str, digest: str, r: int, slots: int, df: DataFrame) -> DataFrame:
+    def commit(self, job: str, digest: str, r: int, slots: int, df: DataFrame, save: Callable[[DataFrame, str], None] | None = None) -> DataFrame:
+        """``save`` writes the rows to a folder in another layout than plain files; the manifest row comes after it as well."""
         began = time.time()
         where = ""
         if self.mode == "parquet":
             where = f"{self.path}/round={r}"
             if path_exists(self.spark, where):
                 remove(self.spark, where)
-            df.write.parquet(where)
+            if save is None:
+                df.write.parquet(where)
+            else:
+                save(df, where)
             out = self.spark.read.schema(df.schema).parquet(where)
         elif self.mode == "checkpoint":
             if self.spark.conf.get("spark.checkpoint.dir", None) is None:
@@ -112,7 +127,7 @@ class RoundDriver:
     digest: str
     block_bytes: int = 1
 
-    def run(self, rounds: int, slots: Callable[[int], int], step: Callable[[int, DataFrame | None], DataFrame], resume: bool = True, stop_after: int | None = None) -> list[DataFrame]:
+    def run(self, rounds: int, slots: Callable[[int], int], step: Callable[[int, DataFrame | None], DataFrame], resume: bool = True, stop_after: int | None = None, save: Callable[[int, DataFrame, str], None] | None = None) -> list[DataFrame]:
         """Outputs of all rounds; those committed before aren't run again. ``stop_after`` raises after that round."""
         spark, done = self.store.spark, self.store.committed(self.digest) if resume else {}
         out: list[DataFrame] = []
@@ -121,7 +136,7 @@ class RoundDriver:
                 out.append(spark.read.parquet(done[r]))
                 continue
             with small_batches(spark, self.block_bytes):
-                out.append(self.store.commit(self.job, self.digest, r, slots(r), step(r, out[-1] if out else None)))
+                out.append(self.store.commit(self.job, self.digest, r, slots(r), step(r, out[-1] if out else None), save and functools.partial(save, r)))
             if stop_after == r:
                 raise Stopped(f"stopped after round {r}")
         return out

@@ -93,10 +93,10 @@ QUERIES["mm2d_naive_schedule"] = dense_2d(rho=4, schedule="row_major")
 # ---- sparse products ------------------------------------------------------------------------------------------
 
 
-def sparse_scatter(q: int, rho: int, encoding: str = "long") -> Query:
+def sparse_scatter(q: int, rho: int, encoding: str = "long", side: int = 8192, carry: str = "accumulate") -> Query:
     def run(spark: SparkSession, d: str) -> DataFrame:
-        a = scatter(spark, d, 8192)
-        return multiply_3d_sparse(a, a, 0, rho, side=8192 // q, encoding=encoding).df
+        a = scatter(spark, d, side)
+        return multiply_3d_sparse(a, a, 0, rho, side=side // q, encoding=encoding, carry=carry).df
 
     return run
 
@@ -105,6 +105,13 @@ for _rho in (1, 2, 4):
     QUERIES[f"mm3d_sparse_er_rho{_rho}"] = sparse_scatter(4, _rho)
 QUERIES["mm3d_sparse_q16"] = sparse_scatter(16, 4)
 QUERIES["mm3d_sparse_packed"] = sparse_scatter(4, 2, "packed")
+QUERIES["mm3d_sparse_append"] = sparse_scatter(4, 2, "long", carry="append")
+QUERIES["mm3d_sparse_packed_append"] = sparse_scatter(4, 2, "packed", carry="append")
+for _q, _rho in ((8, 8), (16, 8), (16, 16)):
+    QUERIES[f"mm3d_sparse_q{_q}_rho{_rho}"] = sparse_scatter(_q, _rho, "packed")
+for _side, _q, _rho in ((1024, 4, 1), (1024, 8, 4), (1024, 16, 16), (65536, 4, 2), (65536, 8, 8), (65536, 16, 4)):
+    QUERIES[f"mm3d_sparse_n{_side}_q{_q}_rho{_rho}"] = sparse_scatter(_q, _rho, "packed", _side)
+QUERIES["mm_sparse_join"] = lambda spark, d: base.multiply_join(scatter(spark, d, 8192), scatter(spark, d, 8192)).df
 
 
 @query("mm3d_sparse_er_sized")
@@ -143,9 +150,7 @@ def mm3d_sparse_unknown(spark: SparkSession, d: str) -> DataFrame:
 def mm3d_sparse_permuted(spark: SparkSession, d: str) -> DataFrame:
     """Rows, inner axis and columns permuted, the product permuted back."""
     a = src.user_hour(spark, d)
-    rows, inner = ew.Permutation(a.n_rows, "feistel", 42), ew.Permutation(a.n_cols, "feistel", 42)
-    p = ew.permute(a, rows, inner)
-    return ew.permute(multiply_3d_sparse(p, p.T, 5_000, 2, density="flops_upper"), rows, rows, back=True).df
+    return multiply_3d_sparse(a, a.T, 5_000, 2, density="flops_upper", permuted=True).df
 
 
 # ---- baselines and semirings ----------------------------------------------------------------------------------

@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from roundmm.plans.rounds import RoundStore, plan_hash
+from roundmm.plans.rounds import RoundStore, fingerprint, plan_hash
 from roundmm.scratch import fresh_path
 from roundmm.sources.tables import load
 
@@ -24,8 +24,9 @@ def event_stream(spark: SparkSession, path: str, per_trigger: int = 2) -> DataFr
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", per_trigger).parquet(path)
 
 
-def run_to_table(result: DataFrame, mode: str = "complete") -> DataFrame:
-    """Run what is available, to Parquet: the last batch's result for ``complete``, all batches' for ``append``."""
+def run_to_table(result: DataFrame, mode: str = "complete", late: list[int] | None = None) -> DataFrame:
+    """Run what is available, to Parquet: the last batch's result for ``complete``, all batches' for ``append``. ``late`` gets, for each batch,
+    the rows that the watermark dropped."""
     spark = result.sparkSession
     out = fresh_path(spark, "stream-out")
 
@@ -35,6 +36,8 @@ def run_to_table(result: DataFrame, mode: str = "complete") -> DataFrame:
 
     q = result.writeStream.outputMode(mode).foreachBatch(write).trigger(availableNow=True).option("checkpointLocation", fresh_path(spark, "stream-state")).queryName(f"roundmm_{uuid.uuid4().hex[:8]}").start()
     q.awaitTermination()
+    if late is not None:
+        late += [sum(s["numRowsDroppedByWatermark"] for s in p["stateOperators"]) for p in q.recentProgress]
     found = spark.read.parquet(out)
     if mode == "complete":
         last = found.agg(F.max("batch")).first()[0]
@@ -74,13 +77,16 @@ def close_pairs(events: DataFrame, seconds: int = 3600) -> DataFrame:
 
 def product_by_batches(events: DataFrame, b: DataFrame, store: RoundStore) -> DataFrame:
     """The same product, each micro-batch a committed round of ``store``: its own share ``dA B`` under its number. A batch that
-    was committed before a crash is not run again. The result folds the committed shares."""
+    was committed before a crash is not run again; the store raises if it holds another stream's batch, or another B. The result folds the committed shares."""
     out = events.sparkSession
-    digest = plan_hash(kind="stream product", columns=b.columns)
+    digest = plan_hash(kind="stream product", columns=b.columns, b=fingerprint(b))
 
     def commit(batch: DataFrame, number: int) -> None:
+        job = f"stream batch {fingerprint(batch)}"
         if number not in store.committed(digest):
-            store.commit("stream", digest, number, 1, incremental_product(batch, b))
+            store.commit(job, digest, number, 1, incremental_product(batch, b))
+        elif {r["job"] for r in store.manifest().where(F.col("round") == number).collect()} != {job}:  # one manifest row
+            raise ValueError(f"the store holds batch {number} of another stream")
 
     q = events.writeStream.foreachBatch(commit).trigger(availableNow=True).option("checkpointLocation", fresh_path(out, "stream-state")).start()
     q.awaitTermination()

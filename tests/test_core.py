@@ -253,7 +253,7 @@ def test_coordinate_kernel(a, b):
         return out
 
     x, y = parts(a), parts(b)
-    assert np.array_equal(full(coo_product(x, y, PLUS_TIMES)), full(x) @ full(y))
+    assert np.array_equal(full(coo_product(x, y, PLUS_TIMES, 10**6)), full(x) @ full(y))
 
 
 def test_or_and_reaches(spark):
@@ -407,3 +407,27 @@ def test_sources(spark, tmp_path):
     assert array(gen.read_matrix(spark, str(tmp_path / "m.mtx"), "mtx", 3, 3, entries=2)).tolist() == [[2.5, 0, 0], [0, 0, 0], [0, -1.0, 0]]
     assert set(SEMIRINGS) >= {"plus_times", "min_plus"} and sparse_grid(m, m, 3, 9).rho == 4
     assert gen.dense_random(spark, 3, 4).df.count() == 12 and gen.diagonal(spark.createDataFrame([(0, 2.0)], "idx long, val double"), 2).df.count() == 1
+
+
+# ---- stores and inputs
+
+
+@pytest.mark.parametrize("kind", ["3d", "stationary", "2d", "long", "packed", "append"])
+def test_a_store_with_other_data_raises(spark, kind):
+    """Same shapes, same options, other numbers: the rounds of one product must not be read as those of another."""
+    x, y = ints(21, 6, 6), ints(22, 6, 6)
+    run = {
+        "3d": lambda a, b, **o: multiply_3d(to_blocks(a, 2, 2, full=True), to_blocks(b, 2, 2, full=True), 1, **o),
+        "stationary": lambda a, b, **o: multiply_3d(to_blocks(a, 2, 2, full=True), to_blocks(b, 2, 2, full=True), 1, "stationary", **o),
+        "2d": lambda a, b, **o: multiply_2d(*strips(a, b, 12), 1, **o),
+        "long": lambda a, b, **o: multiply_3d_sparse(a, b, 0, 1, side=2, encoding="long", **o),
+        "packed": lambda a, b, **o: multiply_3d_sparse(a, b, 0, 1, side=2, **o),
+        "append": lambda a, b, **o: multiply_3d_sparse(a, b, 0, 1, side=2, carry="append", **o),
+    }[kind]
+    cells = lambda c: array(c if isinstance(c, MatrixFrame) else to_coordinates(c))
+    store = RoundStore(spark)
+    with pytest.raises(Stopped):
+        run(of_array(spark, x), of_array(spark, y), store=store, stop_after=0)
+    assert np.array_equal(cells(run(of_array(spark, x), of_array(spark, y), store=RoundStore(spark, path=store.path))), x @ y)
+    with pytest.raises(ValueError, match="other data"):
+        run(of_array(spark, x), of_array(spark, 2 * y), store=RoundStore(spark, path=store.path))
