@@ -10,7 +10,7 @@ documents that share most tokens keep meeting, others part. Paths start ``START`
   component by then are dropped, the others branch again; what is still large after the last level is
   compared exhaustively in pairs of blocks.
 
-Every link is confirmed on the full sets. The number of trees follows from the recall asked for at the threshold.
+Every link is confirmed on the full sets, shingle by shingle. The number of trees follows from the recall asked for at the threshold.
 """
 
 from __future__ import annotations
@@ -21,10 +21,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import xxhash
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import components, empty_text, free_shuffles, sliced, stored
+from roundmm.llm.common import components, drop_stored, empty_text, free_shuffles, sliced, stored
 from roundmm.llm.textnum import mix, shingles
 
 TOKENS = 64
@@ -36,7 +37,8 @@ START = 3
 class Settings:
     words: int = 5
     percent: int = 75
-    recall: float = 0.99999
+    #: Of pairs at the threshold, even if every node on their paths stays large; where nodes are small the default misses about 2 in 100,000.
+    recall: float = 0.999
     #: Members and bytes of text up to which a node counts as small.
     leaf: int = 4096
     leaf_bytes: int = 16 << 20
@@ -44,9 +46,11 @@ class Settings:
 
     @property
     def trees(self) -> int:
-        """Trees whose first paths miss a pair at the threshold with a chance of at most ``1 - recall``."""
-        miss = 1 - (self.percent / 100) ** START
-        return min(TOKENS // BRANCHES, math.ceil(math.log(1 - self.recall) / (BRANCHES * math.log(miss))))
+        """The fewest trees that miss a pair at the threshold with a chance of at most ``1 - recall``; raises where there are too few tokens for them."""
+        for trees in range(1, TOKENS // BRANCHES + 1):
+            if missed(trees * BRANCHES, self.percent / 100, self.levels) <= 1 - self.recall:
+                return trees
+        raise ValueError(f"{TOKENS} tokens are too few for a recall of {self.recall} at {self.percent} %")
 
     @property
     def agree(self) -> int:
@@ -55,6 +59,18 @@ class Settings:
         return max(1, math.floor(TOKENS * p - 4.6 * math.sqrt(TOKENS * p * (1 - p))))
 
 
+def missed(starts: int, p: float, levels: int) -> float:
+    """The chance that no path of ``starts`` keeps a pair of similarity ``p``. All paths draw from the same ``TOKENS`` minima, so it is averaged over how many
+    of them agree; every node is taken to stay large down to the last level, where a path goes on by ``BRANCHES`` tokens a level."""
+    total = 0.0
+    for x in range(TOKENS + 1):
+        q = x / TOKENS
+        kept = q ** (START - 1) * (1 - (1 - q) ** BRANCHES) ** (levels - 1)
+        agreeing = (math.comb(x, h) * math.comb(TOKENS - x, starts - h) / math.comb(TOKENS, starts) * (1 - kept) ** h for h in range(max(0, starts - TOKENS + x), min(x, starts) + 1))
+        total += math.comb(TOKENS, x) * p**x * (1 - p) ** (TOKENS - x) * sum(agreeing)
+    return total
+
+
 def minwise(found: np.ndarray) -> np.ndarray:
     """``TOKENS`` 32-bit minima of multiply-add hashes over a set of shingle hashes."""
     a = mix(np.arange(1, TOKENS + 1, dtype=np.uint64)) | np.uint64(1)
@@ -65,24 +81,33 @@ def minwise(found: np.ndarray) -> np.ndarray:
     return (low >> np.uint64(32)).astype("<u4")
 
 
+def text_print(text: Column) -> Column:
+    """Tells texts apart that share an id."""
+    return F.unhex(F.md5(text.cast("binary")))
+
+
 def profiled(docs: DataFrame, words: int = 5) -> DataFrame:
-    """``doc_id, n_shingles, n_bytes, d1, d2, tokens``: set size, text size, a 128-bit digest of the set, its minwise tokens."""
+    """``doc_id, print, n_shingles, n_bytes, name, tokens``: set size, text size, a 128-bit name of the set (null: empty), its minwise tokens."""
 
     def profile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in sliced(batches):
             texts = batch["text"].cast(pa.binary()).to_pylist()
             sets = shingles(texts, words)
-            once, again = [], []
-            for s in sets:
-                once.append(int(mix(s).sum(dtype=np.uint64).astype(np.int64)) if len(s) else 0)
-                again.append(int(np.bitwise_xor.reduce(mix(s + np.uint64(7))).astype(np.int64)) if len(s) else 0)
-            tokens = [minwise(s).tobytes() if len(s) else b"" for s in sets]
             yield pa.RecordBatch.from_arrays(
-                [batch["doc_id"], pa.array([len(s) for s in sets], pa.int64()), pa.array([len(t) for t in texts], pa.int64()), pa.array(once, pa.int64()), pa.array(again, pa.int64()), pa.array(tokens, pa.binary())],
-                names=["doc_id", "n_shingles", "n_bytes", "d1", "d2", "tokens"],
+                [
+                    batch["doc_id"], batch["print"], pa.array([len(s) for s in sets], pa.int64()), pa.array([len(t) for t in texts], pa.int64()),
+                    pa.array([xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None for s in sets], pa.binary()), pa.array([minwise(s).tobytes() if len(s) else None for s in sets], pa.binary()),
+                ],
+                names=["doc_id", "print", "n_shingles", "n_bytes", "name", "tokens"],
             )
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), empty_text().alias("text")).mapInArrow(profile, "doc_id long, n_shingles long, n_bytes long, d1 long, d2 long, tokens binary")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), empty_text().alias("text")).withColumn("print", text_print(F.col("text")))
+    return rows.mapInArrow(profile, "doc_id long, print binary, n_shingles long, n_bytes long, name binary, tokens binary")
+
+
+def rep_of(name: Column) -> Column:
+    """64 bits of a name, by which nodes list sets. Sets that share one are told apart when their texts are joined."""
+    return F.conv(F.substring(F.hex(name), 1, 15), 16, 10).cast("long")
 
 
 def token_rows(column: pa.Array) -> np.ndarray:
@@ -128,8 +153,11 @@ def children(members: DataFrame) -> DataFrame:
     return members.mapInArrow(branch, "node long, rep long, n_bytes long")
 
 
-def agreeing(pairs: DataFrame, reps: DataFrame, least: int) -> DataFrame:
-    """The pairs ``a, b`` whose tokens agree in at least ``least`` positions."""
+PAIRS = "a binary, b binary"
+
+
+def agreeing(pairs: DataFrame, classes: DataFrame, least: int) -> DataFrame:
+    """The pairs ``a, b`` of names whose tokens agree in at least ``least`` positions. Those left out still meet further down."""
 
     def kept(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -137,35 +165,45 @@ def agreeing(pairs: DataFrame, reps: DataFrame, least: int) -> DataFrame:
                 same = (token_rows(batch["t_a"]) == token_rows(batch["t_b"])).sum(axis=1) >= least
                 yield batch.select(["a", "b"]).filter(pa.array(same))
 
-    left = reps.select(F.col("rep").alias("a"), F.col("tokens").alias("t_a"))
-    right = reps.select(F.col("rep").alias("b"), F.col("tokens").alias("t_b"))
-    return pairs.join(right, "b").join(left, "a").mapInArrow(kept, "a long, b long")
+    left = classes.select(F.col("name").alias("a"), F.col("tokens").alias("t_a"))
+    right = classes.select(F.col("name").alias("b"), F.col("tokens").alias("t_b"))
+    return pairs.join(right, "b").join(left, "a").mapInArrow(kept, PAIRS)
+
+
+def shingle_set(text: bytes, words: int) -> set[tuple[bytes, ...]]:
+    """The shingles themselves, not their hashes."""
+    w = text.lower().split()
+    return set(zip(*(w[i:] for i in range(words)), strict=False)) if len(w) >= words else {tuple(w)} if w else set()
+
+
+def reaches(x: set, y: set, percent: int) -> bool:
+    both = len(x & y)
+    return both > 0 and 100 * both >= percent * (len(x) + len(y) - both)
 
 
 def confirmed(pairs: DataFrame, texts: DataFrame, settings: Settings) -> DataFrame:
-    """The pairs whose full shingle sets reach the threshold."""
+    """The pairs of names whose full shingle sets reach the threshold; the shingles are compared, no hashes of them."""
 
     def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last: tuple[int, np.ndarray] | None = None
+        last: tuple[bytes, set] | None = None
         for batch in batches:
-            a, b, keep = batch["a"].to_pylist(), batch["b"].to_pylist(), []
+            a, keep = batch["a"].to_pylist(), []
             for i in range(batch.num_rows):
                 if last is None or last[0] != a[i]:
-                    last = (a[i], shingles([batch["x_a"][i].as_py().encode()], settings.words)[0])
-                other = shingles([batch["x_b"][i].as_py().encode()], settings.words)[0]
-                both = len(np.intersect1d(last[1], other, assume_unique=True))
-                keep.append(both > 0 and 100 * both >= settings.percent * (len(last[1]) + len(other) - both))
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
+                    last = (a[i], shingle_set(batch["x_a"][i].as_py().encode(), settings.words))
+                keep.append(reaches(last[1], shingle_set(batch["x_b"][i].as_py().encode(), settings.words), settings.percent))
+            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    left = texts.select(F.col("rep").alias("a"), F.col("text").alias("x_a"))
-    right = texts.select(F.col("rep").alias("b"), F.col("text").alias("x_b"))
-    return pairs.join(right, "b").join(left, "a").mapInArrow(check, "a long, b long")
+    left = texts.select(F.col("name").alias("a"), F.col("text").alias("x_a"))
+    right = texts.select(F.col("name").alias("b"), F.col("text").alias("x_b"))
+    return pairs.join(right, "b").join(left, "a").mapInArrow(check, PAIRS)
 
 
-def linked(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
-    """Links between ``sets`` that join their groups. All are compared with the first; those it reaches are one group, whose
-    members need no comparison with each other; every other set is compared with all, by one pass over their shingles, and
-    sends one link to each group that it reaches."""
+def linked(texts: list[bytes], settings: Settings) -> list[tuple[int, int]]:
+    """Links between ``texts`` that join their groups. All are compared with the first; those it reaches are one group, whose
+    members need no comparison with each other; every other one is compared with all, by one pass over their hashed shingles, and
+    sends one link to each group that it reaches. A link is sent once the shingles themselves reach the threshold."""
+    sets = shingles(texts, settings.words)
     size = np.array([len(x) for x in sets])
     starts = np.cumsum(size) - size
     _, number = np.unique(np.concatenate(sets), return_inverse=True)
@@ -179,40 +217,45 @@ def linked(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
         mark[own] = True
         both = np.add.reduceat(mark[number], starts, dtype=np.int64)
         mark[own] = False
-        near = np.flatnonzero(100 * both >= percent * (size + size[i] - both))
-        reached, at = np.unique(group[near], return_index=True)
-        out += [(i, int(near[k])) for k in at if group[near[k]] != group[i]]
-        group[np.isin(group, reached)] = group[0] if group[0] in reached else i
+        near = np.flatnonzero(100 * both >= settings.percent * (size + size[i] - both))
+        mine, whole = {int(group[i])}, None
+        for j in near.tolist():
+            if int(group[j]) in mine:
+                continue
+            whole = whole or shingle_set(texts[i], settings.words)
+            if reaches(whole, shingle_set(texts[j], settings.words), settings.percent):
+                out.append((i, j))
+                mine.add(int(group[j]))
+        group[np.isin(group, list(mine))] = group[0] if group[0] in mine else i
     return out
 
 
 def node_links(members: DataFrame, settings: Settings) -> DataFrame:
-    """Links within each small node of ``node, rep, text``. Rows are sorted by node and streamed; one node is held at a time."""
+    """Links within each small node of ``node, name, text``. Rows are sorted by node and streamed; one node is held at a time."""
 
-    def found(rows: list[tuple[int, bytes]]) -> list[tuple[int, int]]:
-        rows = list(dict(rows).items())  # a repeated row is one member
-        if len(rows) < 2:
+    def found(held: dict[bytes, bytes]) -> list[tuple[bytes, bytes]]:
+        if len(held) < 2:
             return []
-        ids = [r[0] for r in rows]
-        return [(min(ids[i], ids[j]), max(ids[i], ids[j])) for i, j in linked(shingles([r[1] for r in rows], settings.words), settings.percent)]
+        names = list(held)
+        return [(min(names[i], names[j]), max(names[i], names[j])) for i, j in linked(list(held.values()), settings)]
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         node: int | None = None
-        held: list[tuple[int, bytes]] = []
+        held: dict[bytes, bytes] = {}  # a repeated row is one member
         for batch in batches:
-            out: list[tuple[int, int]] = []
-            for n, rep, text in zip(batch["node"].to_pylist(), batch["rep"].to_pylist(), batch["text"].cast(pa.binary()).to_pylist(), strict=True):
+            out: list[tuple[bytes, bytes]] = []
+            for n, name, text in zip(batch["node"].to_pylist(), batch["name"].to_pylist(), batch["text"].cast(pa.binary()).to_pylist(), strict=True):
                 if n != node:
                     out += found(held)
-                    node, held = n, []
-                held.append((rep, text))
+                    node, held = n, {}
+                held[name] = text
             yield pairs(out)
         yield pairs(found(held))
 
-    def pairs(out: list[tuple[int, int]]) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([p[k] for p in out], pa.int64()) for k in (0, 1)], names=["a", "b"])
+    def pairs(out: list[tuple[bytes, bytes]]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([p[k] for p in out], pa.binary()) for k in (0, 1)], names=["a", "b"])
 
-    return members.repartition("node").sortWithinPartitions("node").mapInArrow(stream, "a long, b long").distinct()
+    return members.repartition("node").sortWithinPartitions("node").mapInArrow(stream, PAIRS).distinct()
 
 
 def blocked(members: DataFrame, settings: Settings) -> DataFrame:
@@ -224,54 +267,70 @@ def blocked(members: DataFrame, settings: Settings) -> DataFrame:
 
 
 def met(members: DataFrame) -> DataFrame:
-    """``node, rep, n_bytes, size, bytes, pivot`` of nodes with at least two members, one node for each set of members."""
+    """``node, rep, n_bytes, size, bytes`` of nodes with at least two members, one node for each set of members."""
     stats = members.groupBy("node").agg(
-        F.count(F.lit(1)).alias("size"), F.sum("n_bytes").alias("bytes"), F.min("rep").alias("pivot"), F.sum(F.xxhash64("rep").bitwiseAND((1 << 40) - 1)).alias("_s"), F.bit_xor(F.xxhash64("rep", F.lit(1))).alias("_x")
+        F.count(F.lit(1)).alias("size"), F.sum("n_bytes").alias("bytes"), F.sum(F.xxhash64("rep").bitwiseAND((1 << 40) - 1)).alias("_s"), F.bit_xor(F.xxhash64("rep", F.lit(1))).alias("_x")
     ).where("size > 1")
-    once = stats.groupBy("size", "bytes", "pivot", "_s", "_x").agg(F.min("node").alias("node")).select("node", "size", "bytes", "pivot")
+    once = stats.groupBy("size", "bytes", "_s", "_x").agg(F.min("node").alias("node")).select("node", "size", "bytes")
     return members.join(once.hint("merge"), "node")
 
 
+def same_id(named: DataFrame) -> DataFrame:
+    """Links between the sets of one id: rows that share an id are one document."""
+    several = named.groupBy("doc_id").agg(F.min("name").alias("a"), F.max("name").alias("_hi")).where("a <> _hi").select("doc_id", "a")
+    return named.join(several, "doc_id").where("name <> a").select("a", F.col("name").alias("b")).distinct()
+
+
 def near_duplicates(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
     """Per row of ``docs(doc_id, text)``: ``doc_id, n_shingles, component_id, kept``.
 
     Texts null, empty or without words have the empty set and stand alone. A row with a null id is counted, has a null
-    component and is kept. Rows that share an id are one document. Very long texts are read whole; other columns
-    are ignored; an empty table gives no rows.
+    component and a null ``kept``. Rows that share an id are one document with all their sets: in whatever order they come, their links count for the id.
+    Very long texts are read whole; other columns are ignored; an empty table gives no rows.
     """
     s = settings or Settings()
     spark = docs.sparkSession
     held = stored(profiled(docs, s.words), "profile")
-    named = held.where("n_shingles > 0 and doc_id is not null")
-    classes = stored(named.groupBy("n_shingles", "d1", "d2").agg(F.min("doc_id").alias("rep"), F.first("tokens").alias("tokens"), F.max("n_bytes").alias("n_bytes")), "sets")
+    named = held.where("name is not null and doc_id is not null")
+    classes = named.groupBy("name").agg(F.min(F.struct("doc_id", "print", "n_bytes")).alias("first"), F.first("tokens").alias("tokens"))
+    classes = stored(classes.select("name", rep_of(F.col("name")).alias("rep"), F.col("first.doc_id").alias("doc"), F.col("first.print").alias("print"), F.col("first.n_bytes").alias("n_bytes"), "tokens"), "sets")
     reps = classes.select("rep", "n_bytes", "tokens")
-    texts = docs.select(F.col("doc_id").cast("long").alias("rep"), empty_text().alias("text"))
-    members, links, small_nodes = roots(reps, s.trees), [], []
+    by_text = docs.select(F.col("doc_id").cast("long").alias("doc"), empty_text().alias("text")).withColumn("print", text_print(F.col("text")))
+    texts = by_text.join(classes.select("name", "doc", "print"), ["doc", "print"]).select("name", "text")
+    members, links, small_nodes, levels = roots(reps, s.trees), [stored(same_id(named), "links")], [], []
     for depth in range(s.levels):
         level = stored(met(members), "nodes")
+        levels.append(level)
         free_shuffles(spark)
         fits = (F.col("size") <= s.leaf) & (F.col("bytes") <= s.leaf_bytes)
         small_nodes.append(level.where(fits).select("node", "rep"))
         large = level.where(~fits)
         if not large.limit(1).count():
             break
-        star = large.where("rep <> pivot").select(F.col("pivot").alias("a"), F.col("rep").alias("b")).distinct()
-        links.append(stored(confirmed(agreeing(star, reps, s.agree), texts, s), "links"))
-        labels = components(union(links)).select(F.col("node").alias("_rep"), "component")
-        labelled = large.join(labels, F.col("rep") == F.col("_rep"), "left").withColumn("_c", F.coalesce("component", "rep"))
+        large = large.join(classes.select("rep", "name"), "rep")
+        pivots = large.groupBy("node").agg(F.min("name").alias("a"))
+        star = large.join(pivots, "node").where("name <> a").select("a", F.col("name").alias("b")).distinct()
+        links.append(stored(confirmed(agreeing(star, classes, s.agree), texts, s), "links"))
+        labels = components(union(links))
+        labelled = large.join(labels.select(F.col("node").alias("_name"), "component"), F.col("name") == F.col("_name"), "left").withColumn("_c", F.coalesce("component", "name"))
         mixed = labelled.groupBy("node").agg(F.min("_c").alias("_lo"), F.max("_c").alias("_hi")).where("_lo <> _hi").select("node")
         large = stored(large.join(mixed, "node"), "large")
+        levels.append(large)
+        drop_stored(labels)
         if depth == s.levels - 1:
             small_nodes.append(blocked(large, s))
-        members = children(large.select("node", "rep").join(reps, "rep").select("node", "rep", "n_bytes", "tokens")).distinct()
-    # the same join at every size: texts are large, and a broadcast of the members would not last
-    links.append(stored(node_links(union(small_nodes).join(texts.hint("merge"), "rep").select("node", "rep", "text"), s), "links"))
+        members = children(large.select("node", "name").join(classes, "name").select("node", "rep", "n_bytes", "tokens")).distinct()
+    # the same joins at every size: texts are large, and a broadcast of the members would not last
+    placed = union(small_nodes).join(classes.select("rep", "name", "doc", "print"), "rep")
+    links.append(stored(node_links(placed.join(by_text.hint("merge"), ["doc", "print"]).select("node", "name", "text"), s), "links"))
     free_shuffles(spark)
     labels = components(union(links))
-    named_class = classes.join(labels, F.col("rep") == F.col("node"), "left").select(F.col("n_shingles").alias("_n"), F.col("d1").alias("_d1"), F.col("d2").alias("_d2"), F.coalesce("component", "rep").alias("_class"))
-    found = held.select("doc_id", "n_shingles", "d1", "d2").join(named_class, (F.col("n_shingles") == F.col("_n")) & (F.col("d1") == F.col("_d1")) & (F.col("d2") == F.col("_d2")), "left")
+    drop_stored(*levels, *links)
+    joined = classes.select("name", "doc").join(labels, F.col("name") == F.col("node"), "left").withColumn("_label", F.coalesce("component", "name"))
+    least = joined.groupBy("_label").agg(F.min("doc").alias("_class"))
+    found = held.select("doc_id", "n_shingles", "name").join(joined.join(least, "_label").select(F.col("name").alias("_name"), "_class"), F.col("name") == F.col("_name"), "left")
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("_class", "doc_id"))
-    return found.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
+    return found.select("doc_id", "n_shingles", component.alias("component_id"), (component == F.col("doc_id")).alias("kept"))
 
 
 def union(frames: list[DataFrame]) -> DataFrame:
@@ -282,6 +341,7 @@ def union(frames: list[DataFrame]) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
-    """The rows of ``docs`` whose document is its component's smallest id, with the columns of ``docs``."""
+    """The rows of ``docs`` whose document is its component's smallest id, with the columns of ``docs``. Rows with a null id, and those whose text is null,
+    empty or without words, stay; rows that share an id stay or go together; repeated rows stay as often as they are; an empty table stays empty."""
     gone = near_duplicates(docs, settings).where("not kept").select(F.col("doc_id").alias("_gone")).distinct()
     return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")

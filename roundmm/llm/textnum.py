@@ -64,11 +64,17 @@ def words(buffer: np.ndarray, separators: np.ndarray = WHITE) -> tuple[np.ndarra
     if not len(starts):
         return starts, ends, np.empty(0, np.uint64)
     length = ends - starts
-    offsets = np.cumsum(length) - length
-    place = np.arange(int(length.sum())) - np.repeat(offsets, length)
-    weight = powers(int(length.max()) + 1)[place]
-    value = np.add.reduceat((buffer[inside].astype(np.uint64) + np.uint64(1)) * weight, offsets)
-    return starts, ends, mix(value ^ (length.astype(np.uint64) << np.uint64(48)))
+    many = (length + 7) // 8
+    offsets = np.cumsum(many) - many
+    place = np.arange(int(many.sum())) - np.repeat(offsets, many)
+    # eight bytes at a time, each mixed with its place before they are added: unlike a polynomial, no pattern of bytes cancels out
+    eights = np.ndarray(len(buffer) + 1, "<u8", np.concatenate((buffer, np.zeros(8, np.uint8))), strides=(1,))
+    value = eights[np.repeat(starts, many) + 8 * place]
+    left = np.repeat(length, many) - 8 * place
+    short = left < 8
+    value[short] &= (np.uint64(1) << (left[short] * 8).astype(np.uint64)) - np.uint64(1)
+    whole = np.add.reduceat(mix(value + mix(place.astype(np.uint64) + np.uint64(1))), offsets)
+    return starts, ends, mix(whole ^ mix(length.astype(np.uint64)))
 
 
 def rolling(buffer: np.ndarray, q: int) -> np.ndarray:

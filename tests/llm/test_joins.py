@@ -72,7 +72,7 @@ def test_near_duplicates_of_odd_rows(documents):
     got = neardup.near_duplicates(docs).collect()
     assert len(got) == len(ODD)
     assert all(r.n_shingles == 0 and r.component_id == r.doc_id for r in got if r.doc_id in (1, 2))
-    assert all(r.component_id is None and r.kept for r in got if r.doc_id is None)
+    assert all(r.component_id is None and r.kept is None for r in got if r.doc_id is None)
     kept = neardup.keep_one(docs)
     assert kept.columns == docs.columns and kept.count() == len(ODD)
     assert neardup.near_duplicates(documents([])).count() == 0
@@ -281,3 +281,19 @@ def test_contamination_of_odd_rows(spark, documents):
     assert decontam.contamination(documents([]), marks).count() == 0
     assert decontam.contamination(docs, marks.limit(0)).count() == 0
     assert np.array_equal(decontam.build([]).grams, np.empty(0, np.uint64))
+
+
+def test_short_items_are_found(spark, documents):
+    """Items of every length with all the edits of their budget; items of a few bytes only as words."""
+    rng = random.Random(6)
+    marks = [(m, "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(m))) for m in [3, 5, *range(6, 50)]]
+    put = lambda m: list(m)
+    docs = []
+    for m, item in marks:
+        out = put(item)
+        for at in rng.sample(range(m), decontam.budget(m)):
+            out[at] = "#"
+        docs.append((m, f"0000 1111 {''.join(out)} 2222"))
+    docs.append((100, "0" + marks[0][1] + "0"))
+    got = {(r.doc_id, r.item_id) for r in decontam.contamination(documents(docs), items(spark, marks)).collect()}
+    assert got == {(m, m) for m, _ in marks}
