@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from roundmm.llm.licences import COVER, PHRASES, SENTENCES, SLACK
-from roundmm.llm.urls import SOFT, STRICT
+from roundmm.llm.urls import WEIGHTS
 
 #: unsigned CRC-32 of column ``text`` as UTF-8, byte by byte over a table built from the polynomial
 CRC_TABLE = "crc_table as (select list(c order by i) as t from (select i, list_reduce(list_prepend(i, range(8)), lambda c, k: case when c & 1 = 1 then xor(c >> 1, 3988292384) else c >> 1 end) as c from range(256) r(i)))"

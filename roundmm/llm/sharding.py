@@ -3,7 +3,10 @@
 Within each source rows are put in a seeded random order; row ``r`` of ``n`` gets the fraction ``(r - 1/2) / n``;
 all rows sorted by that fraction are cut into equal runs. Two distributed rankings do it: each splits its order into
 fine key ranges, counts them, adds up the counts before each range, and numbers rows only inside a range.
-No task ever sorts a whole source, and only ids, sizes and checksums move.
+No task ever sorts a whole source, and only ids, sizes and checksums move; texts are read once.
+
+The order's key hashes id, checksum, size and, of rows equal in these, a number: copies of a document are spread as other rows are, and an id that
+has many rows has as many keys.
 """
 
 from __future__ import annotations
@@ -11,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import empty_text, md5_key, small
+from roundmm.llm.common import drop_stored, empty_text, md5_key, stored
 
 #: Rows that one key range holds on average, up to MOST_RANGES ranges; beyond that ranges grow with the table.
 RANGE_ROWS = 2_000
@@ -19,42 +22,52 @@ MOST_RANGES = 1_000_000
 ROW_BYTES = 16
 
 
-def ranked(df: DataFrame, groups: list[str], order: list[Column], place: Column, out: str, ranges: int) -> DataFrame:
-    """Add ``out``: the 0-based rank in ``order`` within ``groups``. ``place`` in [0, 1) must rise with ``order``."""
-    held = df.withColumn("_range", F.least(F.floor(place * F.lit(ranges)), F.lit(ranges - 1)).cast("int"))
-    counts = held.groupBy(*groups, "_range").agg(F.count(F.lit(1)).alias("_n"))
-    over = Window.partitionBy(*groups).orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
-    before = counts.select(*[F.col(g).alias(f"_b_{g}") for g in groups], F.col("_range").alias("_b_range"), F.coalesce(F.sum("_n").over(over), F.lit(0)).alias("_before"))
-    rows = held.withColumn("_row", F.row_number().over(Window.partitionBy(*groups, "_range").orderBy(*order)))
-    on = F.col("_range") == F.col("_b_range")
-    for g in groups:
-        on = on & F.col(g).eqNullSafe(F.col(f"_b_{g}"))
-    return rows.join(small(before), on).withColumn(out, F.col("_before") + F.col("_row") - 1).drop("_range", "_row", "_before", "_b_range", *[f"_b_{g}" for g in groups])
+#: Equal rows are counted, and made again in lots of so many, so that one task never makes all copies of a row.
+LOT = 100_000
+
+
+def ranked(df: DataFrame, group: str, order: list[Column], place: Column, out: str, ranges: int) -> DataFrame:
+    """Add ``out``: the 0-based rank in ``order`` within ``group`` (not null). ``place`` in [0, 1) must rise with ``order``.
+
+    Rows and counts of a range use the same exchange, so ``df`` is read once."""
+    held = df.withColumn("_range", F.least(F.floor(place * F.lit(ranges)), F.lit(ranges - 1)).cast("int")).repartition(F.col(group), F.col("_range"))
+    counts = held.groupBy(group, "_range").agg(F.count(F.lit(1)).alias("_n"))
+    over = Window.partitionBy(group).orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)  # a row a range
+    before = counts.select(F.col(group).alias("_b_group"), F.col("_range").alias("_b_range"), F.coalesce(F.sum("_n").over(over), F.lit(0)).alias("_before"))
+    rows = held.withColumn("_row", F.row_number().over(Window.partitionBy(group, "_range").orderBy(*order)))
+    met = rows.join(before, (F.col(group) == F.col("_b_group")) & (F.col("_range") == F.col("_b_range")))
+    return met.withColumn(out, F.col("_before") + F.col("_row") - 1).drop("_range", "_row", "_before", "_b_group", "_b_range")
 
 
-def stratified_shards(docs: DataFrame, shards: int = 40, seed: int = 11, source: str = "source", range_rows: int = RANGE_ROWS) -> DataFrame:
-    """Shard plan of ``docs(doc_id, text, source)``: ``doc_id, source, size, text_crc32, shard, slot``.
+def numbered(rows: DataFrame) -> DataFrame:
+    """``rows`` with ``_copy``: 0, 1, ... for rows equal in all columns. Equal rows are counted before they are shuffled, and made again from the count."""
+    n = rows.groupBy(*rows.columns).agg(F.count(F.lit(1)).alias("_n"))
+    lots = n.withColumn("_lot", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("_n") - 1) / LOT))))
+    last = F.least(F.col("_n") - 1, F.col("_lot") * LOT + LOT - 1)
+    return lots.withColumn("_copy", F.explode(F.sequence(F.col("_lot") * LOT, last))).drop("_n", "_lot")
 
-    Shard sizes in rows differ by at most one, slots of a shard run from 0 without gaps. A null or empty text has
-    size 16 and the checksum of no bytes; a null source is a stratum of its own; rows equal in id and text are
-    interchangeable, each gets its own slot; an empty table gives no rows; other columns are ignored.
+
+def stratified_shards(docs: DataFrame, shards: int, seed: int = 11, range_rows: int = RANGE_ROWS, source: str = "source") -> DataFrame:
+    """``doc_id, source, size, text_crc32, shard, slot`` for every row of ``docs``.
+
+    Law ``rows``: counts differ by at most one. Null texts count as empty, a null source is a source of its own, null ids and rows that share an id
+    are ordered by checksum and size as well; repeated rows each take a place, in the order of a number given to them. An empty table gives no rows;
+    other columns are ignored.
     """
     raw = empty_text().cast("binary")
-    rows = docs.select(
-        "doc_id",
-        F.col(source).cast("string").alias("source"),
-        (F.octet_length(raw) + ROW_BYTES).cast("long").alias("size"),
-        F.crc32(raw).alias("text_crc32"),
-    ).withColumn("_key", md5_key(F.col("doc_id"), seed=seed))
-    place = F.conv(F.substring("_key", 1, 12), 16, 10).cast("double") / F.lit(float(16**12))
-    sizes = docs.groupBy(F.col(source).cast("string").alias("_source")).agg(F.count(F.lit(1)).alias("_of"))
-    total = docs.count()
+    rows = docs.select("doc_id", F.col(source).cast("string").alias("source"), (F.octet_length(raw) + ROW_BYTES).cast("long").alias("size"), F.crc32(raw).alias("text_crc32"))
+    rows = numbered(rows).withColumn("_key", md5_key(F.col("doc_id"), F.col("text_crc32"), F.col("size"), F.col("_copy"), seed=seed))
+    rows = stored(rows.withColumn("_stratum", F.when(F.col("source").isNull(), F.lit("")).otherwise(F.concat(F.lit(":"), F.col("source")))), "shard-rows")
+    sizes = rows.groupBy(F.col("_stratum").alias("_of_stratum")).agg(F.count(F.lit(1)).alias("_of"))
+    total = rows.count()  # of Parquet footers
     ranges = min(MOST_RANGES, max(1, -(-total // range_rows)))
-    order = [F.col("_key"), F.col("doc_id"), F.col("text_crc32"), F.col("size")]
-    inner = ranked(rows, ["source"], order, place, "_rank", ranges)
-    inner = inner.join(small(sizes), F.col("source").eqNullSafe(F.col("_source"))).withColumn("_part", (F.col("_rank") + 0.5) / F.col("_of"))
-    order = [F.col("_part"), *order]
-    whole = ranked(inner.withColumn("_all", F.lit(0)), ["_all"], order, F.col("_part"), "_at", ranges)
+    place = F.conv(F.substring("_key", 1, 12), 16, 10).cast("double") / F.lit(float(16**12))
+    order = [F.col("_key"), F.col("doc_id"), F.col("text_crc32"), F.col("size"), F.col("_copy")]
+    inner = ranked(rows, "_stratum", order, place, "_rank", ranges)
+    inner = inner.join(sizes, F.col("_stratum") == F.col("_of_stratum")).withColumn("_part", (F.col("_rank") + 0.5) / F.col("_of"))
+    inner = stored(inner.select("doc_id", "source", "size", "text_crc32", "_copy", "_key", "_part", F.lit(0).alias("_all")), "shard-ranks")
+    drop_stored(rows)
+    whole = ranked(inner, "_all", [F.col("_part"), *order], F.col("_part"), "_at", ranges)
     shard = F.expr(f"cast((_at * {shards}L) div {max(total, 1)}L as int)")
     begin = F.expr(f"(cast(shard as bigint) * {max(total, 1)}L + {shards - 1}L) div {shards}L")
     return whole.withColumn("shard", shard).withColumn("slot", (F.col("_at") - begin).cast("long")).select("doc_id", "source", "size", "text_crc32", "shard", "slot")
