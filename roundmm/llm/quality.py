@@ -15,11 +15,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import empty_text, md5_key, sliced
+from roundmm.llm.common import drop_stored, empty_text, md5_key, sliced, stored
 from roundmm.llm.textnum import joined, mix, powers, slices, words
 
 #: Most labelled rows that a model is fitted on.
 TRAIN_ROWS = 12_000
+#: Most bytes of features (four a feature) that the driver gathers for it.
+TRAIN_BYTES = 128 << 20
 BITS = 18
 #: Byte classes whose order makes up a word's shape: lower case and beyond ASCII, upper case, digit, and each sign by itself.
 SHAPE = np.arange(256, dtype=np.uint8)
@@ -136,14 +138,20 @@ def fitted(rows: list[np.ndarray], y: np.ndarray, bits: int = BITS) -> Model:
 
 
 def sample_for_training(docs: DataFrame, labels: DataFrame, label: str, usable: Column, limit: int = TRAIN_ROWS, seed: int = 5) -> DataFrame:
-    """``text, label``: at most ``limit`` labelled rows, the first by a hash of the id; rows without a label are left out."""
+    """``doc_id, text, label``: at most ``limit`` labelled documents, the first by a hash of the id, each once; rows without a label are left out. Of rows that share a
+    sampled id the one with the least md5 of its text counts (equal rows are one), found by partial aggregation, so that a frequent id gathers nowhere.
+    Null ids have no label. Extra columns of either table are ignored; empty tables give no rows."""
     marked = labels.select(F.col("doc_id").alias("_id"), F.col(label).cast("int").alias("label")).where(f"{label} is not null").where(usable)
     marked = marked.groupBy("_id").agg(F.max("label").alias("label")).orderBy(md5_key(F.col("_id"), seed=seed), "_id").limit(limit)
-    return docs.select("doc_id", "text").join(F.broadcast(marked), F.col("doc_id") == F.col("_id")).select("doc_id", "text", "label")  # at most limit rows
+    met = docs.select("doc_id", "text").join(F.broadcast(marked), F.col("doc_id") == F.col("_id"))  # at most limit rows
+    one = met.groupBy("doc_id", "label").agg(F.min(F.struct(F.md5(empty_text().cast("binary")).alias("_m"), "text")).alias("_t"))
+    return one.select("doc_id", F.col("_t.text").alias("text"), "label")
 
 
 def train(docs: DataFrame, labels: DataFrame, usable: Column, limit: int = TRAIN_ROWS, label: str = "quality") -> Model:
-    """Fit on the sample; only hashed features (not texts) reach the driver."""
+    """Fit on the sample; only hashed features (not texts) reach the driver, at most ``TRAIN_BYTES`` of them: the documents are taken in the order of
+    the hash as long as they fit, one that doesn't fit is left out. Null texts count as empty, extra columns are ignored, and without labels of both kinds the score
+    is the smoothed share."""
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in sliced(batches):
@@ -152,8 +160,16 @@ def train(docs: DataFrame, labels: DataFrame, usable: Column, limit: int = TRAIN
                 [batch["doc_id"], batch["label"], pa.array([f.astype("<i4").tobytes() for f in found], pa.binary())], names=["doc_id", "label", "found"]
             )
 
-    rows = sample_for_training(docs, labels, label, usable, limit).mapInArrow(hashed, "doc_id long, label int, found binary").collect()
-    rows.sort(key=lambda r: (r["doc_id"] * 2654435761 % 4294967296, r["found"]))
+    made = stored(sample_for_training(docs, labels, label, usable, limit).mapInArrow(hashed, "doc_id long, label int, found binary"), "train-features")
+    taken, left = [], TRAIN_BYTES
+    sizes = made.select("doc_id", F.octet_length("found").alias("n")).collect()  # at most limit rows of two numbers
+    for r in sorted(sizes, key=lambda r: (r["doc_id"] * 2654435761 % 4294967296, r["doc_id"])):
+        if r["n"] <= left:
+            taken.append(r["doc_id"])
+            left -= r["n"]
+    rows = made.collect() if len(taken) == len(sizes) else made.where(F.col("doc_id").isin(taken)).collect()  # at most TRAIN_BYTES
+    drop_stored(made)
+    rows.sort(key=lambda r: (r["doc_id"] * 2654435761 % 4294967296, r["doc_id"]))
     return fitted([np.frombuffer(r["found"], "<i4") for r in rows], np.array([1.0 if r["label"] else -1.0 for r in rows]))
 
 
@@ -172,11 +188,13 @@ def score_of(text: Column, model: Model, spark: SparkSession) -> Column:
 
 
 def scored(docs: DataFrame, model: Model) -> DataFrame:
-    """``docs`` with ``score`` in [0, 1] added (a column of that name is replaced). Null texts score as empty ones."""
+    """``docs`` with ``score`` in [0, 1] added (a column of that name is replaced). Null texts score as empty ones, very long ones as a whole; repeated rows score
+    alike; ids and other columns play no part; an empty table stays empty."""
     return docs.withColumn("score", score_of(empty_text(), model, docs.sparkSession))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, usable: Column, threshold: float = 0.3) -> DataFrame:
-    """The rows of ``docs`` that score at least ``threshold``, with the columns of ``docs``; a filter in the scan."""
+    """The rows of ``docs`` that score at least ``threshold``, with the columns of ``docs``; a filter in the scan. Null and empty texts are judged as empty ones,
+    repeated rows alike, whatever their ids; an empty table stays empty."""
     model = train(docs, labels, usable)
     return docs.where(score_of(empty_text(), model, docs.sparkSession) >= threshold)

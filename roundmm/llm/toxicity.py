@@ -289,7 +289,9 @@ def learn_lexicon(sample: DataFrame, costs: np.ndarray) -> tuple[tuple[str, floa
 
 
 def train(docs: DataFrame, labels: DataFrame, usable: Column, limit: int = TRAIN_ROWS) -> Model:
-    """Language model from every text; lexicon and curve from at most ``limit`` labelled rows, the first by hash."""
+    """Language model from every text; lexicon and curve from at most ``limit`` labelled documents, the first by hash, each once (:func:`sample_for_training`).
+
+    Null texts count as empty, extra columns are ignored; an empty table, or labels of one kind, give a model whose score is the smoothed share."""
     costs = language_model(docs)
     sample = sample_for_training(docs, labels, "toxic", usable, limit).withColumn("text", empty_text())
     lexicon = learn_lexicon(sample, costs)
