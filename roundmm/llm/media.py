@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import empty_text, free_shuffles, small, stored
+from roundmm.llm.common import drop_stored, empty_text, free_shuffles, small, stored
 from roundmm.llm.textnum import mix
 
 BLOCK = 64
@@ -193,20 +193,27 @@ def read_gathered(parts: DataFrame) -> DataFrame:
 
 
 def chunk_store(docs: DataFrame) -> DataFrame:
-    """The chunk store of ``docs(doc_id, text)`` in the shared folder: see ``STORE``. Every distinct chunk is held once
-    (by rows equal in id and text once each)."""
+    """The chunk store of ``docs(doc_id, text)`` in the shared folder: see ``STORE``. Every distinct chunk is held once. Null texts are empty ones;
+    null ids are ids; of equal texts the row of the least id is stored, and of rows equal in both one; an empty table gives an empty store."""
     texts = docs.select("doc_id", empty_text().alias("text")).withColumn("key", payload_key(F.col("text")))
     listed = stored(chunk_list(texts.select("key", "text")), "chunk-list")
     owners = listed.groupBy("digest").agg(F.min(F.struct("key", "seq")).alias("own"), F.max(F.struct("key", "seq")).alias("far")).where("own <> far").select("digest", "own")
-    owners = small(stored(owners, "owners"))
-    foreign = listed.join(owners, "digest").where(F.struct("key", "seq") != F.col("own"))
+    owners = stored(owners, "owners")
+    foreign = listed.join(small(owners), "digest").where(F.struct("key", "seq") != F.col("own"))
     recipes = stored(
         foreign.groupBy("key").agg(F.collect_set(F.struct("seq", F.col("own.key").alias("key"), F.col("own.seq").alias("at"))).alias("foreign")).withColumnRenamed("key", "_key"), "recipes"
     )
-    copies = stored(texts.groupBy("key").agg(F.min("doc_id").alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").select(F.col("key").alias("_copy"), "_first"), "copies")
+    each = texts.groupBy("key", "doc_id").agg(F.count(F.lit(1)).alias("_n"))
+    first = F.min(F.struct(F.col("doc_id"), F.col("_n")))
+    copies = each.groupBy("key").agg(first.alias("_f"), F.sum("_n").alias("_n")).where("_n > 1")
+    copies = stored(copies.select(F.col("key").alias("_copy"), F.col("_f.doc_id").alias("_first"), (F.col("_f._n") > 1).alias("_again")), "copies")
     single = texts.join(small(copies), F.col("key") == F.col("_copy"), "left").where(F.col("_copy").isNull() | F.col("doc_id").eqNullSafe(F.col("_first")))
+    if copies.where("_again").limit(1).count():  # rows equal in id and text: one of them
+        single = single.where(~F.coalesce("_again", F.lit(False))).select("key", "text").unionAll(single.where("_again").select("key", "text").dropDuplicates(["key"]))
     rows = single.select("key", "text").join(small(recipes), F.col("key") == F.col("_key"), "left").select("key", "text", "foreign")
-    return stored(packed(rows), "chunk-store")
+    out = stored(packed(rows), "chunk-store")
+    drop_stored(listed, owners, recipes, copies)
+    return out
 
 
 def read_features(store: DataFrame) -> DataFrame:
@@ -215,7 +222,7 @@ def read_features(store: DataFrame) -> DataFrame:
     partial = store.where("foreign is not null")
     own = partial.select("key", F.explode("parts").alias("p")).select("key", "p.seq", "p.digest", "p.data")
     wanted = partial.select("key", F.explode("foreign").alias("f")).select("key", F.col("f.seq").alias("seq"), F.col("f.key").alias("_from"), F.col("f.at").alias("_at")).distinct()
-    givers = small(wanted.select(F.col("_from").alias("key")).distinct())
+    givers = small(stored(wanted.select(F.col("_from").alias("key")).distinct(), "givers"))
     given = store.select("key", "parts").join(givers, "key", "left_semi").select(F.col("key").alias("_giver"), F.explode("parts").alias("p"))
     fetched = wanted.join(given, (F.col("_from") == F.col("_giver")) & (F.col("_at") == F.col("p.seq"))).select("key", "seq", "p.digest", "p.data")
     return whole.unionAll(read_gathered(own.unionAll(fetched)))
