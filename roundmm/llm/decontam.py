@@ -8,6 +8,7 @@ Benchmark items are the query set; they are taken in blocks of bounded size, eac
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -21,6 +22,8 @@ from roundmm.llm.common import empty_text, sliced
 from roundmm.llm.textnum import joined, rolling, slices
 
 GRAM = 10
+#: The same of short items, whose edits would leave no longer one. Items too short even for these are matched exactly, between bytes that are no letters or digits.
+SHORT_GRAM = 6
 EDIT_SHARE = 0.08
 #: Most bytes of benchmark text in one broadcast index.
 BLOCK_BYTES = 8 << 20
@@ -30,13 +33,19 @@ FILTER_BITS = 22
 FOLD = bytes(32 if b in (9, 10, 11, 12, 13) else b + 32 if 65 <= b <= 90 else b for b in range(256))
 
 
-def budget(m: int, q: int = GRAM, share: float = EDIT_SHARE) -> int:
-    """Edits allowed for an item of ``m`` bytes: the share, but few enough that the bound is at least one q-gram."""
-    return min(int(share * m), (m - q) // q)
+def budget(m: int, share: float = EDIT_SHARE) -> int:
+    """Edits allowed for an item of ``m`` bytes."""
+    return int(share * m)
+
+
+def gram_of(m: int) -> int:
+    """The q-grams by which an item of ``m`` bytes is found: short enough that its budget leaves one untouched. 0: the item is searched as a word."""
+    return next((q for q in (GRAM, SHORT_GRAM) if m + 1 - q * (budget(m) + 1) >= 1), 0)
 
 
 @dataclass(frozen=True)
 class Index:
+    q: int
     ids: tuple[int | None, ...]
     items: tuple[bytes, ...]
     edits: np.ndarray
@@ -47,6 +56,31 @@ class Index:
     sieve: np.ndarray
 
 
+@dataclass(frozen=True)
+class Block:
+    """Benchmark items that one pass of the texts looks for: q-gram indexes, and the items searched as words."""
+
+    indexes: tuple[Index, ...]
+    words: tuple[tuple[int | None, re.Pattern], ...]
+
+
+EDGE = rb"0-9A-Za-z\x80-\xff"
+
+
+def block_of(rows: list[tuple[int | None, bytes]]) -> Block:
+    by = {q: [(i, t) for i, t in rows if t and gram_of(len(t)) == q] for q in (GRAM, SHORT_GRAM, 0)}
+    words = tuple((i, re.compile(b"(?<![" + EDGE + b"])" + re.escape(t) + b"(?![" + EDGE + b"])")) for i, t in by[0])
+    return Block(tuple(build(by[q], q) for q in (GRAM, SHORT_GRAM) if by[q]), words)
+
+
+def found_in(texts: list[bytes], block: Block) -> list[tuple[int, int | None, int, int, int]]:
+    """Verified regions: (text number, item id, begin, end, edits)."""
+    out = [(t, index.ids[i], begin, end, edits) for index in block.indexes for t, i, begin, end, edits in regions(texts, index)]
+    for name, pattern in block.words:
+        out += [(t, name, m.start(), m.end(), 0) for t, text in enumerate(texts) for m in pattern.finditer(text.translate(FOLD))]
+    return out
+
+
 def build(rows: list[tuple[int | None, bytes]], q: int = GRAM) -> Index:
     rows = [(i, t) for i, t in rows if len(t) >= q]
     hashed = [rolling(np.frombuffer(t, np.uint8), q) for _, t in rows]
@@ -57,8 +91,8 @@ def build(rows: list[tuple[int | None, bytes]], q: int = GRAM) -> Index:
     grams, first = np.unique(grams[order], return_index=True)
     sieve = np.zeros(1 << FILTER_BITS, bool)
     sieve[(grams >> np.uint64(64 - FILTER_BITS)).astype(np.int64)] = True
-    edits = np.array([budget(len(t), q) for _, t in rows], np.int64)
-    return Index(tuple(i for i, _ in rows), tuple(t for _, t in rows), edits, grams, np.append(first, len(order)), item[order], place[order], sieve)
+    edits = np.array([budget(len(t)) for _, t in rows], np.int64)
+    return Index(q, tuple(i for i, _ in rows), tuple(t for _, t in rows), edits, grams, np.append(first, len(order)), item[order], place[order], sieve)
 
 
 def aligned(item: bytes, window: bytes, e: int, anchored: bool = False) -> tuple[int, int]:
@@ -82,9 +116,9 @@ def aligned(item: bytes, window: bytes, e: int, anchored: bool = False) -> tuple
     return int(cost[best]), min(max(len(p) + best - e, 0), len(window))
 
 
-def regions(texts: list[bytes], index: Index, q: int = GRAM) -> list[tuple[int, int, int, int, int]]:
+def regions(texts: list[bytes], index: Index) -> list[tuple[int, int, int, int, int]]:
     """Verified regions: (text number, item number, begin, end, edits), in order."""
-    out = []
+    out, q = [], index.q
     if not len(index.grams):
         return out
     wide = index.edits + 1
@@ -132,40 +166,39 @@ def regions(texts: list[bytes], index: Index, q: int = GRAM) -> list[tuple[int,
     return out
 
 
-def blocks(benchmark: DataFrame, limit: int = BLOCK_BYTES) -> Iterator[Index]:
+def blocks(benchmark: DataFrame, limit: int = BLOCK_BYTES) -> Iterator[Block]:
     """The items in blocks of at most ``limit`` bytes (a longer item alone), streamed, never all at once."""
     held, size = [], 0
     for r in benchmark.select(F.col("item_id").cast("long"), empty_text().alias("text")).toLocalIterator():
         t = r[1].encode().translate(FOLD).strip(b" ")
         if held and size + len(t) > limit:
-            yield build(held)
+            yield block_of(held)
             held, size = [], 0
         held.append((r[0], t))
         size += len(t)
     if held:
-        yield build(held)
+        yield block_of(held)
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """``doc_id, item_id, begin, end, edits``: every region of a text within the edit budget of a benchmark item.
 
-    Offsets count UTF-8 bytes. Items of under ``GRAM`` bytes, empty or null, match nothing; null and empty texts hold no
+    Offsets count UTF-8 bytes. Empty and null items match nothing, items of a few bytes only where they stand as words; null and empty texts hold no
     region; repeated rows are each reported; an empty benchmark or table gives no rows; other columns are ignored.
     Texts are read whole and in slices, so memory follows the longest text.
     """
     spark, found = docs.sparkSession, None
     schema = "doc_id long, item_id long, begin long, end long, edits int"
-    for index in blocks(benchmark):
-        sent = spark.sparkContext.broadcast(index)
+    for block in blocks(benchmark):
+        sent = spark.sparkContext.broadcast(block)
 
         def scan(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-            index = sent.value
             for batch in sliced(batches):
-                hit = regions(batch["text"].cast(pa.binary()).to_pylist(), index)
+                hit = found_in(batch["text"].cast(pa.binary()).to_pylist(), sent.value)
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch["doc_id"].take(pa.array([h[0] for h in hit], pa.int64())),
-                        pa.array([index.ids[h[1]] for h in hit], pa.int64()),
+                        pa.array([h[1] for h in hit], pa.int64()),
                         pa.array([h[2] for h in hit], pa.int64()),
                         pa.array([h[3] for h in hit], pa.int64()),
                         pa.array([h[4] for h in hit], pa.int32()),
@@ -183,14 +216,15 @@ def is_clean(text: Column, sent: Broadcast) -> Column:
     def clean(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for part in parts:
             ok = np.ones(len(part), bool)
-            ok[[h[0] for h in regions(part.cast(pa.binary()).to_pylist(), sent.value)]] = False
+            ok[[h[0] for h in found_in(part.cast(pa.binary()).to_pylist(), sent.value)]] = False
             yield pa.array(ok)
 
     return clean(text)
 
 
 def decontaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The rows of ``docs`` without such a region, with its columns; a filter in the scan, no join."""
-    for index in blocks(benchmark):
-        docs = docs.where(is_clean(empty_text(), docs.sparkSession.sparkContext.broadcast(index)))
+    """The rows of ``docs`` without such a region, with its columns; a filter in the scan, no join. Null and empty texts, and null ids, stay; repeated rows
+    are judged alike; an empty benchmark keeps every row, an empty table stays empty."""
+    for block in blocks(benchmark):
+        docs = docs.where(is_clean(empty_text(), docs.sparkSession.sparkContext.broadcast(block)))
     return docs
