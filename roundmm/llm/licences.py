@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import ascii_lower, empty_text
+from roundmm.llm.common import ascii_lower, empty_text, stored
 
 #: Words are runs of ASCII digits, lower-case ASCII letters and all characters beyond ASCII.
 BREAKS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -62,21 +62,31 @@ def words_of(text: Column) -> Column:
     return F.array_remove(F.split(ascii_lower(text), BREAKS), "")
 
 
-def diagonals(docs: DataFrame, key: list[str], templates: tuple[Template, ...]) -> DataFrame:
+def scanned(docs: DataFrame, key: list[str], templates: tuple[Template, ...]) -> DataFrame:
+    """``key, n_words, grams``: words of each text, and place, hash and words of its k-grams that stand in a template. The texts are split once; grams of no
+    template are dropped where they are made, by the sets of the templates' first words and grams, so only others become rows."""
+    pairs = sorted({(t.words[p], t.words[p + 1]) for t in templates for p in range(len(t.words) - GRAM + 1)})
+    firsts, joined = sorted({a for a, _ in pairs}), [f"{a} {b}" for a, b in pairs]
+    held = docs.select(*key, words_of(empty_text()).alias("words"))
+    in_template = lambda w, i: w.isin(firsts) & F.concat_ws(" ", w, F.get("words", i + 1)).isin(joined)
+    places = F.array_compact(F.transform("words", lambda w, i: F.when(in_template(w, i), i)))
+    held = held.select(*key, "words", F.size("words").cast("long").alias("n_words"), places.alias("places"))
+    gram = lambda i: F.struct(i.alias("d_pos"), F.xxhash64(F.get("words", i), F.get("words", i + 1)).alias("gram"), F.get("words", i).alias("d0"), F.get("words", i + 1).alias("d1"))
+    return held.select(*key, "n_words", F.transform("places", gram).alias("grams"))
+
+
+def diagonals(scan: DataFrame, key: list[str], templates: tuple[Template, ...]) -> DataFrame:
     """One row per key, template and offset: ``mask`` has a bit for each template gram found there."""
-    spark = docs.sparkSession
-    held = docs.select(*key, words_of(empty_text()).alias("words")).where(F.size("words") >= GRAM)
-    grams = F.transform(F.sequence(F.lit(0), F.size("words") - GRAM), lambda i: F.xxhash64(F.get("words", i), F.get("words", i + 1)))
-    at = held.select(*key, "words", F.posexplode(grams).alias("d_pos", "gram"))
+    at = scan.select(*key, F.inline("grams"))
     # the templates are a constant of the program, so their size is known
-    hit = at.join(F.broadcast(template_grams(spark, templates)), "gram").where((F.get("words", F.col("d_pos")) == F.col("w0")) & (F.get("words", F.col("d_pos") + 1) == F.col("w1")))
+    hit = at.join(F.broadcast(template_grams(scan.sparkSession, templates)), "gram").where("d0 = w0 and d1 = w1")
     return hit.groupBy(*key, "template", "label", "exact", "n_grams", (F.col("d_pos") - F.col("t_pos")).alias("offset")).agg(F.bit_or(F.expr("shiftleft(1L, t_pos)")).alias("mask"))
 
 
-def spans(docs: DataFrame, key: list[str], templates: tuple[Template, ...] = PHRASES + SENTENCES) -> DataFrame:
-    """Licence spans: ``key, label, exact, start, cover``. Phrases need all grams on one offset; of sentences,
+def spans(scan: DataFrame, key: list[str], templates: tuple[Template, ...] = PHRASES + SENTENCES) -> DataFrame:
+    """Licence spans of :func:`scanned` texts: ``key, label, exact, start, cover``. Phrases need all grams on one offset; of sentences,
     neighbouring offsets are merged and must cover ``COVER`` of the grams. Repeated rows vote once."""
-    found = diagonals(docs, key, templates)
+    found = diagonals(scan, key, templates)
     by = Window.partitionBy(*key, "template", "exact").orderBy("offset")
     new = F.coalesce((F.col("offset") - F.lag("offset").over(by) > SLACK).cast("int"), F.lit(1))
     run = found.withColumn("_new", F.when(F.col("exact"), 1).otherwise(new))
@@ -92,8 +102,9 @@ def licence_report(docs: DataFrame) -> DataFrame:
     Null and empty texts have no words and no labels; null ids and repeated rows each keep their own row with equal
     values; an empty table gives no rows; other columns of ``docs`` are ignored.
     """
-    rows = docs.select("doc_id", "text").withColumn("_print", F.xxhash64(F.coalesce("text", F.lit(""))))
-    found = spans(rows.select(F.col("doc_id").alias("_id"), F.col("_print").alias("_p"), "text"), ["_id", "_p"])
+    rows = docs.select("doc_id", "text").withColumn("_print", F.unhex(F.md5(empty_text().cast("binary"))))
+    scan = stored(scanned(rows, ["doc_id", "_print"], PHRASES + SENTENCES), "licence-scan")
+    found = spans(scan.select(F.col("doc_id").alias("_id"), F.col("_print").alias("_p"), "grams"), ["_id", "_p"])
     base = F.when(F.col("exact"), F.col("label"))
     each = found.groupBy("_id", "_p").agg(
         F.count(base).alias("n_base"),
@@ -103,6 +114,5 @@ def licence_report(docs: DataFrame) -> DataFrame:
         F.concat_ws(",", F.array_sort(F.collect_set("label"))).alias("labels"),
         F.max("cover").alias("score"),
     )
-    words = rows.select("doc_id", "_print", F.size(words_of(empty_text())).cast("long").alias("n_words"))
-    out = words.join(each, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_print") == F.col("_p")), "left")
+    out = scan.select("doc_id", "_print", "n_words").join(each, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_print") == F.col("_p")), "left")
     return out.select("doc_id", "n_words", F.coalesce("n_base", F.lit(0)).cast("long").alias("n_base"), "first_word", "last_word", F.coalesce("base_labels", F.lit("")).alias("base_labels"), F.coalesce("labels", F.lit("")).alias("labels"), F.coalesce("score", F.lit(0.0)).alias("score"))
