@@ -12,9 +12,10 @@ CRC = "xor(list_reduce(list_prepend(4294967295::bigint, list_transform(regexp_ex
 OP2 = f"""
 with {CRC_TABLE},
 d as (select doc_id, source, (octet_length(encode(coalesce(text, ''))) + 16)::bigint as size, {CRC}::bigint as text_crc32,
-             md5('11:' || coalesce(doc_id::varchar, '')) as k from documents, crc_table),
-r as (select *, (row_number() over (partition by source order by k, doc_id, text_crc32, size) - 0.5::double) / count(*) over (partition by source) as part from d),
-a as (select *, row_number() over (order by part, k, doc_id, text_crc32, size) - 1 as pos, count(*) over () as n from r),
+             row_number() over (partition by doc_id, source, octet_length(encode(coalesce(text, ''))), {CRC}) - 1 as copy from documents, crc_table),
+h as (select *, md5('11:' || coalesce(doc_id::varchar, '') || ':' || text_crc32 || ':' || size || ':' || copy) as k from d),
+r as (select *, (row_number() over (partition by source order by k, doc_id, text_crc32, size, copy) - 0.5::double) / count(*) over (partition by source) as part from h),
+a as (select *, row_number() over (order by part, k, doc_id, text_crc32, size, copy) - 1 as pos, count(*) over () as n from r),
 s as (select *, (pos * 40 // n)::int as shard from a)
 select doc_id, size, text_crc32, 'rows' as law, shard, row_number() over (partition by shard order by pos)::bigint - 1 as slot, null::int as grown_shard, source from s
 """
@@ -67,19 +68,21 @@ from w left join e on w.rid = e.rid
 LOWER_URL = "translate(coalesce(url, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
 
-def _distinct_terms(terms: tuple[str, ...]) -> str:
-    return " + ".join(f"regexp_matches(u, '(^|[^\\pL\\pN]){t}($|[^\\pL\\pN])')::int" for t in terms)
+def _terms(strict: bool | None) -> str:
+    """Distinct strict or soft terms of a url, or (None) their weights, added."""
+    hit = lambda t: f"regexp_matches(u, '(^|[^\\pL\\pN]){t}($|[^\\pL\\pN])')::int"
+    return " + ".join(hit(t) if strict is not None else f"{w}::double * {hit(t)}" for t, w in WEIGHTS.items() if strict is None or (w >= 1) == strict)
 
 
 OP9 = f"""
 with p as (select page_id, {LOWER_URL} as u, regexp_extract({LOWER_URL}, '://([^/?#]*)', 1) as host, regexp_extract(coalesce(url, ''), '://[^/?#]*([^?#]*)', 1) as path from pages),
-t as (select *, ({_distinct_terms(STRICT)})::int as strict_terms, ({_distinct_terms(SOFT)})::int as soft_terms from p),
+t as (select *, ({_terms(True)})::int as strict_terms, ({_terms(False)})::int as soft_terms, {_terms(None)} as weight from p),
 r as (select *, case when (host = 'example.net' or host like '%.example.net') and path like '/en/%' then 'example.net/en/'
                      when (host = 'example.com' or host like '%.example.com') and path like '/de/%' then 'example.com/de/'
                      when (host = 'org' or host like '%.org') and path like '/fr/%' then 'org/fr/'
                      when (host = 'net' or host like '%.net') and path like '/%' then 'net/' end as rule from t)
 select page_id, host, path, rule, case when rule in ('net/', 'example.com/de/') then 'block' when rule is not null then 'allow'
-       when strict_terms > 0 or soft_terms >= 2 then 'block' else 'allow' end as verdict, strict_terms, soft_terms from r
+       when weight >= 1 then 'block' else 'allow' end as verdict, strict_terms, soft_terms, weight from r
 """
 
 ORACLES: dict[str, str] = {"op2_stratified_shards": OP2, "op4_licence_votes": OP4, "op6_poisson_mix": OP6, "op9_url_terms": OP9}

@@ -75,6 +75,9 @@ PAGES = [
     ("https://spam-farm.example.org/fr/1", "allow", "org/fr/"),
     ("https://spam-farm.example.org/en/1", "block", None),
     ("https://spammer.example.org/en/1", "allow", None),
+    ("https://free-bets.example.com/en/1", "block", None),
+    ("https://ads-track.example.com/en/1", "allow", None),
+    ("https://ads-track.example.com/promo", "block", None),
     ("https://cheap.example.org/en/free", "block", None),
     ("https://cheap.example.org/en/cheap", "allow", None),
     ("HTTP://A.NET?x", "allow", None),
@@ -92,5 +95,16 @@ def test_rules_and_terms(spark):
     got = {r.page_id: r for r in urls.judged(pages).collect()}
     for i, (u, verdict, rule) in enumerate(PAGES):
         assert (got[i].verdict, got[i].rule) == (verdict, rule), u
-    assert got[None].verdict == "block" and got[14].host == "" and got[10].host == "a.net"
+    assert got[None].verdict == "block" and got[17].host == "" and got[13].host == "a.net"
     assert urls.judged(pages.limit(0)).count() == 0
+
+
+def test_a_vocabulary_from_a_table(spark):
+    terms = spark.createDataFrame([("Gold", 0.5), ("gold", 0.6), ("mine", 0.4), ("rush", 2.0), (None, 1.0), ("", 1.0), ("never", 0.0), ("word", None)], "term string, weight double")
+    v = urls.Vocabulary.of_table(terms, rules=())
+    assert v.weights == {"gold": 0.6, "mine": 0.4, "rush": 2.0}
+    pages = spark.createDataFrame([(1, "http://GOLD.a/mine"), (2, "http://gold.a/gold"), (3, "http://a/rush"), (4, "http://a/golden"), (5, "x" * 100_000)], "page_id long, url string")
+    assert {r.page_id: (r.verdict, r.strict_terms, r.soft_terms) for r in urls.judged(pages, v).collect()} == {1: ("block", 0, 2), 2: ("allow", 0, 1), 3: ("block", 1, 0), 4: ("allow", 0, 0), 5: ("allow", 0, 0)}
+    assert {r.verdict for r in urls.judged(pages, urls.Vocabulary({}, rules=())).collect()} == {"allow"}
+    with pytest.raises(ValueError):
+        urls.Vocabulary.of_table(terms, most=2)
