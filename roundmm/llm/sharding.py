@@ -11,7 +11,7 @@ has many rows has as many keys.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from roundmm.llm.common import drop_stored, empty_text, md5_key, stored
@@ -27,13 +27,13 @@ LOT = 100_000
 
 
 def ranked(df: DataFrame, group: str, order: list[Column], place: Column, out: str, ranges: int) -> DataFrame:
-    """Add ``out``: the 0-based rank in ``order`` within ``group`` (not null). ``place`` in [0, 1) must rise with ``order``.
+    """Add ``out``: the 0-based rank in ``order`` within ``group`` (not null), and ``_of``: the group's rows. ``place`` in [0, 1) must rise with ``order``.
 
-    Rows and counts of a range use the same exchange, so ``df`` is read once."""
+    Rows and counts of a range use the same exchange, so ``df`` is read once: the counts' hash of all columns keeps the optimizer from making a narrower one."""
     held = df.withColumn("_range", F.least(F.floor(place * F.lit(ranges)), F.lit(ranges - 1)).cast("int")).repartition(F.col(group), F.col("_range"))
-    counts = held.groupBy(group, "_range").agg(F.count(F.lit(1)).alias("_n"))
+    counts = held.groupBy(group, "_range").agg(F.count(F.lit(1)).alias("_n"), F.bit_xor(F.xxhash64(*held.columns)).alias("_seen")).where("_seen is not null")
     over = Window.partitionBy(group).orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)  # a row a range
-    before = counts.select(F.col(group).alias("_b_group"), F.col("_range").alias("_b_range"), F.coalesce(F.sum("_n").over(over), F.lit(0)).alias("_before"))
+    before = counts.select(F.col(group).alias("_b_group"), F.col("_range").alias("_b_range"), F.coalesce(F.sum("_n").over(over), F.lit(0)).alias("_before"), F.sum("_n").over(Window.partitionBy(group)).alias("_of"))
     rows = held.withColumn("_row", F.row_number().over(Window.partitionBy(group, "_range").orderBy(*order)))
     met = rows.join(before, (F.col(group) == F.col("_b_group")) & (F.col("_range") == F.col("_b_range")))
     return met.withColumn(out, F.col("_before") + F.col("_row") - 1).drop("_range", "_row", "_before", "_b_group", "_b_range")
@@ -57,14 +57,14 @@ def stratified_shards(docs: DataFrame, shards: int, seed: int = 11, range_rows:
     raw = empty_text().cast("binary")
     rows = docs.select("doc_id", F.col(source).cast("string").alias("source"), (F.octet_length(raw) + ROW_BYTES).cast("long").alias("size"), F.crc32(raw).alias("text_crc32"))
     rows = numbered(rows).withColumn("_key", md5_key(F.col("doc_id"), F.col("text_crc32"), F.col("size"), F.col("_copy"), seed=seed))
-    rows = stored(rows.withColumn("_stratum", F.when(F.col("source").isNull(), F.lit("")).otherwise(F.concat(F.lit(":"), F.col("source")))), "shard-rows")
-    sizes = rows.groupBy(F.col("_stratum").alias("_of_stratum")).agg(F.count(F.lit(1)).alias("_of"))
-    total = rows.count()  # of Parquet footers
+    seen = Observation("shard rows")
+    rows = stored(rows.observe(seen, F.count(F.lit(1)).alias("n")).withColumn("_stratum", F.when(F.col("source").isNull(), F.lit("")).otherwise(F.concat(F.lit(":"), F.col("source")))), "shard-rows")
+    total = seen.get["n"]
     ranges = min(MOST_RANGES, max(1, -(-total // range_rows)))
     place = F.conv(F.substring("_key", 1, 12), 16, 10).cast("double") / F.lit(float(16**12))
     order = [F.col("_key"), F.col("doc_id"), F.col("text_crc32"), F.col("size"), F.col("_copy")]
     inner = ranked(rows, "_stratum", order, place, "_rank", ranges)
-    inner = inner.join(sizes, F.col("_stratum") == F.col("_of_stratum")).withColumn("_part", (F.col("_rank") + 0.5) / F.col("_of"))
+    inner = inner.withColumn("_part", (F.col("_rank") + 0.5) / F.col("_of"))
     inner = stored(inner.select("doc_id", "source", "size", "text_crc32", "_copy", "_key", "_part", F.lit(0).alias("_all")), "shard-ranks")
     drop_stored(rows)
     whole = ranked(inner, "_all", [F.col("_part"), *order], F.col("_part"), "_at", ranges)
