@@ -146,48 +146,3 @@ def quality_by_token(spark: SparkSession, d: str) -> DataFrame:
     """Quality class by every token: ``row, col, val``, ``col`` the token."""
     held = tokens(load(spark, d, "documents"), "doc_id").groupBy("doc_id", "token").agg(F.count(F.lit(1)).cast("double").alias("n"))
     return held.join(load(spark, d, "labels").select("doc_id", F.col("quality").cast("long").alias("row")), "doc_id").groupBy("row", F.col("token").alias("col")).agg(F.sum("n").alias("val"))
-
-
-def vocabulary(df: DataFrame, size: int) -> DataFrame:
-    """``token, idx``: the most frequent tokens, ties by name."""
-    n = df.groupBy("token").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "token").limit(size)
-    return n.withColumn("idx", (F.row_number().over(Window.orderBy(F.desc("n"), "token")) - 1).cast("long")).select("token", "idx")
-
-
-def named_counts(df: DataFrame, name: str, size: int) -> MatrixFrame:
-    """Names (by rank) by vocabulary, token counts of ``df(name, token)``."""
-    n = df.groupBy(name, "token").agg(F.count(F.lit(1)).alias("n"))
-    vocab, axis = vocabulary(df, size), ew.axis_index(df, name)
-    cells = n.join(F.broadcast(vocab), "token").join(F.broadcast(axis.select(name, F.col("idx").alias("row"))), name)  # vocabulary: size rows; axis: few names
-    return matrix_from(cells, F.col("row"), F.col("idx"), F.col("n"), axis.count(), size, COUNT)
-
-
-def source_similarity(spark: SparkSession, d: str, size: int = 50) -> MatrixFrame:
-    m = named_counts(tokens(load(spark, d, "documents"), "source"), "source", size)
-    m = MatrixFrame(stored(m.df, "source-tokens"), m.n_rows, m.n_cols, COUNT)
-    return multiply_join(m, m.T)
-
-
-def role_items(spark: SparkSession, d: str, size: int = 50) -> MatrixFrame:
-    """Roles by benchmark items: products of their token counts over the items' vocabulary."""
-    items = tokens(load(spark, d, "benchmark"), "item_id")
-    vocab = stored(vocabulary(items, size), "vocabulary")
-    said = tokens(load(spark, d, "conversations"), "role")
-    roles = ew.axis_index(said, "role")
-    a = said.join(F.broadcast(vocab), "token").groupBy("role", "idx").agg(F.count(F.lit(1)).alias("n")).join(F.broadcast(roles.select("role", F.col("idx").alias("r"))), "role")
-    b = items.join(F.broadcast(vocab), "token").groupBy("item_id", "idx").agg(F.count(F.lit(1)).alias("n"))
-    n_items = side(load(spark, d, "benchmark"), "item_id")
-    x = matrix_from(a, F.col("r"), F.col("idx"), F.col("n"), roles.count(), size, COUNT)
-    y = matrix_from(b, F.col("idx"), F.col("item_id"), F.col("n"), size, n_items, COUNT)
-    return multiply_join(x, y)
-
-
-def quality_tokens(spark: SparkSession, d: str, size: int = 50) -> MatrixFrame:
-    """Quality class by token: labels by documents times documents by tokens."""
-    docs, labels = load(spark, d, "documents"), load(spark, d, "labels")
-    held = tokens(docs.select("doc_id", "text"), "doc_id")
-    vocab = vocabulary(held, size)
-    n_docs = side(docs, "doc_id")
-    a = incidence(labels, "quality", "doc_id", 2, n_docs)
-    n = held.groupBy("doc_id", "token").agg(F.count(F.lit(1)).alias("n")).join(F.broadcast(vocab), "token")
-    return multiply_join(a, matrix_from(n, F.col("doc_id"), F.col("idx"), F.col("n"), n_docs, size, COUNT))

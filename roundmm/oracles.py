@@ -55,6 +55,8 @@ ORACLES: dict[str, str] = {}
 for _key in ("dense_rho1", "dense_rho2", "dense_rho3", "dense_rho4", "dense_monolithic", "dense_block4", "dense_block8", "append", "stationary", "hash_partitioner", "elided_fold", "store_checkpoint", "store_persist", "store_none", "resume"):
     ORACLES[f"mm3d_{_key}"] = dense()
 ORACLES["mm3d_dense_ragged"] = dense(60)
+for _block, _rho in ((4, 32), (8, 16), (8, 4), (16, 1), (16, 2), (16, 4), (16, 8)):
+    ORACLES[f"mm3d_n128_block{_block}_rho{_rho}"] = dense(128)
 for _key in ("dense_rho1", "dense_rho2", "rho3", "dense_rho4", "dense_rho8", "dense_rho16", "naive_schedule"):
     ORACLES[f"mm2d_{_key}"] = dense()
 for _key in ("er_rho1", "er_rho2", "er_rho4", "q16", "packed", "er_sized", "append", "packed_append", "q8_rho8", "q16_rho8", "q16_rho16"):
@@ -66,7 +68,7 @@ ORACLES["mm_sparse_join"] = product(scatter(8192), scatter(8192))
 ORACLES["mm3d_sparse_general"] = ORACLES["mm3d_sparse_permuted"] = product(USER_HOUR, flip(USER_HOUR))
 ORACLES["mm3d_sparse_dense_out"] = product(SUPP_PART, flip(SUPP_PART))
 ORACLES["mm3d_sparse_unknown"] = product(CUST_ORDER, ORDER_PART)
-for _key in ("join", "broadcast"):
+for _key in ("join", "broadcast", "mllib"):
     ORACLES[f"mm_{_key}"] = product(fold_a(), fold_b())
 for _key in ("outer", "local", "count", "cogroup"):
     ORACLES[f"mm_{_key}"] = dense()
@@ -108,29 +110,6 @@ select distinct a.idx::bigint as "row", b.idx::bigint as col, 1.0::double as val
 TOKENS = "unnest(regexp_extract_all(lower(text), '[a-z]+'))"
 
 
-def _vocabulary(table: str) -> str:
-    return f"v as (select token, row_number() over (order by n desc, token) - 1 as idx from (select token, count(*) as n from {table} group by 1) order by n desc, token limit 50)"
-
-
-ORACLES["mm_sources"] = f"""
-with t as (select source, {TOKENS} as token from documents), {_vocabulary("t")},
-s as (select source, row_number() over (order by source) - 1 as idx from (select distinct source from t)),
-c as (select s.idx as r, v.idx as c, count(*)::double as v from t join v using (token) join s using (source) group by 1, 2)
-select a.r::bigint as "row", b.r::bigint as col, sum(a.v * b.v)::double as val from c a join c b on a.c = b.c group by 1, 2
-"""
-ORACLES["mm_roles"] = f"""
-with t as (select item_id, {TOKENS} as token from benchmark), {_vocabulary("t")},
-s as (select role, {TOKENS} as token from conversations), x as (select role, row_number() over (order by role) - 1 as idx from (select distinct role from s)),
-a as (select x.idx as r, v.idx as c, count(*)::double as v from s join v using (token) join x using (role) group by 1, 2),
-b as (select v.idx as r, item_id as c, count(*)::double as v from t join v using (token) group by 1, 2)
-select a.r::bigint as "row", b.c::bigint as col, sum(a.v * b.v)::double as val from a join b on a.c = b.r group by 1, 2
-"""
-ORACLES["mm_quality_tokens"] = f"""
-with t as (select doc_id, {TOKENS} as token from documents), {_vocabulary("t")}
-select quality::bigint as "row", idx::bigint as col, count(*)::double as val from t join v using (token) join labels using (doc_id) group by 1, 2
-"""
-
-
 def _overlap(first: str, row: str, second: str, col: str) -> str:
     return f"""
 with s as (select {row} as r, {TOKENS} as token from {first}), t as (select {col} as c, {TOKENS} as token from {second}),
@@ -139,10 +118,10 @@ select r as "row", c as col, sum(x * y)::double as val from a join b using (toke
 """
 
 
-ORACLES["mm_sources_all"] = _overlap("documents", "source", "documents", "source")
-ORACLES["mm_roles_all"] = _overlap("conversations", "role", "benchmark", "item_id")
+ORACLES["mm_sources"] = _overlap("documents", "source", "documents", "source")
+ORACLES["mm_roles"] = _overlap("conversations", "role", "benchmark", "item_id")
 ORACLES["mm_items_documents"] = _overlap("benchmark", "item_id", "documents", "doc_id")
-ORACLES["mm_quality_tokens_all"] = f"""
+ORACLES["mm_quality_tokens"] = f"""
 with t as (select doc_id, {TOKENS} as token from documents)
 select quality::bigint as "row", token as col, count(*)::double as val from t join labels using (doc_id) group by 1, 2
 """
@@ -171,7 +150,10 @@ with p as (select qi, qh, qj, rho, i.x as i, h.x as h, j.x as j, (((h.x - i.x -
 select qi, qh, qj, rho, r::int as round, count(*)::bigint as products, count(distinct (i, h, j))::bigint as distinct_products from p group by 1, 2, 3, 4, 5
 """
 _squares = "(values " + ", ".join(f"({s}, {rho}, {n})" for s in (1, 2, 4, 7, 16) for rho in sorted({1, 2, 3, 4, s} & set(range(1, s + 1))) for n in ("false", "true")) + ") g(s, rho, naive)"
-ORACLES["schedule2d_cover"] = f"select s, rho, naive, (s * s)::bigint as products, (s * s)::bigint as distinct_products, ceil(s / rho::double)::bigint as rounds from {_squares}"
+ORACLES["schedule2d_cover"] = f"""
+with p as (select s, rho, naive, i.x as i, j.x as j, case when naive then (i.x * s + j.x) // (rho * s) else ((j.x - i.x) % s + s) % s // rho end as r from {_squares}, range(16) i(x), range(16) j(x) where i.x < s and j.x < s)
+select s, rho, naive, count(*)::bigint as products, count(distinct (i, j))::bigint as distinct_products, (max(r) + 1)::bigint as rounds from p group by 1, 2, 3
+"""
 
 #: product rounds of the square 3D schedule, q = 4, blocks of 256 words
 _P = "p as (select rho, i.x as i, h.x as h, j.x as j, ((h.x - i.x - j.x) % 4 + 4) % 4 as g from (values (1), (2), (3), (4)) r(rho), range(4) i(x), range(4) h(x), range(4) j(x))"
@@ -191,22 +173,41 @@ ORACLES["cost2d_naive_rounds"] = """
 with p as (select x // 16 as i, x % 16 as j, x // 64 as r from range(256) t(x))
 select '2d' as method, 4 as rho, r::int as round, s.side, count(*)::bigint as pairs, (count(*) * 256)::bigint as words from p, (values ('A'), ('B')) s(side) group by 3, 4
 """
-ORACLES["cost_sparse_rounds"] = f"""
-with m as ({scatter(8192)}), a as (select r // 2048 as i, c // 2048 as h, count(*) as n from m group by 1, 2), b as (select r // 2048 as h, c // 2048 as j, count(*) as n from m group by 1, 2),
-k as (select rho, x as o, g, g // rho as r from (values (1), (2), (4)) v(rho), range(4) t(x), range(4) u(g)),
-l as (select rho, r, 'A' as side, n from a, k union all select rho, r, 'B', n from b, k)
-select 'sparse' as method, rho, r::int as round, side, (count(*) // 4)::bigint as pairs, (sum(n) // 4)::bigint as words from l group by 2, 3, 4
+def sparse_ledger(rhos: str) -> str:
+    """Entries by round and side of the sparse product, q = 4: every product has its group, every cell the first round that its slot reaches it."""
+    return f"""with m as ({scatter(8192)}), a as (select r // 2048 as i, c // 2048 as h, count(*) as n from m group by 1, 2), b as (select r // 2048 as h, c // 2048 as j, count(*) as n from m group by 1, 2),
+v as (select * from (values {rhos}) v(rho)),
+t as (select x.r as "row", y.c as col, x.r // 2048 as i, x.c // 2048 as h, y.c // 2048 as j from m x join m y on x.c = y.r),
+c as (select rho, i, j, (((h - i - j) % 4 + 4) % 4) % rho as slot, "row", col, min((((h - i - j) % 4 + 4) % 4) // rho) as since from t, v group by all),
+n as (select rho, i, j, slot, since, count(*) as n from c group by all),
+k as (select rho, x as o, g, g // rho as r from v, range(4) t(x), range(4) u(g)),
+w as (select rho, x as r, least(rho, 4 - x * rho) as slots from v, range(1, 4) t(x) where x * rho < 4 union all select rho, (4 + rho - 1) // rho, rho from v),
+l as (select rho, r, 'A' as side, count(*) // 4 as pairs, sum(n) // 4 as words from a, k group by 1, 2 union all select rho, r, 'B', count(*) // 4, sum(n) // 4 from b, k group by 1, 2
+      union all select w.rho, w.r, 'C', count(distinct (i, j, slot)), sum(n) from w join n on n.rho = w.rho and n.since < w.r and n.slot < w.slots group by 1, 2)"""
+
+
+ORACLES["cost_sparse_rounds"] = sparse_ledger("(1), (2), (4)") + " select 'sparse' as method, rho, r::int as round, side, pairs::bigint as pairs, words::bigint as words from l"
+ORACLES["mm3d_sparse_observed_words"] = sparse_ledger("(2)") + " select r::int as round, side, words::bigint as words from l where r < 2"
+ORACLES["cost_sparse_bound"] = sparse_ledger("(1), (2), (4)") + f""", s as (select rho, r, sum(words) as w from l group by 1, 2)
+select rho, max(w)::bigint as greatest, round(3 * rho * pow((select count(*) from ({scatter(8192)})) / 67108864.0::double, 2) * pow(8192.0::double, 3), 6) as bound from s group by rho"""
+ORACLES["rounds_sparse_formula"] = """
+select side::int as side, m::int as m, rho::int as rho, (ceil(sqrt(1 / 1024.0::double) * side / (rho * sqrt(m))) + 1)::int as rounds from (values (1024), (8192), (65536)) s(side), (values (64), (256), (1024)) t(m), (values (1), (2), (4)) r(rho)
 """
+ORACLES["accuracy_real_values"] = "select count(*)::bigint as cells, true as exact from (select i.i, j.j from range(64) i(i) cross join range(64) j(j))"
 ORACLES["rounds_formula"] = """
 select '3d' as method, side::int as side, b::int as size, rho::int as rho, (ceil(ceil(side / b::double) / rho) + 1)::int as rounds from (values (64), (60), (128)) s(side), (values (4), (8), (16)) t(b), (values (1), (2), (3), (4)) r(rho)
 union all select '2d', 64, m::int, rho::int, ceil((64 * 64 // m) / rho::double)::int from (values (64), (256), (1024)) t(m), (values (1), (2), (3), (4)) r(rho)
 """
 ORACLES["reducer_words"] = f"with {_P} select (g // 2)::int as round, count(*)::bigint as reducers, min(case when g < 2 then 512 else 768 end)::bigint as least, max(case when g < 2 then 512 else 768 end)::bigint as greatest from p where rho = 2 group by 1"
-ORACLES["reducer_words_sparse"] = f"""
-with m as ({scatter(8192)}), a as (select r // 2048 as i, c // 2048 as h, count(*) as n from m group by 1, 2)
-select count(*)::bigint as reducers, avg(x.n + y.n)::double as mean, max(x.n + y.n)::bigint as greatest from a x join a y on x.h = y.i
+ORACLES["reducer_words_sparse"] = sparse_ledger("(2)") + """, p as (select a.i, a.h, b.j, a.n as x, b.n as y, ((a.h - a.i - b.j) % 4 + 4) % 4 as g from a join b using (h)),
+z as (select p.i, p.h, p.j, g // 2 as r, any_value(x + y) as xy, coalesce(sum(n.n), 0) as c from p left join n on n.i = p.i and n.j = p.j and n.slot = g % 2 and n.since < g // 2 group by 1, 2, 3, 4)
+select r::bigint as round, count(*)::bigint as reducers, avg(xy + c)::double as mean, max(xy + c)::bigint as greatest from z group by 1
+"""
+ORACLES["mapper_replicas_balanced"] = """
+with p as (select i.x as i, j.x as j, ((j.x - i.x) % 16 + 16) % 16 // 4 as r from range(16) i(x), range(16) j(x)),
+n as (select r, 'A' as side, i as k, count(*) as n from p group by all union all select r, 'B', j, count(*) from p group by all)
+select r::int as round, side, min(n)::bigint as least, max(n)::bigint as greatest from n group by 1, 2
 """
-ORACLES["mapper_replicas_balanced"] = "select x::int as round, side, 4::bigint as least, 4::bigint as greatest from range(4) r(x), (values ('A'), ('B')) s(side)"
 ORACLES["mapper_replicas_naive"] = """
 with p as (select x // 16 as i, x % 16 as j, x // 64 as r from range(256) t(x)),
 n as (select r, 'A' as side, i as k, count(*) as n from p group by all union all select r, 'B', j, count(*) from p group by all)
@@ -214,18 +215,24 @@ select r::int as round, side, min(n)::bigint as least, max(n)::bigint as greates
 """
 _KEYS = "k as (select i.x as i, j.x as j, l.x as slot, (i.x + j.x + l.x) % 8 as h from range(8) i(x), range(8) j(x), range(8) l(x))"
 _TASKS = "(values (16), (32), (64)) t(tasks)"
-ORACLES["partition_even_hist"] = f"select x::int as task, (512 // tasks)::bigint as keys, tasks from {_TASKS}, range(64) r(x) where x < tasks"
+ORACLES["partition_even_hist"] = f"with {_KEYS} select ((i * 8 + j) * 8 + slot) // (512 // tasks)::int as task, count(*)::bigint as keys, tasks from k, {_TASKS} group by 1, 3"
+ORACLES["partition_even_hist"] = f"select task::int as task, keys, tasks from ({ORACLES['partition_even_hist']})"
 ORACLES["partition_hash_hist"] = f"""
 with {_KEYS}, n as (select tasks, (961 * i + 31 * h + j) % tasks as task, count(*) as n from k, {_TASKS} group by 1, 2)
 select x::int as task, coalesce(n, 0)::bigint as keys, t.tasks from {_TASKS} cross join range(64) r(x) left join n on n.tasks = t.tasks and n.task = x where x < t.tasks
 """
-ORACLES["partition2d_hist"] = "select x::int as task, 4::bigint as keys from range(16) r(x)"
+ORACLES["partition2d_hist"] = "with k as (select i.x as i, j.x as j, ((j.x - i.x) % 16 + 16) % 16 as g from range(16) i(x), range(16) j(x)) select ((i * 4 + g) // 4)::int as task, count(*)::bigint as keys from k where g < 4 group by 1"
 ORACLES["op_balance_stats"] = f"""
 with {_KEYS}, n as (select (961 * i + 31 * h + j) % 32 as task, count(*) as n from k group by 1), e as (select coalesce(n, 0) as keys from range(32) r(x) left join n on task = x)
 select max(keys)::bigint as greatest, avg(keys)::double as mean, median(keys)::double as median, count(*) filter (where keys = 0)::bigint as idle from e
 """
 
-ORACLES["lower_bound_ratio"] = "select side::int as side, b::int as block, 2.0::double as ratio from (values (64), (128)) s(side), (values (8), (16)) t(b)"
+ORACLES["lower_bound_ratio"] = """
+with g as (select side, b, ceil(side / b::double)::int as q from (values (60), (64), (128)) s(side), (values (8), (16)) t(b)),
+p as (select side, b, q, least(b, side - i.x * b) as ni, least(b, side - h.x * b) as nh, least(b, side - j.x * b) as nj from g, range(16) i(x), range(16) h(x), range(16) j(x) where i.x < q and h.x < q and j.x < q),
+w as (select side, b, q, sum(ni * nh + nh * nj) as inputs, sum(ni * nj) as slots from p group by 1, 2, 3)
+select side::int as side, b::int as block, greatest(inputs, slots)::bigint as words, greatest(inputs, slots) / (side::double * side * q) as ratio from w
+"""
 ORACLES["density_flops"] = f"""
 with m as ({scatter(8192)}), c as (select c as k, count(*) as x from m group by 1), r as (select r as k, count(*) as y from m group by 1),
 s as ({SUPP_PART}), t as (select c as k, count(*) as x from s group by 1)
@@ -234,6 +241,9 @@ select 'scatter' as input, sum(x * y)::bigint as products from c join r using (k
 ORACLES["density_er"] = f"with m as ({scatter(8192)}) select count(*)::bigint as nnz, round(count(*) / 67108864.0::double, 12) as delta, round(pow(count(*) / 67108864.0::double, 2) * 8192, 9) as delta_out from m"
 ORACLES["density_er_exact"] = f"with m as ({scatter(8192)}) select count(*)::bigint as nnz, round(count(*) / 67108864.0::double, 12) as delta, round(1 - pow(1 - pow(count(*) / 67108864.0::double, 2), 8192), 9) as delta_out from m"
 ORACLES["density_exact"] = f"select count(*)::bigint as cells from ({product(scatter(8192), scatter(8192))})"
+for _side in (1024, 65536):
+    ORACLES[f"density_exact_{_side}"] = f"select count(*)::bigint as cells from ({product(scatter(_side), scatter(_side))})"
+    ORACLES[f"density_flops_{_side}"] = f"with m as ({scatter(_side)}), c as (select c as k, count(*) as x from m group by 1), r as (select r as k, count(*) as y from m group by 1) select sum(x * y)::bigint as products from c join r using (k)"
 ORACLES["density_row_sample"] = f"""
 with p as ({product(scatter(8192), scatter(8192))}), n as (select count(*) as rows from range(8192) t(x) where (x * 48271 + 11) % 100 < 10)
 select round(count(*) * 8192.0::double / any_value(n.rows), 3) as cells from p, n where ("row" * 48271 + 11) % 100 < 10
@@ -252,7 +262,6 @@ ORACLES["mat_clip_prune"] = f'select r::bigint as "row", c::bigint as col, least
 ORACLES["axis_index_events"] = f"with {AXIS} select event_type, idx::bigint as idx from x"
 
 ORACLES["op_block_roundtrip"] = f'select i.x as "row", j.x as col, coalesce(v, 0)::double as val from range(60) i(x) cross join range(60) j(x) left join ({fold_a(60)}) on r = i.x and c = j.x'
-ORACLES["op_band_join"] = f"{_BOTH} select a.c::bigint as a_col, b.r::bigint as b_row, a.v * b.v as val from a join b on abs(a.c - b.r) <= 1 where a.r = 5 and b.c = 7"
 ORACLES["op_asof_value"] = f"""
 with e as (select user_id, {HOUR} + 1 as mark, ts, event_id, value from events), m as (select distinct user_id, unnest(range(6, 721, 6)) as mark from e)
 select m.user_id as "row", m.mark::bigint as col, arg_max(e.value, (e.ts, e.event_id)) as val from m join e on e.user_id = m.user_id and e.mark <= m.mark group by 1, 2
@@ -262,14 +271,10 @@ select a.user_id, a.event_id as e1, b.event_id as e2 from events a join events b
 """
 ORACLES["op_missing_cells"] = f"""
 with x as ({ORDER_PART}), t as (select c from x group by c order by count(*) desc, c limit 1)
-select distinct x.r::bigint as "row", t.c::bigint as col from x, t where x.r < 100 and x.r not in (select r from x, t where x.c = t.c)
-"""
-ORACLES["op_missing_all"] = f"""
-with x as ({ORDER_PART}), t as (select c from x group by c order by count(*) desc, c limit 1)
 select distinct x.r::bigint as "row", t.c::bigint as col from x, t where x.r not in (select r from x, t where x.c = t.c)
 """
-ORACLES["op_band_product"] = f'{_BOTH} select a.r::bigint as "row", b.c::bigint as col, sum(a.v * b.v)::double as val from a join b on abs(a.c - b.r) <= 1 group by 1, 2'
-ORACLES["op_pattern_all"] = f'select "row", col from ({product(scatter(8192), scatter(8192))})'
+ORACLES["op_band_join"] = f'{_BOTH} select a.r::bigint as "row", b.c::bigint as col, sum(a.v * b.v)::double as val from a join b on abs(a.c - b.r) <= 1 group by 1, 2'
+ORACLES["op_pattern"] = f'select "row", col from ({product(scatter(8192), scatter(8192))})'
 ORACLES["op_words_by_side"] = LEDGER + " select rho, sum(case when side = 'A' then pairs * 256 else 0 end)::bigint as words_a, sum(case when side = 'B' then pairs * 256 else 0 end)::bigint as words_b, sum(case when side = 'C' then pairs * 256 else 0 end)::bigint as words_c, count(*) filter (where side = 'C')::bigint as c_rows from l group by rho"
 ORACLES["op_ledger_rollup"] = LEDGER + " select rho, r::int as round, (sum(pairs) * 256)::bigint as words from l group by rollup (rho, r::int)"
 ORACLES["op_ledger_cube"] = LEDGER + " select rho, side, (sum(pairs) * 256)::bigint as words from l group by cube (rho, side)"
@@ -285,7 +290,6 @@ select "row", weight, ntile(8) over o as run, rank() over o as rank, round(perce
 """
 ORACLES["op_sorted"] = cells(fold_a())
 ORACLES["op_top_cells"] = cells(fold_a()) + ' order by val desc, "row", col limit 20 offset 5'
-ORACLES["op_pattern"] = f'select "row", col from ({product(scatter(8192), scatter(8192))}) where "row" < 200'
 ORACLES["op_pattern_intersect"] = f'with m as ({scatter(1024)}) select r::bigint as "row", c::bigint as col from m intersect select c, r from m'
 ORACLES["op_pattern_except"] = f'with m as ({scatter(1024)}) select r::bigint as "row", c::bigint as col from m except select c, r from m'
 ORACLES["op_json_axis"] = "select user_id as \"row\", (props ->> '$.k')::bigint as col, count(*)::bigint as val from events where (props ->> '$.k') is not null group by 1, 2"
@@ -300,3 +304,14 @@ with {TRANSITIONS} select e.user_id as "row", t.c::bigint as col, sum(t.v)::doub
 """
 ORACLES["stream_batch_rounds"] = ORACLES["stream_incremental_product"]
 ORACLES["stream_deduplicated"] = "select event_id, user_id from events"
+ORACLES["stream_daily_windows"] = """
+with d as (select date_trunc('day', ts) as start, user_id, event_type, count(*)::bigint as n from events group by 1, 2, 3)
+select start::timestamp as start, user_id, event_type, n from d where start + interval 1 day <= (select max(ts) - interval 2 days from events)
+"""
+ORACLES["plan_choice"] = """
+with g as (select side, mem, groups, floor(sqrt(mem / 3))::bigint as most from (values (16000), (32000), (3540000)) s(side), (values (12000000), (48000000)) m(mem), (values (1), (2), (4)) b(groups)),
+c as (select *, most // (2 ** k)::bigint as block, k from g, range(12) t(k)),
+o as (select *, ceil(side / block::double)::bigint as q from c where block >= 1),
+f as (select side, mem, groups, arg_min(block, k) as block, arg_min(q, k) as q from o where least(groups, q) * q * q >= 32 group by 1, 2, 3)
+select side::int as side, mem::bigint as mem, groups::int as budget_groups, block::int as block, q::int as q, least(groups, q)::int as rho, (ceil(q / least(groups, q)::double) + 1)::int as rounds, (3 * q * side::double * side)::double as total_words from f
+"""

@@ -38,7 +38,23 @@ def _reducers(rows: DataFrame, mode: str) -> DataFrame:
                     out.append(b"")
             yield pa.RecordBatch.from_arrays([batch[c] for c in ("i", "j", "slot", "nr", "nc")] + [pa.array(out, pa.binary())], names=["i", "j", "slot", "nr", "nc", "cells"])
 
-    return rows.select("i", "j", "slot", "nr", "nk", "nc", "ca").mapInArrow(run, PARTIAL)
+    # all three payloads are inputs: a column that the reducer doesn't take would be pruned below the shuffle
+    return rows.select("i", "j", "slot", "nr", "nk", "nc", "ca", "cb", "cc").mapInArrow(run, PARTIAL)
+
+
+def communication_round(a: DataFrame, b: DataFrame, before: DataFrame | None, grid: Grid3D, r: int, tasks: int, mode: str) -> DataFrame:
+    """Round ``r`` of an ablated run: keys placed as in the product, payloads full (``copy``) or empty, and its reducer."""
+    cells = F.col("cells") if mode == "copy" else F.lit(b"")
+    left = grid.copies_of_a(a.select(F.col("bi").alias("i"), F.col("bj").alias("h"), "nr", F.col("nc").alias("nk"), cells.alias("ca")), r)
+    right = grid.copies_of_b(b.select(F.col("bi").alias("h"), F.col("bj").alias("j"), "nc", cells.alias("cb")), r)
+    left = keyed(left, grid, tasks, "even").repartitionById(tasks, F.col("task"))
+    right = keyed(right, grid, tasks, "even").select("task", "z", "nc", "cb").repartitionById(tasks, F.col("task"))
+    met = left.join(right.hint("merge"), ["task", "z"])
+    if before is None:
+        return _reducers(met.withColumn("cc", F.lit(None).cast("binary")), mode)
+    held = before.where(F.col("slot") < grid.slots(r)).withColumn("h", F.lit(0))
+    held = keyed(held, grid, tasks, "even").select("task", "z", F.col("cells").alias("cc")).repartitionById(tasks, F.col("task"))
+    return _reducers(met.join(held.hint("merge"), ["task", "z"], "left"), mode)
 
 
 def _ablated(a: BlockFrame, b: BlockFrame, grid: Grid3D, mode: str, tasks: int) -> float:
@@ -48,19 +64,9 @@ def _ablated(a: BlockFrame, b: BlockFrame, grid: Grid3D, mode: str, tasks: int)
     store = RoundStore(spark)
     began = time.time()
     before: DataFrame | None = None
-    cells = F.col("cells") if full else F.lit(b"")
     for r in range(grid.product_rounds):
-        left = grid.copies_of_a(a.df.select(F.col("bi").alias("i"), F.col("bj").alias("h"), "nr", F.col("nc").alias("nk"), cells.alias("ca")), r)
-        right = grid.copies_of_b(b.df.select(F.col("bi").alias("h"), F.col("bj").alias("j"), "nc", cells.alias("cb")), r)
-        left = keyed(left, grid, tasks, "even").repartitionById(tasks, F.col("task"))
-        right = keyed(right, grid, tasks, "even").select("task", "z", "nc", "cb").repartitionById(tasks, F.col("task"))
-        met = left.join(right.hint("merge"), ["task", "z"])
-        if before is not None:
-            held = before.where(F.col("slot") < grid.slots(r)).withColumn("h", F.lit(0))
-            held = keyed(held, grid, tasks, "even").select("task", "z", F.col("cells").alias("cc")).repartitionById(tasks, F.col("task"))
-            met = met.join(held.hint("merge"), ["task", "z"], "left")
         with small_batches(spark, 8 * a.block_rows * a.block_cols):
-            before = store.commit(mode, mode, r, grid.slots(r), _reducers(met, mode))
+            before = store.commit(mode, mode, r, grid.slots(r), communication_round(a.df, b.df, before, grid, r, tasks, mode))
     if full:
         store.commit(mode, mode, grid.product_rounds, grid.rho, fold_slots(before, a.semiring, grid.qj, tasks))
     else:

@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from roundmm.functions.placement import even_task, polynomial_task, rank_2d, rank_3d
 from roundmm.functions.schedule import Grid2D, Grid3D, ceil_div, schedule_3d
 from roundmm.model import MatrixFrame
+from roundmm.scratch import stored
 
 LEDGER = "method string, rho int, round int, side string, pairs long, words long"
 
@@ -66,19 +67,44 @@ def ledger_2d(spark: SparkSession, side: int, m: int, rho: int, row_major: bool
     return _all(out)
 
 
+def reached_cells(a: MatrixFrame, b: MatrixFrame, side: int, rho: int) -> DataFrame:
+    """``i, j, slot, row, col, since``: the cells that each slot of a sparse product comes to hold, and the first round that reaches each."""
+    from roundmm.operators.sparse3d import _index, sparse_grid
+
+    grid = sparse_grid(a, b, side, rho)
+    met = a.df.select("row", F.col("col").alias("k")).join(b.df.select(F.col("row").alias("k"), "col"), "k")
+    met = met.select(_index("row", side).alias("i"), _index("k", side).alias("h"), _index("col", side).alias("j"), "row", "col")
+    i, h, j = F.col("i"), F.col("h"), F.col("j")
+    return met.groupBy("i", "j", grid.slot_of(i, h, j).cast("int").alias("slot"), "row", "col").agg(F.min(grid.round_of(i, h, j)).alias("since"))
+
+
 def ledger_sparse(a: MatrixFrame, b: MatrixFrame, side: int, rho: int) -> DataFrame:
-    """Entries of A and B shuffled in each round of a sparse product: a word an entry. From block counts, not from entries."""
+    """Entries shuffled in each round of a sparse product with accumulated slots, a word an entry: of A and B from block counts, of C the cells that
+    the round's slots hold by then; the last round folds what all slots hold."""
     from roundmm.operators.sparse3d import _index, sparse_grid
 
     grid = sparse_grid(a, b, side, rho)
     x = a.df.groupBy(_index("row", side).alias("i"), _index("col", side).alias("h")).agg(F.count(F.lit(1)).alias("words"))
     y = b.df.groupBy(_index("row", side).alias("h"), _index("col", side).alias("j")).agg(F.count(F.lit(1)).alias("words"))
+    c = stored(reached_cells(a, b, side, rho).groupBy("i", "j", "slot", "since").agg(F.count(F.lit(1)).alias("n")), "reached")
+    held = lambda r, slots: c.where((F.col("since") < r) & (F.col("slot") < slots)).groupBy("i", "j", "slot").agg(F.sum("n").alias("words"))
     out = []
     for r in range(grid.product_rounds):
         out += [_sum(grid.copies_of_a(x, r), "sparse", rho, r, "A"), _sum(grid.copies_of_b(y, r), "sparse", rho, r, "B")]
+        if r:
+            out.append(_sum(held(r, grid.slots(r)), "sparse", rho, r, "C"))
+    out.append(_sum(held(grid.product_rounds, grid.rho), "sparse", rho, grid.product_rounds, "C"))
     return _all(out)
 
 
+def sparse_bound(a: MatrixFrame, b: MatrixFrame, side: int, rho: int) -> DataFrame:
+    """``rho, greatest, bound``: words of the heaviest round of a sparse product, and the bound that random inputs of their density have in expectation:
+    three times the replication times the output's expected density times the cells."""
+    p = a.df.agg((F.count(F.lit(1)) / F.lit(float(a.n_rows * a.n_cols))).alias("da")).crossJoin(F.broadcast(b.df.agg((F.count(F.lit(1)) / F.lit(float(b.n_rows * b.n_cols))).alias("db"))))  # one row each
+    most = ledger_sparse(a, b, side, rho).groupBy("round").agg(F.sum("words").alias("w")).agg(F.max("w").alias("greatest"))
+    return most.crossJoin(F.broadcast(p)).select(F.lit(rho).alias("rho"), "greatest", (3 * rho * F.col("da") * F.col("db") * F.lit(float(a.n_cols) * a.n_rows * b.n_cols)).alias("bound"))
+
+
 def _all(parts: list[DataFrame]) -> DataFrame:
     out = parts[0]
     for p in parts[1:]:
@@ -95,13 +121,19 @@ def reducer_words_3d(spark: SparkSession, side: int, block: int, rho: int) -> Da
     return schedule_3d(spark, grid).withColumn("words", words.cast("long")).groupBy("round").agg(F.count(F.lit(1)).alias("reducers"), F.min("words").alias("least"), F.max("words").alias("greatest"))
 
 
-def reducer_entries(a: MatrixFrame, b: MatrixFrame, side: int) -> DataFrame:
-    """``reducers, mean, greatest``: entries of A and B that meet in one reduce call of a sparse product, over all rounds."""
-    from roundmm.operators.sparse3d import _index
+def reducer_entries(a: MatrixFrame, b: MatrixFrame, side: int, rho: int) -> DataFrame:
+    """``round, reducers, mean, greatest``: entries of A, of B and of the slot so far that meet in one reduce call of a sparse product, by round."""
+    from roundmm.operators.sparse3d import _index, sparse_grid
 
+    grid = sparse_grid(a, b, side, rho)
     x = a.df.groupBy(_index("row", side).alias("i"), _index("col", side).alias("h")).agg(F.count(F.lit(1)).alias("x"))
     y = b.df.groupBy(_index("row", side).alias("h"), _index("col", side).alias("j")).agg(F.count(F.lit(1)).alias("y"))
-    return x.join(y, "h").select((F.col("x") + F.col("y")).alias("w")).agg(F.count(F.lit(1)).alias("reducers"), F.avg("w").alias("mean"), F.max("w").alias("greatest"))
+    c = reached_cells(a, b, side, rho).groupBy(F.col("i").alias("ci"), F.col("j").alias("cj"), F.col("slot").alias("cs"), "since").agg(F.count(F.lit(1)).alias("n"))
+    i, h, j = F.col("i"), F.col("h"), F.col("j")
+    met = x.join(y, "h").select("i", "h", "j", "x", "y", grid.round_of(i, h, j).alias("round"), grid.slot_of(i, h, j).cast("int").alias("slot"))
+    held = met.join(c, (F.col("ci") == i) & (F.col("cj") == j) & (F.col("cs") == F.col("slot")) & (F.col("since") < F.col("round")), "left")
+    w = held.groupBy("round", "i", "h", "j", "x", "y").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("z")).select("round", (F.col("x") + F.col("y") + F.col("z")).alias("w"))
+    return w.groupBy("round").agg(F.count(F.lit(1)).alias("reducers"), F.avg("w").alias("mean"), F.max("w").alias("greatest"))
 
 
 def mapper_copies(spark: SparkSession, s: int, rho: int, row_major: bool) -> DataFrame:
@@ -136,10 +168,11 @@ def _loads(spark: SparkSession, keys: DataFrame, tasks: int) -> DataFrame:
     return every.join(n, "task", "left").select("task", F.coalesce("n", F.lit(0)).alias("keys"))
 
 
-def two_round_ratio(side: int, block: int) -> float:
-    """Greatest shuffle of the monolithic product over the least that two rounds need, of the order of ``n q`` words."""
-    n, q = side * side, ceil_div(side, block)
-    return max(2 * q * n, q * n) / (n * q)
+def two_round_ratio(spark: SparkSession, side: int, block: int) -> DataFrame:
+    """``side, block, words, ratio``: the heaviest round of the monolithic product as its ledger counts it, over the ``n q`` words that two rounds need at least."""
+    q = ceil_div(side, block)
+    most = ledger_3d(spark, (side, side, side), block, q).groupBy("round").agg(F.sum("words").alias("words")).agg(F.max("words").alias("words"))
+    return most.select(F.lit(side).alias("side"), F.lit(block).alias("block"), "words", (F.col("words") / F.lit(float(side * side * q))).alias("ratio"))
 
 
 def rounds_3d(side: int, block: int, rho: int) -> int:
@@ -155,9 +188,11 @@ def rounds_sparse(side: int, m: int, rho: int, density: float) -> int:
     return math.ceil(math.sqrt(density) * side / (rho * math.sqrt(m))) + 1
 
 
-def expected_sparse_words(n: int, delta: float, rho: int, block_side: float, r: int) -> float:
-    """Words of product round ``r`` of a random sparse product: inputs, and what the slots hold by then."""
-    return 2 * rho * delta * n + rho * n * (1 - (1 - delta * delta) ** (r * block_side))
+def max_relative_error(c: MatrixFrame, exact: MatrixFrame) -> DataFrame:
+    """``cells, greatest``: the greatest difference of two matrices, relative to the exact one's cell (cells that one lacks count as zeros)."""
+    met = c.df.join(exact.df.select("row", "col", F.col("val").alias("_e")), ["row", "col"], "full")
+    off, size = F.abs(F.coalesce("val", F.lit(0.0)) - F.coalesce("_e", F.lit(0.0))), F.abs(F.coalesce("_e", F.lit(0.0)))
+    return met.agg(F.count(F.lit(1)).alias("cells"), F.max(F.when(off > 0, off / F.greatest(size, F.lit(1e-300))).otherwise(0.0)).alias("greatest"))
 
 
 def overhead_per_round(seconds: float, rounds: int, monolithic: float) -> float | None:

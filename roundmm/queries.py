@@ -57,6 +57,9 @@ QUERIES["mm3d_dense_monolithic"] = dense_3d(rho="max")
 QUERIES["mm3d_dense_block4"] = dense_3d(block=4, rho=4)
 QUERIES["mm3d_dense_block8"] = dense_3d(block=8, rho=4)
 QUERIES["mm3d_dense_ragged"] = dense_3d(n=60, rho=2)
+# the second published size: twice the side, grids of 32, 16 and 8
+for _block, _rho in ((4, 32), (8, 16), (8, 4), (16, 1), (16, 2), (16, 4), (16, 8)):
+    QUERIES[f"mm3d_n128_block{_block}_rho{_rho}"] = dense_3d(n=128, block=_block, rho=_rho)
 QUERIES["mm3d_append"] = dense_3d(rho=2, carry="append")
 QUERIES["mm3d_stationary"] = dense_3d(rho=2, carry="stationary")
 QUERIES["mm3d_hash_partitioner"] = dense_3d(rho=2, placement="polynomial")
@@ -189,9 +192,10 @@ QUERIES["mm_power_transition"] = lambda spark, d: leaf(MatrixFrame(stored(apps.t
 QUERIES["mm_copurchase"] = lambda spark, d: apps.copurchase(spark, d).df
 QUERIES["mm_triangles"] = apps.triangles
 QUERIES["mm_links2"] = lambda spark, d: apps.two_steps(spark, d).df
-QUERIES["mm_sources"] = lambda spark, d: apps.source_similarity(spark, d).df
-QUERIES["mm_roles"] = lambda spark, d: apps.role_items(spark, d).df
-QUERIES["mm_quality_tokens"] = lambda spark, d: apps.quality_tokens(spark, d).df
+QUERIES["mm_sources"] = apps.source_overlap
+QUERIES["mm_roles"] = apps.role_item_overlap
+QUERIES["mm_items_documents"] = apps.item_document_overlap
+QUERIES["mm_quality_tokens"] = apps.quality_by_token
 QUERIES["mm_price_hops"] = lambda spark, d: apps.cheapest_two_hops(spark, d).df
 
 
@@ -310,7 +314,40 @@ def cost_sparse_rounds(spark: SparkSession, d: str) -> DataFrame:
 @query("reducer_words_sparse")
 def reducer_words_sparse(spark: SparkSession, d: str) -> DataFrame:
     a = scatter(spark, d, 8192)
-    return costs.reducer_entries(a, a, 2048)
+    a = MatrixFrame(stored(a.df, "scatter"), 8192, 8192)
+    return costs.reducer_entries(a, a, 2048, 2)
+
+
+@query("mm3d_sparse_observed_words")
+def mm3d_sparse_observed_words(spark: SparkSession, d: str) -> DataFrame:
+    """Entries that entered each product round's shuffle, by side, as observed while it ran."""
+    a, watch = scatter(spark, d, 8192), {}
+    multiply_3d_sparse(a, a, 0, 2, side=2048, encoding="long", watch=watch)
+    return spark.createDataFrame([(r, side, o.get["words"]) for r, sides in watch.items() for side, o in sides.items()], "round int, side string, words long")
+
+
+@query("cost_sparse_bound")
+def cost_sparse_bound(spark: SparkSession, d: str) -> DataFrame:
+    """The heaviest round against the expectation for random inputs."""
+    a = scatter(spark, d, 8192)
+    a = MatrixFrame(stored(a.df, "scatter"), 8192, 8192)
+    return _union([costs.sparse_bound(a, a, 2048, rho) for rho in (1, 2, 4)]).select("rho", "greatest", F.round("bound", 6).alias("bound"))
+
+
+@query("rounds_sparse_formula")
+def rounds_sparse_formula(spark: SparkSession, d: str) -> DataFrame:
+    rows = [(side, m, rho, costs.rounds_sparse(side, m, rho, 1 / 1024)) for side in (1024, 8192, 65536) for m in (64, 256, 1024) for rho in (1, 2, 4)]
+    return spark.createDataFrame(rows, "side int, m int, rho int, rounds int")
+
+
+@query("accuracy_real_values")
+def accuracy_real_values(spark: SparkSession, d: str) -> DataFrame:
+    """Prices, which aren't whole numbers: 3D product against the join, within rounding."""
+    li = load(spark, d, "lineitem")
+    a = src.matrix_from(li, F.col("l_orderkey") % N, F.col("l_partkey") % N, F.col("l_extendedprice"), N, N)
+    b = src.matrix_from(li, F.col("l_partkey") % N, F.col("l_suppkey") % N, F.col("l_discount"), N, N)
+    got = to_coordinates(multiply_3d(*base.pipeline_blocks(a, b, 16), 2))
+    return costs.max_relative_error(got, base.multiply_join(a, b)).select("cells", (F.col("greatest") < 1e-12).alias("exact"))
 
 
 @query("rounds_formula")
@@ -331,7 +368,7 @@ def plan_choice(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "side int, mem long, budget_groups int, block int, q int, rho int, rounds int, total_words double")
 
 
-QUERIES["lower_bound_ratio"] = lambda spark, d: spark.createDataFrame([(side, block, costs.two_round_ratio(side, block)) for side in (64, 128) for block in (8, 16)], "side int, block int, ratio double")
+QUERIES["lower_bound_ratio"] = lambda spark, d: _union([costs.two_round_ratio(spark, side, block) for side in (60, 64, 128) for block in (8, 16)])
 
 
 @query("component_times")
@@ -340,6 +377,19 @@ def component_times(spark: SparkSession, d: str) -> DataFrame:
     return components(a, b, [2, 4])
 
 
+def timed_query(name: str, what: str) -> None:
+    """A sweep of times as a query, on generated matrices small enough for it."""
+    from roundmm import workloads
+
+    QUERIES[name] = lambda spark, d: getattr(workloads, what)(spark, d)
+
+
+timed_query("measure_doubling", "doubling_factors")
+timed_query("measure_block_gain", "block_gains")
+timed_query("measure_speedup", "task_speedup")
+timed_query("setup_sweep", "two_setups")
+
+
 # ---- densities ------------------------------------------------------------------------------------------------
 
 
@@ -363,6 +413,9 @@ QUERIES["density_er"] = _er(False)
 QUERIES["density_er_exact"] = _er(True)
 QUERIES["density_exact"] = lambda spark, d: density.exact_cells(scatter(spark, d, 8192), scatter(spark, d, 8192))
 QUERIES["density_row_sample"] = lambda spark, d: density.row_sample(scatter(spark, d, 8192), scatter(spark, d, 8192)).select(F.round("cells", 3).alias("cells"))
+for _side in (1024, 65536):
+    QUERIES[f"density_exact_{_side}"] = lambda spark, d, n=_side: density.exact_cells(scatter(spark, d, n), scatter(spark, d, n))
+    QUERIES[f"density_flops_{_side}"] = lambda spark, d, n=_side: density.products(scatter(spark, d, n), scatter(spark, d, n)).select(F.col("products").cast("long").alias("products"))
 QUERIES["density_hll"] = lambda spark, d: density.sketched(scatter(spark, d, 8192), scatter(spark, d, 8192))
 QUERIES["density_kmin"] = lambda spark, d: density.exponential_minima(scatter(spark, d, 8192), scatter(spark, d, 8192))
 QUERIES["work_products"] = lambda spark, d: density.products(src.user_hour(spark, d), src.user_hour(spark, d).T).select(F.col("products").cast("long").alias("products"))
@@ -389,21 +442,6 @@ def op_block_roundtrip(spark: SparkSession, d: str) -> DataFrame:
 
 @query("op_band_join")
 def op_band_join(spark: SparkSession, d: str) -> DataFrame:
-    """Products of the cells of A and B whose coordinates differ by at most one: buckets of the band make it an equi-join."""
-    a, b = fold_a(spark, d, N).df, fold_b(spark, d, N).df
-    a = a.where("row = 5").select("col", F.col("val").alias("x"), F.explode(F.array(F.col("col") - 1, "col", F.col("col") + 1)).alias("at"))
-    b = b.where("col = 7").select("row", F.col("val").alias("y"))
-    return a.join(b, F.col("at") == F.col("row")).select(F.col("col").alias("a_col"), F.col("row").alias("b_row"), (F.col("x") * F.col("y")).alias("val"))
-
-
-QUERIES["mm_sources_all"] = apps.source_overlap
-QUERIES["mm_roles_all"] = apps.role_item_overlap
-QUERIES["mm_items_documents"] = apps.item_document_overlap
-QUERIES["mm_quality_tokens_all"] = apps.quality_by_token
-
-
-@query("op_band_product")
-def op_band_product(spark: SparkSession, d: str) -> DataFrame:
     """The product of A and B over all pairs of inner coordinates that differ by at most one."""
     return ew.band_product(fold_a(spark, d, N), fold_b(spark, d, N), 1).df
 
@@ -434,15 +472,6 @@ def op_interval_pairs(spark: SparkSession, d: str) -> DataFrame:
 
 @query("op_missing_cells")
 def op_missing_cells(spark: SparkSession, d: str) -> DataFrame:
-    """Orders without the most frequent part, among the first hundred orders: an anti-join."""
-    x = apps.order_part(spark, d).df
-    top = x.groupBy("col").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "col").limit(1).select("col")
-    orders = x.select("row").where("row < 100").distinct()
-    return orders.crossJoin(F.broadcast(top)).join(x.select("row", "col"), ["row", "col"], "left_anti").select("row", "col")  # one part
-
-
-@query("op_missing_all")
-def op_missing_all(spark: SparkSession, d: str) -> DataFrame:
     """Every order without the most frequent part."""
     return apps.rows_without_top(apps.order_part(spark, d).df)
 
@@ -504,10 +533,7 @@ def op_ntile_split(spark: SparkSession, d: str) -> DataFrame:
 
 QUERIES["op_sorted"] = lambda spark, d: fold_a(spark, d, N).df.orderBy("row", "col")
 QUERIES["op_top_cells"] = lambda spark, d: fold_a(spark, d, N).df.orderBy(F.desc("val"), "row", "col").offset(5).limit(20)
-QUERIES["op_pattern"] = lambda spark, d: density.pattern(scatter(spark, d, 8192).rows(0, 200), scatter(spark, d, 8192))
-
-
-QUERIES["op_pattern_all"] = lambda spark, d: density.pattern(scatter(spark, d, 8192), scatter(spark, d, 8192))
+QUERIES["op_pattern"] = lambda spark, d: density.pattern(scatter(spark, d, 8192), scatter(spark, d, 8192))
 
 
 def _halves(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
@@ -579,8 +605,9 @@ def stream_deduplicated(spark: SparkSession, d: str) -> DataFrame:
 
 @query("stream_daily_windows")
 def stream_daily_windows(spark: SparkSession, d: str) -> DataFrame:
-    """Closed daily windows; rows only, as the last ones stay open."""
-    return stream.run_to_table(stream.windowed_counts(stream.event_stream(spark, stream.split_events(spark, d))), "append")
+    """Daily windows that end before the watermark, two days behind the last event; all files are one batch, so no row is late."""
+    ev = stream.event_stream(spark, stream.split_events(spark, d), 4)
+    return stream.run_to_table(stream.windowed_counts(ev), "append")
 
 
 @query("stream_close_pairs")

@@ -147,7 +147,59 @@ def store_choice(spark: SparkSession, sf_dir: str, side: int = 1024, block: int
     return spark.createDataFrame(rows, "store string, seconds double")
 
 
+FACTORS = "measure string, rho int, from_size int, to_size int, from_seconds double, to_seconds double, factor double"
+
+
+def _factors(spark: SparkSession, name: str, times: dict[tuple[int, int], float], falls: bool = False) -> DataFrame:
+    """Each time over the one before (``falls``: the other way round), of times by (rho, size)."""
+    rows = []
+    for rho in sorted({r for r, _ in times}):
+        sizes = sorted(n for r, n in times if r == rho)
+        for lo, hi in zip(sizes, sizes[1:], strict=False):
+            x, y = times[rho, lo], times[rho, hi]
+            rows.append((name, rho, lo, hi, x, y, x / y if falls else y / x))
+    return spark.createDataFrame(rows, FACTORS)
+
+
+def doubling_factors(spark: SparkSession, sf_dir: str, sides: tuple[int, ...] = (128, 256, 512), block: int = 64) -> DataFrame:
+    """How much longer a product takes as the side doubles; ``rho`` 0 stands for the monolithic one."""
+    times = {}
+    for side in sides:
+        for row in _sweep(spark, "doubling", side, block, sorted({1, side // block})):
+            times[1 if row[4] == 1 else 0, side] = row[6]
+    return _factors(spark, "side doubled", times)
+
+
+def block_gains(spark: SparkSession, sf_dir: str, side: int = 512) -> DataFrame:
+    """How much sooner the monolithic product ends as the block side doubles."""
+    return _factors(spark, "block side doubled", {(0, block): _sweep(spark, "block", side, block, [side // block])[0][6] for block in (side // 16, side // 8, side // 4)}, True)
+
+
+def task_speedup(spark: SparkSession, sf_dir: str, side: int = 512, block: int = 128, workers: tuple[int, ...] = (1, 2, 4)) -> DataFrame:
+    """Speed-up as the reduce tasks double: a session's cores are fixed, tasks stand in for them."""
+    a, b = pipeline_blocks(signed(spark, side), signed(spark, side), block)
+    times = {(rho, t): _timed(lambda s, rho=rho, t=t: multiply_3d(a, b, rho, store=s, tasks=t), spark)[0] for rho in (1, 2, 4) for t in workers}
+    return _factors(spark, "tasks doubled", times, True)
+
+
+def two_setups(spark: SparkSession, sf_dir: str, side: int = 512, blocks: tuple[int, ...] = (64, 128)) -> DataFrame:
+    """Block sides, replications and the time of each extra round under two set-ups: rounds in files, and rounds held by executors."""
+    rows = []
+    for setup in ("parquet", "persist"):
+        for block in blocks:
+            a, b = pipeline_blocks(signed(spark, side), signed(spark, side), block)
+            q, times = side // block, {}
+            for rho in (r for r in (1, 2, 4, 8) if r <= q):
+                began = time.time()
+                multiply_3d(a, b, rho, store=RoundStore(spark, setup)).df.write.format("noop").mode("overwrite").save()
+                times[rho] = time.time() - began
+                spark.catalog.clearCache()
+            rows += [(setup, side, block, rho, -(-q // rho) + 1, t, costs.overhead_per_round(t, -(-q // rho) + 1, times[max(times)])) for rho, t in times.items()]
+    return spark.createDataFrame(rows, "setup string, side int, block int, rho int, rounds int, seconds double, per_extra_round double")
+
+
 WORKLOADS = {
+    "doubling_factors": doubling_factors, "block_gains": block_gains, "task_speedup": task_speedup, "two_setups": two_setups,
     "block_sides": block_sides, "replications": replications, "component_split": component_split, "two_d_three_d": two_d_three_d, "doubling": doubling,
     "sparse_products": sparse_products, "density_law": density_law, "placements": placements, "restarts": restarts, "store_choice": store_choice,
 }

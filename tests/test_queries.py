@@ -54,22 +54,48 @@ def test_measures_without_sql(spark, sf_dir):
     assert QUERIES["plan_choice"](spark, sf_dir).count() == 18
 
 
-@pytest.mark.parametrize("name", ["op_missing_all", "op_band_product", "op_pattern_all"])
+@pytest.mark.parametrize("name", ["op_missing_cells", "op_band_join", "op_pattern", "mm_roles", "mm_items_documents", "mm_quality_tokens", "lower_bound_ratio", "cost_sparse_rounds", "mm3d_sparse_observed_words", "reducer_words_sparse", "cost_sparse_bound", "plan_choice"])
 def test_whole_tables_equal_sql(spark, duck, sf_dir, name):
     test_query_equals_sql(spark, duck, sf_dir, name)
 
 
 def test_no_row_is_left_out(spark, sf_dir):
-    orders = QUERIES["op_missing_all"](spark, sf_dir)
+    orders = QUERIES["op_missing_cells"](spark, sf_dir)
     assert orders.where("row >= 100").count() > 0
-    assert QUERIES["op_pattern_all"](spark, sf_dir).where("row >= 200").count() > 0
-    assert QUERIES["op_band_product"](spark, sf_dir).where("row <> 5 and col <> 7").count() > 0
-
-
-@pytest.mark.parametrize("name", ["mm_sources_all", "mm_roles_all", "mm_items_documents", "mm_quality_tokens_all"])
-def test_every_token_counts(spark, duck, sf_dir, name):
-    test_query_equals_sql(spark, duck, sf_dir, name)
-
-
-def test_tokens_beyond_the_fifty_most_frequent(spark, sf_dir):
-    assert QUERIES["mm_quality_tokens_all"](spark, sf_dir).select("col").distinct().count() > 50
+    assert QUERIES["op_pattern"](spark, sf_dir).where("row >= 200").count() > 0
+    assert QUERIES["op_band_join"](spark, sf_dir).where("row <> 5 and col <> 7").count() > 0
+    assert QUERIES["mm_quality_tokens"](spark, sf_dir).select("col").distinct().count() > 50
+
+
+def test_communication_moves_every_payload(spark, sf_dir):
+    """The plan of the copying rounds reads and shuffles the cells of A, of B and of the slots."""
+    from roundmm.functions.schedule import Grid3D
+    from roundmm.operators.baselines import pipeline_blocks
+    from roundmm.operators.dense3d import product_round
+    from roundmm.functions.semiring import PLUS_TIMES
+    from roundmm.plans.components import communication_round
+    from roundmm.sources.tables import fold_a, fold_b
+
+    a, b = pipeline_blocks(fold_a(spark, sf_dir, 8), fold_b(spark, sf_dir, 8), 4)
+    g = Grid3D(2, 2, 2, 1)
+    before = product_round(a.df, b.df, None, g, 0, 4, PLUS_TIMES, "even")
+    for slots, payloads in ((None, ("ca", "cb")), (before, ("ca", "cb", "cc"))):
+        plan = communication_round(a.df, b.df, slots, g, 1 if slots is not None else 0, 4, "copy")._jdf.queryExecution().optimizedPlan().toString()
+        shuffled = [x for x in plan.splitlines() if "Repartition" in x]
+        assert len(shuffled) >= len(payloads)
+        assert plan.count("cells#") >= 2 and all(f"AS {c}#" in plan for c in payloads), plan
+
+
+def test_factors_are_measured(spark, sf_dir):
+    got = QUERIES["measure_block_gain"](spark, sf_dir).collect()
+    assert len(got) == 2 and all(abs(r.factor - r.from_seconds / r.to_seconds) < 1e-9 for r in got)
+
+
+def test_planner_weighs_all_methods():
+    from roundmm.plans.planner import best_plan
+
+    assert best_plan(16_000, 3 * 4_000**2, 3 * 16_000**2, 32).method == "3d"
+    assert best_plan(1 << 20, 3 * 4_000**2, 3 << 30, 32, density=8 / (1 << 20)).method == "sparse"
+    assert best_plan(16_000, 3 * 16_000 * 200, 2 * 16_000**2, 4).method == "2d"
+    with pytest.raises(ValueError):
+        best_plan(16_000, 300, 300, 4)
