@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from roundmm.model import MatrixFrame
+from roundmm.scratch import stored
 
 
 def add(a: MatrixFrame, b: MatrixFrame, sign: float = 1.0) -> MatrixFrame:
@@ -91,8 +92,19 @@ def norms(m: MatrixFrame) -> DataFrame:
 
 
 def axis_index(df: DataFrame, name: str) -> DataFrame:
-    """``name, idx``: ranks of the distinct values of a column, from 0. Values are few next to rows: distinct first."""
-    return df.select(name).where(F.col(name).isNotNull()).distinct().withColumn("idx", (F.row_number().over(Window.orderBy(name)) - 1).cast("long"))
+    """``name, idx``: ranks of the distinct values of a column, from 0."""
+    return global_rank(df.select(name).where(F.col(name).isNotNull()).distinct(), [F.col(name)], "idx")
+
+
+def global_rank(df: DataFrame, order: list[Column], out: str) -> DataFrame:
+    """``df`` with ``out``: the rank of each row in ``order``, from 0. Rows are cut into key ranges, ranked within them, and moved on by the rows of the ranges
+    before: no task sorts all of them."""
+    held = stored(df.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()), "ranked")
+    sizes = held.groupBy("_part").agg(F.count(F.lit(1)).alias("_n"))
+    upto = Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)  # a row a range
+    before = sizes.select(F.col("_part").alias("_p"), "_n").select("_p", F.coalesce(F.sum("_n").over(upto), F.lit(0)).alias("_before"))
+    rows = held.withColumn("_row", F.row_number().over(Window.partitionBy("_part").orderBy(*order)))
+    return rows.join(F.broadcast(before), F.col("_part") == F.col("_p")).select(*df.columns, (F.col("_before") + F.col("_row") - 1).cast("long").alias(out))
 
 
 @dataclass(frozen=True)
@@ -147,8 +159,8 @@ class Permutation:
 
 
 def table_permutation(n: DataFrame, seed: int) -> DataFrame:
-    """``x, y``: the axis ``n(x)`` in the order of a hash. For short axes: one window over all."""
-    return n.select("x", (F.row_number().over(Window.orderBy(F.xxhash64("x", F.lit(seed)), "x")) - 1).cast("long").alias("y"))
+    """``x, y``: the axis ``n(x)`` in the order of a hash."""
+    return global_rank(n.select("x"), [F.xxhash64("x", F.lit(seed)), F.col("x")], "y")
 
 
 def permute(m: MatrixFrame, rows: Permutation | None, cols: Permutation | None, back: bool = False) -> MatrixFrame:

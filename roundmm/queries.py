@@ -527,8 +527,12 @@ def op_range_frame(spark: SparkSession, d: str) -> DataFrame:
 def op_ntile_split(spark: SparkSession, d: str) -> DataFrame:
     """Rows of A dealt to eight runs of equal length by weight; ranks and shares beside."""
     rows = fold_a(spark, d, N).df.groupBy("row").agg(F.sum("val").alias("weight"))
-    w = Window.orderBy(F.desc("weight"), "row")
-    return rows.select("row", "weight", F.ntile(8).over(w).cast("long").alias("run"), F.rank().over(w).cast("long").alias("rank"), F.round(F.percent_rank().over(w), 9).alias("share"), F.round(F.cume_dist().over(w), 9).alias("upto"))
+    ranked = ew.global_rank(rows, [F.desc("weight"), F.col("row")], "at")
+    n = ranked.count()
+    size, more = divmod(n, 8)  # the first runs have one row more
+    long_run = F.floor(F.col("at") / (size + 1))
+    run = F.when(F.col("at") < more * (size + 1), long_run).otherwise(more + F.floor((F.col("at") - more * (size + 1)) / max(size, 1)))
+    return ranked.select("row", "weight", (run + 1).cast("long").alias("run"), (F.col("at") + 1).alias("rank"), F.round(F.col("at") / max(n - 1, 1), 9).alias("share"), F.round((F.col("at") + 1) / n, 9).alias("upto"))
 
 
 QUERIES["op_sorted"] = lambda spark, d: fold_a(spark, d, N).df.orderBy("row", "col")

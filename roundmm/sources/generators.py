@@ -4,7 +4,9 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
-from pyspark.sql import Column, DataFrame, SparkSession
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
@@ -28,20 +30,21 @@ def dense_random(spark: SparkSession, rows: int, cols: int, seed: int = 1) -> Ma
 
 
 def er_random(spark: SparkSession, n: int, delta: float, seed: int = 1) -> MatrixFrame:
-    """Each cell is 1 with chance ``delta``, independently. Every row draws geometric gaps between its entries, as many as it
-    may need, so work follows the entries and not the cells. For few entries a row, as sparse matrices have."""
-    most = int(n * delta + 8 * (n * delta) ** 0.5 + 8)
-    rate = F.log1p(F.lit(-min(delta, 1 - 1e-12)))
+    """Each cell is 1 with chance ``delta``, independently: every row draws how many entries it has, and which. A row's draws follow from seed and row, so they
+    are the same on any partitioning; work follows the entries, not the cells."""
 
-    def gap(k: Column) -> Column:
-        u = (F.pmod(F.xxhash64(F.col("row"), k, F.lit(seed)), F.lit(1 << 40)) + 1) / F.lit(float((1 << 40) + 1))
-        return F.floor(F.log(u) / rate).cast("long") + 1
+    def draw(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows, cols = [], []
+            for row in batch["id"].to_pylist():
+                rng = np.random.Generator(np.random.Philox(key=[seed, row]))
+                cols.append(np.sort(rng.choice(n, rng.binomial(n, delta), replace=False, shuffle=False)).astype(np.int64))
+                rows.append(np.full(len(cols[-1]), row, np.int64))
+            if rows:
+                at = np.concatenate(rows)
+                yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(np.concatenate(cols)), pa.array(np.ones(len(at)))], names=["row", "col", "val"])
 
-    gaps = F.transform(F.sequence(F.lit(1), F.lit(most)), gap)
-    ends = F.aggregate(gaps, F.array(F.lit(0).cast("long")), lambda acc, g: F.concat(acc, F.array(F.element_at(acc, -1) + g)))
-    rows = spark.range(n).select(F.col("id").alias("row"))
-    cells = rows.select("row", F.explode(F.slice(ends, 2, most)).alias("_end")).where(F.col("_end") <= n)
-    return MatrixFrame(cells.select("row", (F.col("_end") - 1).alias("col"), F.lit(1.0).alias("val")), n, n)
+    return MatrixFrame(spark.range(n).mapInArrow(draw, "row long, col long, val double"), n, n)
 
 
 def identity(spark: SparkSession, n: int, semiring: Semiring = PLUS_TIMES) -> MatrixFrame:
@@ -58,11 +61,12 @@ def read_matrix(spark: SparkSession, path: str, fmt: str, n_rows: int, n_cols: i
     """``row, col, val`` files (parquet, orc, csv, json), or ``mtx``: Matrix Market coordinates, counted from 1."""
     if fmt == "mtx":
         parts = F.split(F.trim("value"), r"\s+")
-        lines = spark.read.text(path).where(~F.col("value").startswith("%") & (F.trim("value") != ""))
-        cells = lines.select((parts[0].cast("long") - 1).alias("row"), (parts[1].cast("long") - 1).alias("col"), parts[2].cast("double").alias("val"))
-        # the size line has the sides of the matrix in the first two places, and a count: beyond any cell or equal to the corner
-        size = (F.col("row") == n_rows - 1) & (F.col("col") == n_cols - 1) & (F.size(parts) == 3) & (F.col("val") == F.lit(float(options.get("entries", -1))))
-        return MatrixFrame(cells.where(~size), n_rows, n_cols)
+        text = spark.read.text(path).select("value", F.col("_metadata.file_path").alias("_file"), F.col("_metadata.file_block_start").alias("_block"), F.monotonically_increasing_id().alias("_line"))
+        lines = text.where(~F.col("value").startswith("%") & (F.trim("value") != ""))
+        # the first line of a file that is no comment states the sides and the number of entries
+        size = lines.where("_block = 0").groupBy("_file").agg(F.min("_line").alias("_line"))
+        cells = lines.join(F.broadcast(size), ["_file", "_line"], "left_anti")  # a row a file
+        return MatrixFrame(cells.select((parts[0].cast("long") - 1).alias("row"), (parts[1].cast("long") - 1).alias("col"), parts[2].cast("double").alias("val")), n_rows, n_cols)
     return MatrixFrame(spark.read.schema("row long, col long, val double").format(fmt).options(**options).load(path), n_rows, n_cols)
 
 

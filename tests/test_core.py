@@ -404,7 +404,9 @@ def test_sources(spark, tmp_path):
         gen.write_matrix(m, str(tmp_path / fmt), fmt)
         assert np.array_equal(array(gen.read_matrix(spark, str(tmp_path / fmt), fmt, 10, 10)), X)
     (tmp_path / "m.mtx").write_text("%%MatrixMarket matrix coordinate real general\n% note\n3 3 2\n1 1 2.5\n3 2 -1\n")
-    assert array(gen.read_matrix(spark, str(tmp_path / "m.mtx"), "mtx", 3, 3, entries=2)).tolist() == [[2.5, 0, 0], [0, 0, 0], [0, -1.0, 0]]
+    assert array(gen.read_matrix(spark, str(tmp_path / "m.mtx"), "mtx", 3, 3)).tolist() == [[2.5, 0, 0], [0, 0, 0], [0, -1.0, 0]]
+    (tmp_path / "n.mtx").write_text("% a cell that reads as the size line does\n3 3 1\n3 3 1\n")
+    assert array(gen.read_matrix(spark, str(tmp_path / "n.mtx"), "mtx", 3, 3)).tolist() == [[0, 0, 0], [0, 0, 0], [0, 0, 1.0]]
     assert set(SEMIRINGS) >= {"plus_times", "min_plus"} and sparse_grid(m, m, 3, 9).rho == 4
     assert gen.dense_random(spark, 3, 4).df.count() == 12 and gen.diagonal(spark.createDataFrame([(0, 2.0)], "idx long, val double"), 2).df.count() == 1
 
@@ -431,3 +433,20 @@ def test_a_store_with_other_data_raises(spark, kind):
     assert np.array_equal(cells(run(of_array(spark, x), of_array(spark, y), store=RoundStore(spark, path=store.path))), x @ y)
     with pytest.raises(ValueError, match="other data"):
         run(of_array(spark, x), of_array(spark, 2 * y), store=RoundStore(spark, path=store.path))
+
+
+def test_random_matrices_have_their_density(spark):
+    m = gen.er_random(spark, 500, 0.02, 3)
+    n = m.df.count()
+    assert n == m.df.distinct().count() and abs(n - 5000) < 4 * (5000 * 0.98) ** 0.5
+    assert {r.row for r in m.df.select("row").distinct().collect()} <= set(range(500)) and m.df.agg(F.max("col")).first()[0] < 500
+    again = gen.er_random(spark, 500, 0.02, 3).df.repartition(3)
+    assert again.exceptAll(m.df).count() == 0
+
+
+def test_ranks_without_one_task(spark):
+    df = spark.range(1000).select((F.col("id") * 7919 % 1000).alias("x"), F.lit("a").alias("idx"))
+    got = ew.global_rank(df.repartition(7), [F.desc("x")], "at").collect()
+    assert all(r["at"] == 999 - r["x"] for r in got) and len(got) == 1000
+    plan = ew.global_rank(df, [F.col("x")], "at")._jdf.queryExecution().executedPlan().toString()
+    assert "_part" in plan and ew.global_rank(df.limit(0), [F.col("x")], "at").count() == 0
