@@ -75,7 +75,8 @@ def test_late_rows_are_counted(spark, sf_dir, tmp_path):
     ev = load(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     path = str(tmp_path / "ev")
     ev.coalesce(1).write.parquet(path)
+    ev.orderBy(F.desc("ts")).limit(1).coalesce(1).write.mode("append").parquet(path)  # rows are late by the watermark of the batch before the last
     ev.limit(7).withColumn("ts", F.lit("2001-01-01 00:00:00").cast("timestamp")).coalesce(1).write.mode("append").parquet(path)
     late: list[int] = []
     stream.run_to_table(stream.windowed_counts(stream.event_stream(spark, path, 1)), "append", late)
-    assert 0 < sum(late) <= 7 and len(late) >= 2
+    assert 0 < sum(late) <= 7 and len(late) >= 3
