@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from roundmm.llm.common import empty_text
+from roundmm.llm.common import drop_stored, empty_text, stored
 from roundmm.llm.quality import platt, sample_for_training
 from roundmm.llm.textnum import shingles
 
@@ -238,11 +238,14 @@ class Scorer:
             self.machine.make_automaton()
 
     def evidence(self, text: str) -> float:
-        """Summed ratios of the distinct marks found, the best one where several begin."""
-        if not self.model.lexicon or not text:
+        return self.evidence_of(self.restore.words(text)) if self.model.lexicon and text else 0.0
+
+    def evidence_of(self, words: list[str]) -> float:
+        """Summed ratios of the distinct marks found in restored words, the best one where several begin."""
+        if not self.model.lexicon or not words:
             return 0.0
         best: dict[int, tuple[float, str]] = {}
-        for end, (size, ratio, mark) in self.machine.iter(" " + "  ".join(self.restore.words(text)) + " "):
+        for end, (size, ratio, mark) in self.machine.iter(" " + "  ".join(words) + " "):
             at = end - size
             if at not in best or best[at][0] < ratio:
                 best[at] = (ratio, mark)
@@ -252,8 +255,8 @@ class Scorer:
         return float(1 / (1 + np.exp(-np.clip(self.model.slope * min(self.evidence(text), 40.0) + self.model.offset, -30, 30))))
 
 
-def learn_lexicon(sample: DataFrame, costs: np.ndarray) -> tuple[tuple[str, float], ...]:
-    """Marks that stand out in toxic rows. Near copies count about once: of rows with the same least shingle one counts."""
+def restored_sample(sample: DataFrame, costs: np.ndarray) -> DataFrame:
+    """``least, label, text`` of ``sample(text, label)``: its least shingle, and its restored words."""
     sent = sample.sparkSession.sparkContext.broadcast(costs)
 
     def restored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -263,6 +266,12 @@ def learn_lexicon(sample: DataFrame, costs: np.ndarray) -> tuple[tuple[str, floa
             least = [int(s[0].astype(np.int64)) if len(s) else 0 for s in shingles([x.encode() for x in texts])]
             yield pa.RecordBatch.from_arrays([pa.array(least, pa.int64()), batch["label"], pa.array([" ".join(restore.words(x)) for x in texts])], names=["least", "label", "text"])
 
+    return sample.select("text", "label").mapInArrow(restored, "least long, label int, text string")
+
+
+def learn_lexicon(restored: DataFrame) -> tuple[tuple[str, float], ...]:
+    """Marks that stand out in toxic rows of a :func:`restored_sample`. Near copies count about once: of rows with the same least shingle one counts."""
+
     def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n = (Counter(), Counter())
         for batch in batches:
@@ -272,7 +281,7 @@ def learn_lexicon(sample: DataFrame, costs: np.ndarray) -> tuple[tuple[str, floa
         keys = [*n[1], *(k for k in n[0] if k not in n[1])]
         yield pa.RecordBatch.from_arrays([pa.array(keys, pa.string()), pa.array([n[1][k] for k in keys], pa.int64()), pa.array([n[0][k] for k in keys], pa.int64())], names=["mark", "toxic", "clean"])
 
-    once = sample.select("text", "label").mapInArrow(restored, "least long, label int, text string").dropDuplicates(["least", "label"])
+    once = restored.dropDuplicates(["least", "label"])
     counts = once.mapInArrow(counted, "mark string, toxic long, clean long").groupBy("mark").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
     rows = {r["mark"]: (r["toxic"], r["clean"]) for r in counts.where(f"mark = '' or (toxic >= {LEAST_ROWS} and toxic > clean / 8)").collect()}  # bounded by the sample
     all_toxic, all_clean = rows.pop("", (0, 0))
@@ -294,15 +303,17 @@ def train(docs: DataFrame, labels: DataFrame, usable: Column, limit: int = TRAIN
     Null texts count as empty, extra columns are ignored; an empty table, or labels of one kind, give a model whose score is the smoothed share."""
     costs = language_model(docs)
     sample = sample_for_training(docs, labels, "toxic", usable, limit).withColumn("text", empty_text())
-    lexicon = learn_lexicon(sample, costs)
+    restored = stored(restored_sample(sample, costs), "restored")
+    lexicon = learn_lexicon(restored)
     sent = docs.sparkSession.sparkContext.broadcast(Model(costs, lexicon, 1.0, 0.0))
 
     def weigh(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = Scorer(sent.value)
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([pa.array([min(scorer.evidence(x), 40.0) for x in batch["text"].to_pylist()], pa.float64()), batch["label"]], names=["evidence", "label"])
+            yield pa.RecordBatch.from_arrays([pa.array([min(scorer.evidence_of(x.split()), 40.0) for x in batch["text"].to_pylist()], pa.float64()), batch["label"]], names=["evidence", "label"])
 
-    rows = sample.select("text", "label").mapInArrow(weigh, "evidence double, label int").collect()
+    rows = restored.select("text", "label").mapInArrow(weigh, "evidence double, label int").collect()  # at most limit rows
+    drop_stored(restored)
     y = np.array([1.0 if r["label"] else -1.0 for r in rows])
     if len(set(y.tolist())) < 2:
         p = (float((y > 0).sum()) + 1) / (len(y) + 2)
