@@ -1,3 +1,5 @@
+from collections import Counter
+
 import corpus_pipeline as p
 from tests.llm.conftest import ODD
 
@@ -19,9 +21,22 @@ def test_stages_and_run(spark, sf_dir):
 
 def test_stages_take_odd_rows(spark, sf_dir, documents):
     docs = documents(ODD).selectExpr("*", "1 as shard", "2 as rate", "3 as score")
-    for _, stage in p.STAGES:
-        assert stage(spark, docs, sf_dir).count() >= 0
+    rows = lambda df: Counter((r.doc_id, r.text) for r in df.collect())
+    whole = rows(docs)
+    for (_, stage), most in zip(p.STAGES[:-1], ("some", "all", "all", "copies"), strict=True):
+        got = stage(spark, docs, sf_dir)
+        assert got.columns == docs.columns
+        kept = rows(got)
+        if most == "all":
+            assert kept == whole
+        elif most == "some":
+            assert kept and all(n == whole[r] for r, n in kept.items())
+        else:
+            assert kept and all(r in whole and n % whole[r] == 0 for r, n in kept.items())
         assert stage(spark, docs.limit(0), sf_dir).count() == 0
+    plan = p.STAGES[-1][1](spark, docs, sf_dir)
+    assert Counter(r.doc_id for r in plan.collect()) == Counter(r[0] for r in ODD)
+    assert p.STAGES[-1][1](spark, docs.limit(0), sf_dir).count() == 0
 
 
 def test_a_query_for_each_operator():
