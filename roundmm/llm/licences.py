@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -16,6 +17,8 @@ GRAM = 2
 SLACK = 2
 #: Share of a template's grams that a merged diagonal must show.
 COVER = 0.7
+#: Edits of words, as a share of the template's words, that an aligned span may have; rounded down.
+EDITS = 0.3
 
 
 @dataclass(frozen=True)
@@ -24,6 +27,15 @@ class Template:
     words: tuple[str, ...]
     exact: bool = False
 
+    @property
+    def budget(self) -> int:
+        return 0 if self.exact else int(EDITS * len(self.words) + 1e-9)
+
+    @property
+    def least_grams(self) -> int:
+        n = len(self.words) - GRAM + 1
+        return n if self.exact else math.ceil(COVER * n - 1e-9)
+
 
 # Phrases that are licences by their words alone, and their labels.
 PHRASES = (
@@ -58,13 +70,19 @@ def template_grams(spark: SparkSession, templates: tuple[Template, ...]) -> Data
     return grams.withColumn("gram", F.xxhash64("w0", "w1"))
 
 
+def template_words(spark: SparkSession, templates: tuple[Template, ...]) -> DataFrame:
+    rows = [(i, list(t.words), t.budget) for i, t in enumerate(templates)]
+    return spark.createDataFrame(rows, "template int, t_words array<string>, budget int")
+
+
 def words_of(text: Column) -> Column:
     return F.array_remove(F.split(ascii_lower(text), BREAKS), "")
 
 
 def scanned(docs: DataFrame, key: list[str], templates: tuple[Template, ...]) -> DataFrame:
-    """``key, n_words, grams``: words of each text, and place, hash and words of its k-grams that stand in a template. The texts are split once; grams of no
-    template are dropped where they are made, by the sets of the templates' first words and grams, so only others become rows."""
+    """``key, n_words, grams, words``: number of words of each text, and place, hash and words of its k-grams that stand in a template. The texts are split once;
+    grams of no template are dropped where they are made, by the sets of the templates' first words and grams, so only others become rows.
+    ``words`` is kept, for the alignment, where a text has as many grams as the shortest sentence asks for, else null."""
     pairs = sorted({(t.words[p], t.words[p + 1]) for t in templates for p in range(len(t.words) - GRAM + 1)})
     firsts, joined = sorted({a for a, _ in pairs}), [f"{a} {b}" for a, b in pairs]
     held = docs.select(*key, words_of(empty_text()).alias("words"))
@@ -72,7 +90,9 @@ def scanned(docs: DataFrame, key: list[str], templates: tuple[Template, ...]) ->
     places = F.array_compact(F.transform("words", lambda w, i: F.when(in_template(w, i), i)))
     held = held.select(*key, "words", F.size("words").cast("long").alias("n_words"), places.alias("places"))
     gram = lambda i: F.struct(i.alias("d_pos"), F.xxhash64(F.get("words", i), F.get("words", i + 1)).alias("gram"), F.get("words", i).alias("d0"), F.get("words", i + 1).alias("d1"))
-    return held.select(*key, "n_words", F.transform("places", gram).alias("grams"))
+    least = min((t.least_grams for t in templates if not t.exact), default=None)
+    kept = F.when(F.size("places") >= least, F.col("words")) if least is not None else F.lit(None).cast("array<string>")
+    return held.select(*key, "n_words", F.transform("places", gram).alias("grams"), kept.alias("words"))
 
 
 def diagonals(scan: DataFrame, key: list[str], templates: tuple[Template, ...]) -> DataFrame:
@@ -83,17 +103,45 @@ def diagonals(scan: DataFrame, key: list[str], templates: tuple[Template, ...])
     return hit.groupBy(*key, "template", "label", "exact", "n_grams", (F.col("d_pos") - F.col("t_pos")).alias("offset")).agg(F.bit_or(F.expr("shiftleft(1L, t_pos)")).alias("mask"))
 
 
-def spans(scan: DataFrame, key: list[str], templates: tuple[Template, ...] = PHRASES + SENTENCES) -> DataFrame:
-    """Licence spans of :func:`scanned` texts: ``key, label, exact, start, cover``. Phrases need all grams on one offset; of sentences,
-    neighbouring offsets are merged and must cover ``COVER`` of the grams. Repeated rows vote once."""
-    found = diagonals(scan, key, templates)
+def voted(scan: DataFrame, key: list[str], templates: tuple[Template, ...]) -> DataFrame:
+    """The diagonals whose run has enough votes: ``key, template, label, exact, offset, run, cover, ends``. A phrase's diagonal is a run of its own;
+    neighbouring diagonals of a sentence make one. ``ends`` are the offsets so near to this one that a span within the edit budget may end on them."""
+    reach = max((t.budget for t in templates), default=0)
     by = Window.partitionBy(*key, "template", "exact").orderBy("offset")
     new = F.coalesce((F.col("offset") - F.lag("offset").over(by) > SLACK).cast("int"), F.lit(1))
-    run = found.withColumn("_new", F.when(F.col("exact"), 1).otherwise(new))
-    run = run.withColumn("_run", F.sum("_new").over(by))
-    merged = run.groupBy(*key, "template", "label", "exact", "n_grams", "_run").agg(F.min("offset").cast("long").alias("start"), F.bit_or("mask").alias("mask"))
-    cover = F.bit_count("mask") / F.col("n_grams")
-    return merged.select(*key, "label", "exact", "start", cover.alias("cover")).where(F.when(F.col("exact"), F.col("cover") == 1).otherwise(F.col("cover") >= COVER))
+    found = diagonals(scan, key, templates).withColumn("ends", F.collect_list("offset").over(by.rangeBetween(-reach, reach)))
+    found = found.withColumn("_new", F.when(F.col("exact"), 1).otherwise(new))
+    found = found.withColumn("run", F.sum("_new").over(by.rowsBetween(Window.unboundedPreceding, 0)))
+    mask = F.bit_or("mask").over(Window.partitionBy(*key, "template", "exact", "run"))
+    found = found.withColumn("cover", F.bit_count(mask) / F.col("n_grams"))
+    enough = F.when(F.col("exact"), F.col("cover") == 1).otherwise(F.col("cover") >= COVER)
+    return found.where(enough).select(*key, "template", "label", "exact", "offset", "run", "cover", "ends")
+
+
+def edits(words: Column, offset: Column, ends: Column, t_words: Column, budget: Column) -> Column:
+    """The fewest inserted, deleted or exchanged words between the template and the text from ``offset`` up to the template's end on one of the
+    diagonals ``ends``. Each word is written as one character, its place in the template, so the distance of strings is that of words."""
+    coded = lambda ws: F.array_join(F.transform(ws, lambda w: F.char(F.array_position(t_words, w) + 32)), "")
+    first = F.greatest(offset, F.lit(0))
+    window = lambda end: F.slice(words, first + 1, end + F.size(t_words) - first)
+    near = F.filter(ends, lambda e: F.abs(e - offset) <= budget)
+    return F.array_min(F.transform(near, lambda e: F.levenshtein(coded(window(e)), coded(t_words))))
+
+
+def spans(scan: DataFrame, key: list[str], templates: tuple[Template, ...] = PHRASES + SENTENCES) -> DataFrame:
+    """Licence spans of :func:`scanned` texts: ``key, label, exact, start, cover, edits``. Phrases need all grams on one offset. Of sentences,
+    neighbouring offsets are merged, must cover ``COVER`` of the grams, and the text at one of them must align with the template, word by word, within
+    ``EDITS`` of its words; ``start`` is where the best alignment begins, the first of equals. Repeated rows vote once."""
+    votes = stored(voted(scan, key, templates), "licence-votes")
+    phrases = votes.where("exact").select(*key, "label", "exact", F.col("offset").cast("long").alias("start"), "cover", F.lit(0).alias("edits"))
+    texts = scan.where("words is not null").select(*[F.col(k).alias(f"_of_{k}") for k in key], "words")
+    same = [F.col(k).eqNullSafe(F.col(f"_of_{k}")) for k in key]
+    # the templates are a constant of the program, so their size is known
+    pair = votes.where("not exact").join(F.broadcast(template_words(scan.sparkSession, templates)), "template").join(texts, same)
+    far = edits(F.col("words"), F.col("offset"), F.col("ends"), F.col("t_words"), F.col("budget"))
+    each = pair.select(*key, "template", "label", "exact", "run", "cover", "budget", F.struct(far.alias("edits"), F.col("offset").cast("long").alias("start")).alias("at"))
+    best = each.groupBy(*key, "template", "label", "exact", "run").agg(F.min("at").alias("at"), F.max("cover").alias("cover"), F.max("budget").alias("budget"))
+    return phrases.unionAll(best.where("at.edits <= budget").select(*key, "label", "exact", "at.start", "cover", "at.edits"))
 
 
 def licence_report(docs: DataFrame) -> DataFrame:
@@ -104,7 +152,7 @@ def licence_report(docs: DataFrame) -> DataFrame:
     """
     rows = docs.select("doc_id", "text").withColumn("_print", F.unhex(F.md5(empty_text().cast("binary"))))
     scan = stored(scanned(rows, ["doc_id", "_print"], PHRASES + SENTENCES), "licence-scan")
-    found = spans(scan.select(F.col("doc_id").alias("_id"), F.col("_print").alias("_p"), "grams"), ["_id", "_p"])
+    found = spans(scan.select(F.col("doc_id").alias("_id"), F.col("_print").alias("_p"), "grams", "words"), ["_id", "_p"])
     base = F.when(F.col("exact"), F.col("label"))
     each = found.groupBy("_id", "_p").agg(
         F.count(base).alias("n_base"),

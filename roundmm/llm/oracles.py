@@ -46,6 +46,10 @@ def _templates() -> str:
     return "(values " + ", ".join(rows) + ") g(template, label, exact, n_grams, t_pos, w0, w1)"
 
 
+def _template_words() -> str:
+    return "(values " + ", ".join(f"({i}, {list(t.words)}, {t.budget})" for i, t in enumerate(PHRASES + SENTENCES)) + ") tw(template, t_words, budget)"
+
+
 OP4 = f"""
 with w as (select doc_id, row_number() over () as rid,
                   regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') as ws from documents),
@@ -56,7 +60,13 @@ n as (select *, coalesce((diag - lag(diag) over (partition by rid, template orde
 r as (select *, sum(fresh) over (partition by rid, template order by diag) as run from n),
 m as (select h.rid, h.template, label, exact, n_grams, case when exact then h.diag else run end as run, min(h.diag) as start, count(distinct t_pos) / n_grams::double as cover
       from h join r on h.rid = r.rid and h.template = r.template and h.diag = r.diag group by 1, 2, 3, 4, 5, 6),
-s as (select * from m where cover = 1 or (not exact and cover >= {COVER})),
+x as (select r.rid, r.template, r.run, t_words, budget, list_slice(ws, greatest(r.diag, 0) + 1, e.diag + len(t_words)) as span
+      from r join m on r.rid = m.rid and r.template = m.template and r.run = m.run and not m.exact and m.cover >= {COVER} join w on r.rid = w.rid
+      join {_template_words()} on r.template = tw.template join o e on e.rid = r.rid and e.template = r.template and e.diag between r.diag - budget and r.diag + budget),
+y as (select rid, template, run from x group by rid, template, run, budget
+      having min(levenshtein(list_aggregate(list_transform(span, lambda v: chr((coalesce(list_position(t_words, v), 0) + 32)::int)), 'string_agg', ''),
+                             list_aggregate(list_transform(t_words, lambda v: chr((list_position(t_words, v) + 32)::int)), 'string_agg', ''))) <= budget),
+s as (select * from m where exact and cover = 1 union all select m.* from m join y on m.rid = y.rid and m.template = y.template and m.run = y.run and not m.exact),
 e as (select rid, count(*) filter (where exact) as n_base, min(start) filter (where exact) as first_word, max(start) filter (where exact) as last_word,
              string_agg(distinct label, ',' order by label) filter (where exact) as base_labels, string_agg(distinct label, ',' order by label) as labels, max(cover) as score
       from s group by rid)

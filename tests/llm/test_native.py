@@ -1,10 +1,12 @@
+import random
+import re
 import zlib
 from collections import Counter, defaultdict
 
 import pytest
 from tests.llm.conftest import ODD
 
-from roundmm.llm.licences import PHRASES, licence_report
+from roundmm.llm.licences import COVER, PHRASES, SENTENCES, SLACK, licence_report, scanned, spans
 from roundmm.llm.mixing import replicated, repetition_rates
 from roundmm.llm.sharding import stratified_shards
 
@@ -81,6 +83,66 @@ def test_licence_sentences_with_missing_words(documents):
     assert "apache-2.0" in got[1].labels and got[2].labels == ""
 
 
+def test_licence_spans_are_aligned(documents):
+    # every gram votes, on neighbouring diagonals, but no stretch of the text is the sentence
+    got = licences(documents, "released under under the the mit mit license", "released under mit license", "so released under the mit license mit license mit license")
+    assert got[0].labels == "mit" and got[0].score == 1.0
+    assert got[1].labels == "mit" and got[2].labels == "mit,mit-notice"
+    got = licences(documents, "licensed under apache license version 2 0", "licensed under the new apache license version 2 0", "licensed under the new big apache license version 3 0")
+    assert ["apache-2.0" in r.labels for r in got.values()] == [True, True, False]
+
+
+def word_edits(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        last, row[0] = row[0], i
+        for j, y in enumerate(b, 1):
+            last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+    return row[-1]
+
+
+def plain_spans(text):
+    words = [w for w in re.split(r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+", text) if w]
+    for t in PHRASES + SENTENCES:
+        n = len(t.words)
+        votes = defaultdict(set)
+        for d in range(len(words) - 1):
+            for p in range(n - 1):
+                if tuple(words[d : d + 2]) == t.words[p : p + 2]:
+                    votes[d - p].add(p)
+        if t.exact:
+            yield from ((t.label, o, 1.0, 0) for o, ps in votes.items() if len(ps) == n - 1)
+            continue
+        runs = []
+        for o in sorted(votes):
+            if not runs or o - runs[-1][-1] > SLACK:
+                runs.append([])
+            runs[-1].append(o)
+        for run in runs:
+            cover = len(set().union(*(votes[o] for o in run))) / (n - 1)
+            if cover >= COVER:
+                far, at = min((word_edits(words[max(o, 0) : e + n], t.words), o) for o in run for e in run if abs(e - o) <= t.budget)
+                if far <= t.budget:
+                    yield t.label, at, cover, far
+
+
+def test_licence_spans_against_plain_python(documents):
+    draw = random.Random(5)
+    texts = []
+    for _ in range(250):
+        words = []
+        for t in draw.choices(PHRASES + SENTENCES, k=draw.randint(1, 4)):
+            for w in t.words:
+                r = draw.random()
+                words += [] if r < 0.05 else ["other"] if r < 0.1 else [w, w] if r < 0.17 else [w, "more"] if r < 0.22 else [w]
+        texts.append(" ".join(words))
+    want = sorted((i, *s) for i, text in enumerate(texts) for s in plain_spans(text))
+    templates = PHRASES + SENTENCES
+    got = spans(scanned(documents(list(enumerate(texts))), ["doc_id"], templates), ["doc_id"], templates)
+    assert sorted((r.doc_id, r.label, r.start, r.cover, r.edits) for r in got.collect()) == pytest.approx(want)
+    assert sum(1 for w in want if w[4]) > 30
+
+
 def test_licences_of_odd_rows(documents):
     docs = documents([*ODD, (9, "mit license " * 3000)]).selectExpr("*", "1 as words", "2 as gram", "3 as offset")
     got = licence_report(docs).collect()
