@@ -89,7 +89,7 @@ def test_licence_spans_are_aligned(documents):
     assert got[0].labels == "mit" and got[0].score == 1.0
     assert got[1].labels == "mit" and got[2].labels == "mit,mit-notice"
     got = licences(documents, "licensed under apache license version 2 0", "licensed under the new apache license version 2 0", "licensed under the new big apache license version 3 0")
-    assert ["apache-2.0" in r.labels for r in got.values()] == [True, True, False]
+    assert ["apache-2.0" in got[i].labels for i in range(3)] == [True, True, False]
 
 
 def word_edits(a, b):
@@ -139,7 +139,7 @@ def test_licence_spans_against_plain_python(documents):
     want = sorted((i, *s) for i, text in enumerate(texts) for s in plain_spans(text))
     templates = PHRASES + SENTENCES
     got = spans(scanned(documents(list(enumerate(texts))), ["doc_id"], templates), ["doc_id"], templates)
-    assert sorted((r.doc_id, r.label, r.start, r.cover, r.edits) for r in got.collect()) == pytest.approx(want)
+    assert sorted((r.doc_id, r.label, r.start, r.cover, r.edits) for r in got.collect()) == want
     assert sum(1 for w in want if w[4]) > 30
 
 
