@@ -82,7 +82,7 @@ def words_of(text: Column) -> Column:
 def scanned(docs: DataFrame, key: list[str], templates: tuple[Template, ...]) -> DataFrame:
     """``key, n_words, grams, words``: number of words of each text, and place, hash and words of its k-grams that stand in a template. The texts are split once;
     grams of no template are dropped where they are made, by the sets of the templates' first words and grams, so only others become rows.
-    ``words`` is kept, for the alignment, where a text has as many grams as the shortest sentence asks for, else null."""
+    ``words`` is kept, for the alignment, where a text has as many of the grams of some sentence, wherever they stand, as the votes ask for, else null."""
     pairs = sorted({(t.words[p], t.words[p + 1]) for t in templates for p in range(len(t.words) - GRAM + 1)})
     firsts, joined = sorted({a for a, _ in pairs}), [f"{a} {b}" for a, b in pairs]
     held = docs.select(*key, words_of(empty_text()).alias("words"))
@@ -90,8 +90,12 @@ def scanned(docs: DataFrame, key: list[str], templates: tuple[Template, ...]) ->
     places = F.array_compact(F.transform("words", lambda w, i: F.when(in_template(w, i), i)))
     held = held.select(*key, "words", F.size("words").cast("long").alias("n_words"), places.alias("places"))
     gram = lambda i: F.struct(i.alias("d_pos"), F.xxhash64(F.get("words", i), F.get("words", i + 1)).alias("gram"), F.get("words", i).alias("d0"), F.get("words", i + 1).alias("d1"))
-    least = min((t.least_grams for t in templates if not t.exact), default=None)
-    kept = F.when(F.size("places") >= least, F.col("words")) if least is not None else F.lit(None).cast("array<string>")
+    held = held.withColumn("found", F.array_distinct(F.transform("places", lambda i: F.concat_ws(" ", F.get("words", i), F.get("words", i + 1)))))
+    may_hold = F.lit(False)
+    for t in (t for t in templates if not t.exact):
+        own = F.array(*[F.lit(f"{a} {b}") for a, b in zip(t.words, t.words[1:])])
+        may_hold = may_hold | (F.size(F.filter(own, lambda g: F.array_contains("found", g))) >= t.least_grams)
+    kept = F.when(may_hold, F.col("words"))
     return held.select(*key, "n_words", F.transform("places", gram).alias("grams"), kept.alias("words"))
 
 
