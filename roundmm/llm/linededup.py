@@ -5,7 +5,7 @@ near its place. Every distinct line sends an index row for each of its segments,
 could be such a segment of a line 0 to ``t`` characters shorter (only starts that leave enough edits left and right).
 Rows meet by (segment number, length, hash) in buckets, streamed in order; a parity sketch of the letters, which ``t`` edits change in at most ``2 * t``
 bits, drops rows without a likely partner; a banded bit-parallel edit distance confirms the rest on the lines, inside the buckets. Pairs
-never leave a bucket: only links that join two groups do.
+never leave a bucket: links that join two groups do, and how many links each line has. A pair is counted in one bucket of those it meets in.
 
 ``t`` depends on the length of the shorter line (``Settings.budget``). Equal lines are one class at every length.
 """
@@ -88,6 +88,10 @@ def handle(name: bytes) -> int:
     return int.from_bytes(name[:8], "little", signed=True)
 
 
+def bucket_key(segment: str, shorter: int, number: int) -> int:
+    return xxhash.xxh3_64_intdigest(segment.encode("utf-8", "surrogatepass"), shorter * 8 + number) - (1 << 63)
+
+
 def parities(lines: list[str]) -> np.ndarray:
     """A bit per letter class: whether the line holds an odd number of them."""
     code = np.frombuffer("".join(lines).encode("utf-32-le", "surrogatepass"), "<u4").astype(np.uint64)
@@ -127,7 +131,7 @@ def signatures(docs: DataFrame, s: Settings) -> DataFrame:
                     if rows is None:
                         rows = plans[n] = plan(n, s)
                     for seg, short, start, size, kind in rows:
-                        key.append(xxhash.xxh3_64_intdigest(x[start : start + size].encode("utf-8", "surrogatepass"), short * 8 + seg) - (1 << 63))
+                        key.append(bucket_key(x[start : start + size], short, seg))
                         role.append(kind)
                     owner.append(len(rows))
                 many = np.array(owner)
@@ -289,101 +293,125 @@ def occurrences(docs: DataFrame, s: Settings) -> DataFrame:
     return docs.mapInArrow(emit, "doc_id long, print binary, line_no int, long boolean, name binary")
 
 
-def linked(lines: list[str], parity: np.ndarray, s: Settings) -> list[tuple[int, int]]:
-    """Links that join the groups of ``lines``. Groups are walked from line to line: a line reached is compared with those not reached yet, so
-    members of one group are hardly compared with each other."""
-    length, out = np.array([len(x) for x in lines]), []
-    away = np.arange(len(lines))
-    while len(away):
-        reached, away = [int(away[0])], away[1:]
-        for i in reached:
-            if not len(away):
-                break
-            maybe = (np.bitwise_count(parity[away] ^ parity[i]) <= 2 * s.edits) & (abs(length[away] - length[i]) <= s.edits)
-            at = [k for k in np.flatnonzero(maybe).tolist() if within(lines[i], lines[j := int(away[k])], s.budget(int(min(length[i], length[j]))))]
-            near = away[at].tolist()
-            out += [(i, j) for j in near]
-            reached += near
-            away = np.delete(away, at)
+def near_pairs(lines: list[str], parity: np.ndarray, own: np.ndarray, s: Settings) -> Iterator[tuple[int, int]]:
+    """Every two of ``lines`` within their edits; where ``own`` has blocks (not -1), every two of different blocks."""
+    length, at = np.array([len(x) for x in lines]), np.arange(len(lines))
+    for i in range(len(lines) - 1):
+        maybe = (np.bitwise_count(parity[i + 1 :] ^ parity[i]) <= 2 * s.edits) & (abs(length[i + 1 :] - length[i]) <= s.edits)
+        if own[i] >= 0:
+            maybe &= own[i + 1 :] != own[i]
+        for j in at[i + 1 :][maybe].tolist():
+            if within(lines[i], lines[j], s.budget(int(min(length[i], length[j])))):
+                yield i, j
+
+
+def line_keys(line: str, s: Settings) -> dict[int, int]:
+    """The buckets of a line, and its roles in each."""
+    out: dict[int, int] = {}
+    for seg, short, start, size, kind in plan(len(line), s):
+        key = bucket_key(line[start : start + size], short, seg)
+        out[key] = out.get(key, 0) | kind
     return out
 
 
-LINKS = "a binary, b binary"
+#: Links ``a < b`` that join the groups of a node; and, with a null ``b``, how many links of ``a`` the node counts.
+FOUND = "a binary, b binary, n long"
+#: Members of a node: ``keys`` are the buckets that it stands for, ``part`` the part of the parities that its members share (or -1), ``own`` the block (or -1 where
+#: members of one block meet).
+NODE = ("node", "name", "parity", "line", "keys", "part", "own")
+
+
+def parity_part(k: int, s: Settings) -> tuple[int, int]:
+    """Shift and mask of one of ``2 * edits + 1`` parts of a parity: of two that differ in at most ``2 * edits`` bits one part is equal."""
+    width = -(-64 // (2 * s.edits + 1))
+    return k * width, (1 << min(width, 64 - k * width)) - 1
 
 
-def pairs_of(found: list[tuple[bytes, bytes]]) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array([min(p) for p in found], pa.binary()), pa.array([max(p) for p in found], pa.binary())], names=["a", "b"])
+def first_equal_part(x: int, y: int, s: Settings) -> int:
+    for k in range(2 * s.edits + 1):
+        shift, mask = parity_part(k, s)
+        if not (x ^ y) >> shift & mask:
+            return k
+    return -1
 
 
 def node_links(nodes: DataFrame, s: Settings) -> DataFrame:
-    """Links within each node of ``node, name, parity, line``; rows are sorted by node and streamed, one node is held at a time."""
+    """``FOUND`` of every node of ``NODE``; rows are sorted by node and streamed, one node is held at a time. All members are compared. A pair can meet in several nodes:
+    it is counted in the one that stands for the least bucket that both lines share, an index row among them, and for the first equal part of their parities.
+    Links go out only where they join two groups, counts as a row a line, so a group of g lines sends rows in the order of g."""
 
     def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at: int | None = None
-        held: dict[bytes, tuple[int, str]] = {}
-
-        def done() -> list[tuple[bytes, bytes]]:
-            names = list(held)
-            return [(names[i], names[j]) for i, j in linked([x[1] for x in held.values()], np.array([x[0] for x in held.values()], np.int64).view(np.uint64), s)]
+        held: dict[bytes, tuple] = {}
+
+        def done() -> pa.RecordBatch:
+            names, rows = list(held), list(held.values())
+            lines, own = [x[1] for x in rows], np.array([x[4] for x in rows], np.int64)
+            parity = np.array([x[0] for x in rows], np.int64).view(np.uint64)
+            above, many, buckets, spans = list(range(len(rows))), {}, {}, []
+
+            def top(k: int) -> int:
+                while above[k] != k:
+                    above[k] = k = above[above[k]]
+                return k
+
+            for i, j in near_pairs(lines, parity, own, s):
+                x, y = top(i), top(j)
+                if x != y:
+                    above[y] = x
+                    spans.append((min(names[i], names[j]), max(names[i], names[j])))
+                for k in (i, j):
+                    if k not in buckets:
+                        buckets[k] = line_keys(lines[k], s)
+                p, q = buckets[i], buckets[j]
+                least = min(key for key in p.keys() & q.keys() if (p[key] | q[key]) & 1)
+                part = rows[i][3]
+                if least in rows[i][2] and (part < 0 or part == first_equal_part(int(parity[i]), int(parity[j]), s)):
+                    many[i], many[j] = many.get(i, 0) + 1, many.get(j, 0) + 1
+            out = [*((a, b, None) for a, b in spans), *((names[k], None, n) for k, n in many.items())]
+            return pa.RecordBatch.from_arrays([pa.array([x[k] for x in out], t) for k, t in enumerate((pa.binary(), pa.binary(), pa.int64()))], names=["a", "b", "n"])
 
         for batch in batches:
-            found = []
-            for node, name, parity, line in zip(*(batch[c].to_pylist() for c in ("node", "name", "parity", "line")), strict=True):
+            for node, name, *row in zip(*(batch[c].to_pylist() for c in NODE), strict=True):
                 if node != at:
-                    found += done()
+                    if len(held) > 1:
+                        yield done()
                     at, held = node, {}
-                held[name] = (parity, line)
-            yield pairs_of(found)
-        yield pairs_of(done())
-
-    return nodes.select("node", "name", "parity", "line").repartition("node").sortWithinPartitions("node", "name").mapInArrow(stream, LINKS).distinct()
+                row[2] = set(row[2])
+                held[name] = row
+        if len(held) > 1:
+            yield done()
 
-
-def pivot_links(members: DataFrame, lines: DataFrame, s: Settings) -> DataFrame:
-    """Links of each member of ``node, name, parity`` with the node's least name: a row a member."""
-
-    def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ok = [within(x, y, s.budget(min(len(x), len(y)))) for x, y in zip(batch["x"].to_pylist(), batch["y"].to_pylist(), strict=True)]
-            yield batch.select(["a", "b"]).filter(pa.array(ok, pa.bool_()))
-
-    pivots = members.groupBy("node").agg(F.min(F.struct("name", "parity")).alias("p"))
-    close = F.bit_count(F.col("parity").bitwiseXOR(F.col("p.parity"))) <= 2 * s.edits
-    star = members.join(pivots, "node").where(close & (F.col("name") != F.col("p.name"))).select(F.col("p.name").alias("a"), F.col("name").alias("b")).distinct()
-    x, y = lines.select(F.col("name").alias("a"), F.col("line").alias("x")), lines.select(F.col("name").alias("b"), F.col("line").alias("y"))
-    return star.join(y, "b").join(x, "a").mapInArrow(check, LINKS)
-
-
-def several(members: DataFrame, labels: DataFrame) -> DataFrame:
-    """Members of nodes that the links found so far don't join into one."""
-    labelled = members.join(labels, F.col("name") == F.col("_name"), "left")
-    mixed = labelled.groupBy("node").agg(F.min(F.coalesce("_c", "name")).alias("_lo"), F.max(F.coalesce("_c", "name")).alias("_hi")).where("_lo <> _hi").select("node")
-    return members.join(mixed, "node")
+    return nodes.select(*NODE).repartition("node").sortWithinPartitions("node", "name").mapInArrow(stream, FOUND)
 
 
 def parity_nodes(members: DataFrame, s: Settings) -> DataFrame:
-    """Nodes of a node's members that agree in one of ``2 * edits + 1`` parts of their parities: of parities that differ in at most ``2 * edits`` bits
-    one part is equal."""
-    parts = 2 * s.edits + 1
-    width = -(-64 // parts)
-    cut = [F.xxhash64(F.col("node"), F.lit(k), F.shiftrightunsigned("parity", k * width).bitwiseAND((1 << min(width, 64 - k * width)) - 1)) for k in range(parts)]
-    return members.withColumn("node", F.explode(F.array(*cut)))
+    """Nodes of a node's members that agree in one part of their parities."""
+    cut = []
+    for k in range(2 * s.edits + 1):
+        shift, mask = parity_part(k, s)
+        cut.append(F.struct(F.xxhash64(F.col("node"), F.lit(k), F.shiftrightunsigned("parity", shift).bitwiseAND(mask)).alias("node"), F.lit(k).alias("part")))
+    return members.drop("part").withColumn("_p", F.explode(F.array(*cut))).select(*[c for c in members.columns if c not in ("node", "part")], "_p.node", "_p.part")
 
 
 def blocked(members: DataFrame, s: Settings) -> DataFrame:
     """Nodes as pairs of blocks of bounded size, each pair a node: every two members meet in one."""
-    sizes = members.groupBy("node").agg(F.greatest(F.ceil(2 * F.count(F.lit(1)) / F.lit(s.leaf)), F.ceil(2 * F.sum("n_bytes") / F.lit(s.leaf_bytes)), F.lit(1)).cast("int").alias("_k"))
-    own = members.join(sizes, "node").withColumn("_own", F.pmod(F.xxhash64("name"), F.col("_k")).cast("int"))
-    met = own.withColumn("_other", F.explode(F.expr("sequence(0, _k - 1)")))
-    return met.withColumn("node", F.xxhash64("node", F.least("_own", "_other"), F.greatest("_own", "_other"))).drop("_k", "_own", "_other")
+    sizes = members.groupBy("node").agg(F.greatest(F.ceil(2 * F.count(F.lit(1)) / F.lit(s.leaf)), F.ceil(2 * F.sum("n_bytes") / F.lit(s.leaf_bytes)), F.lit(1)).cast("int").alias("_k"), F.count(F.lit(1)).alias("_n")).where("_n > 1")
+    met = members.drop("own").join(sizes, "node").withColumn("own", F.pmod(F.xxhash64("name"), F.col("_k")).cast("int"))
+    met = met.withColumn("_other", F.explode(F.expr("sequence(0, _k - 1)")))
+    return met.withColumns({"node": F.xxhash64("node", F.least("own", "_other"), F.greatest("own", "_other")), "own": F.when(F.col("own") == F.col("_other"), -1).otherwise(F.col("own"))}).drop("_k", "_n", "_other")
 
 
 def links(texts: DataFrame, s: Settings) -> DataFrame:
-    """Confirmed links ``a < b`` between the names of distinct lines. They join what the links of all pairs join: a pair within its edits is left out only where others
-    join it already, so a group of g lines sends about g links, not g * g.
+    """Links ``a < b`` between the names of distinct lines that join what the links of all pairs join; how many links each line has is in :func:`joined`."""
+    return joined(texts, s).where("b is not null").select("a", "b").distinct()
 
-    Buckets of at most ``leaf`` members and ``leaf_bytes`` bytes are compared in place. Larger ones compare their members with one pivot; what isn't one class
-    by then meets by equal parts of the parities, in pairs of blocks.
+
+def joined(texts: DataFrame, s: Settings) -> DataFrame:
+    """``FOUND`` of all buckets: every two distinct lines within their edits are found and counted once at each of the two; of a group of g lines about g links
+    are sent, not g * g.
+
+    Buckets of at most ``leaf`` members and ``leaf_bytes`` bytes are compared in place. Members of larger ones meet by equal parts of the parities, in pairs of blocks.
     """
     spark = texts.sparkSession
     members = stored(bucket_members(signatures(texts, s), s), "line-members")
@@ -396,36 +424,34 @@ def links(texts: DataFrame, s: Settings) -> DataFrame:
     drop_stored(members, wanted)
     size = F.sum(F.xxhash64("name").bitwiseAND((1 << 40) - 1))
     stats = named.groupBy("node").agg(F.count(F.lit(1)).alias("n"), F.sum("n_bytes").alias("_b"), F.bool_or("large").alias("_l"), size.alias("_s"), F.bit_xor(F.xxhash64("name", F.lit(1))).alias("_x")).where("n > 1")
-    once = stats.groupBy("n", "_b", "_s", "_x").agg(F.min("node").alias("node"), F.bool_or("_l").alias("_l"))  # one node for each set of members
+    # one node for each set of members: as many buckets as two lines can share at most
+    once = stats.groupBy("n", "_b", "_s", "_x").agg(F.min("node").alias("node"), F.bool_or("_l").alias("_l"), F.collect_list("node").alias("keys"))
     fits = (F.col("n") <= s.leaf) & (F.col("_b") <= s.leaf_bytes) & ~F.col("_l")
-    once = stored(once.select("node", fits.alias("fits")), "line-nodes")
+    once = stored(once.select("node", fits.alias("fits"), "keys"), "line-nodes")
     body = lines.select("name", "line")
-    near = named.join(once.where("fits").select("node"), "node").join(body.hint("merge"), "name")
-    found = stored(node_links(near, s), "line-links")
-    if not once.where("not fits").limit(1).count():
-        drop_stored(named, lines, once)
-        return found
-    large = stored(named.join(once.where("not fits").select("node"), "node").select("node", "name", "parity", "n_bytes"), "line-large")
-    star = stored(found.unionAll(pivot_links(large, lines, s)).distinct(), "line-links")
-    labels = components(star)
-    by_name = labels.select(F.col("node").alias("_name"), F.col("component").alias("_c"))
-    rest = several(parity_nodes(several(large, by_name), s), by_name)
-    out = stored(star.unionAll(node_links(blocked(rest, s).join(body.hint("merge"), "name"), s)).distinct(), "line-links")
-    drop_stored(named, lines, once, found, large, star, labels)
-    return out
+    whole = [F.lit(-1).alias("part"), F.lit(-1).alias("own")]
+    near = named.join(once.where("fits").select("node", "keys"), "node").join(body.hint("merge"), "name")
+    found = node_links(near.select("*", *whole), s)
+    if once.where("not fits").limit(1).count():
+        large = named.join(once.where("not fits").select("node", "keys"), "node").select("node", "name", "parity", "n_bytes", "keys", *whole).dropDuplicates(["node", "name"])
+        found = found.unionAll(node_links(blocked(parity_nodes(large, s), s).join(body.hint("merge"), "name"), s))
+    found = stored(found, "line-links")
+    drop_stored(named, lines, once)
+    return found
 
 
 def classed(docs: DataFrame, settings: Settings | None = None) -> tuple[DataFrame, DataFrame]:
-    """Occurrences with their line's ``class`` and ``n_links``, and, of classes that occur more than once, the first occurrence."""
+    """Occurrences with their line's ``class`` and ``n_links``, ``n_pairs``, and, of classes that occur more than once, the first occurrence."""
     s = settings or BY_LENGTH
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), empty_text().alias("text"))
-    joined = links(texts.select("text"), s)
-    labels = components(joined)
+    found = joined(texts.select("text"), s)
+    labels = components(found.where("b is not null").select("a", "b"))
     sizes = labels.groupBy("component").agg((F.count(F.lit(1)) - 1).alias("n_links"))
-    near = stored(labels.join(sizes, "component").withColumnRenamed("node", "name"), "line-classes")
-    drop_stored(joined, labels)
+    pairs = found.where("b is null").groupBy(F.col("a").alias("node")).agg(F.sum("n").alias("n_pairs"))
+    near = stored(labels.join(sizes, "component").join(pairs, "node").withColumnRenamed("node", "name"), "line-classes")
+    drop_stored(found, labels)
     held = occurrences(texts.withColumn("print", text_print(F.col("text"))).select("doc_id", "print", "text"), s).join(small(near), "name", "left")
-    held = stored(held.select("doc_id", "print", "line_no", "long", F.coalesce("component", "name").alias("class"), F.coalesce("n_links", F.lit(0)).alias("n_links")), "occurrences")
+    held = stored(held.select("doc_id", "print", "line_no", "long", F.coalesce("component", "name").alias("class"), *[F.coalesce(c, F.lit(0)).alias(c) for c in ("n_links", "n_pairs")]), "occurrences")
     drop_stored(near)
     first = held.groupBy("class").agg(F.min(F.struct("doc_id", "print", "line_no")).alias("first"), F.min("doc_id").alias("class_doc"), F.count(F.lit(1)).alias("_n")).where("_n > 1")
     # stored, so that the join back has an exchange on either side and Spark may split a hot class
@@ -453,23 +479,23 @@ def document_classes(held: DataFrame, first: DataFrame) -> DataFrame:
 
 
 def line_report(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
-    """One row per document: ``doc_id, n_lines, n_kept, n_short, n_short_kept, n_links, class_id``.
+    """One row per document: ``doc_id, n_lines, n_kept, n_short, n_short_kept, n_links, n_pairs, class_id``.
 
     ``n_lines`` counts lines of at least ``min_chars`` characters (trimmed), ``n_kept`` those that are their class's first
     occurrence by (doc_id, md5 of the text, line number), ``n_short`` and ``n_short_kept`` the same of shorter lines that aren't empty, ``n_links`` the other
-    distinct lines in the classes of its lines, ``class_id`` the smallest doc_id
+    distinct lines in the classes of its lines, ``n_pairs`` the links of its lines themselves (other distinct lines within their edits), ``class_id`` the smallest doc_id
     that shared line classes join with it, over any number of documents between (itself without any). Null and empty texts have no lines. Rows that share an id are
     one document, whose counts are those of all its rows; a null id sorts before all others. Very long lines are compared whole.
     An empty table gives no rows; other columns are ignored.
     """
     held, first = classed(docs, settings)
     marked = held.join(first, "class", "left")
-    each = marked.groupBy(F.col("doc_id").alias("_id")).agg(F.count_if("long").alias("n_lines"), F.count_if(F.col("long") & is_first()).alias("n_kept"), F.count_if(~F.col("long")).alias("n_short"), F.count_if(~F.col("long") & is_first()).alias("n_short_kept"), F.sum("n_links").alias("n_links"), F.min("class_doc").alias("_doc"))
+    each = marked.groupBy(F.col("doc_id").alias("_id")).agg(F.count_if("long").alias("n_lines"), F.count_if(F.col("long") & is_first()).alias("n_kept"), F.count_if(~F.col("long")).alias("n_short"), F.count_if(~F.col("long") & is_first()).alias("n_short_kept"), F.sum("n_links").alias("n_links"), F.sum("n_pairs").alias("n_pairs"), F.min("class_doc").alias("_doc"))
     ids = docs.select(F.col("doc_id").cast("long").alias("doc_id")).distinct()
     out = ids.join(each, F.col("doc_id").eqNullSafe(F.col("_id")), "left").withColumn("_doc", F.coalesce("doc_id", "_doc"))
     out = out.join(document_classes(held, first), F.col("_doc") == F.col("node"), "left")
     zero = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
-    return out.select("doc_id", *[zero(c) for c in ("n_lines", "n_kept", "n_short", "n_short_kept", "n_links")], F.coalesce("component", "_doc").alias("class_id"))
+    return out.select("doc_id", *[zero(c) for c in ("n_lines", "n_kept", "n_short", "n_short_kept", "n_links", "n_pairs")], F.coalesce("component", "_doc").alias("class_id"))
 
 
 def without_repeats(docs: DataFrame, settings: Settings | None = None) -> DataFrame:

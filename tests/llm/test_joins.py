@@ -166,6 +166,19 @@ def test_a_group_of_near_copies_sends_few_links(documents):
     assert (got.n_links, got.class_id, got.n_kept) == (11 * 200, 0, 0)
 
 
+@pytest.mark.parametrize("nodes", SMALL_NODES)
+def test_every_link_of_a_line_is_counted(documents, nodes):
+    """Lines that reach each other by several steps: each counts the lines within its own edits, also those that other links join already."""
+    rng = random.Random(9)
+    base = "".join(rng.choice("abcdé ") for _ in range(30)) + "."
+    lines = sorted({edited(rng, base, rng.randrange(1, 4), "abcdé").strip() for _ in range(60)} | {edited(rng, base[:17] + "x", rng.randrange(1, 3), "abcdé").strip() for _ in range(40)})
+    budget = lambda a, b: (n := min(len(a), len(b))) >= 20 and 2 or int(n >= 10)
+    want = [sum(a != b and distance(a, b) <= budget(a, b) for b in lines) for a in lines]
+    got = {r.doc_id: r for r in linededup.line_report(documents(list(enumerate(lines))), replace(linededup.BY_LENGTH, **nodes)).collect()}
+    assert [got[k].n_pairs for k in range(len(lines))] == want
+    assert sum(want) > 2 * len(lines) and any(got[k].n_links > n > 0 for k, n in enumerate(want))
+
+
 def test_rows_that_share_an_id_lose_their_own_lines(documents):
     shared, own = "this line stands in several of the texts", "only the second text of the id holds this one"
     docs = documents([(1, shared), (1, f"{own}\n{shared}"), (2, shared), (2, shared)])
